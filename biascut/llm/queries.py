@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import linededup, packing
+from . import langid, linededup, packing, quality, rules
+from .common import held_out
 
 
 def vocabulary(name: str) -> str:
@@ -22,11 +23,27 @@ def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"), vocabulary("byte_bpe_50k.tiktoken"))
 
 
+def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    out = quality.score(docs, quality.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+    return out.select("doc_id", held_out(5).alias("held_out"), "score", F.when(F.col("score") >= 0.3, 1).otherwise(0).alias("predicted"), "n_passages", "top_passage")
+
+
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = linededup.dedup_lines(documents(spark, sf_dir))
     return out.select("doc_id", "n_lines", "n_dropped", F.sha2(F.col("kept_text").cast("binary"), 256).alias("kept_sha256"))
 
 
+def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    forest, cut = rules.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return rules.judge(docs, forest, cut)
+
+
+def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.detect(documents(spark, sf_dir)).select("doc_id", held_out(5).alias("held_out"), "lang_pred", "score")
+
+
 OP5_SQL = """
 WITH lines AS (
   SELECT doc_id, i, string_split(coalesce(text, ''), chr(10))[i] AS line
@@ -42,5 +59,11 @@ FROM keyed d LEFT JOIN firsts f ON d.k = f.k AND length(d.k) >= 10
 GROUP BY d.doc_id
 """
 
-QUERIES = {"op1_best_fit_packing": op1_best_fit_packing, "op5_line_dedup": op5_line_dedup}
+QUERIES = {
+    "op1_best_fit_packing": op1_best_fit_packing,
+    "op2_quality_classifier": op2_quality_classifier,
+    "op5_line_dedup": op5_line_dedup,
+    "op7_quality_rules": op7_quality_rules,
+    "op8_language_id": op8_language_id,
+}
 SQL = {"op5_line_dedup": OP5_SQL}
