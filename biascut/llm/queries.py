@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import langid, linededup, packing, quality, rules, simhash
+from . import langid, linededup, packing, quality, rules, simhash, suffixdedup
 from .common import held_out
 
 
@@ -48,6 +48,10 @@ def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.detect(documents(spark, sf_dir)).select("doc_id", held_out(5).alias("held_out"), "lang_pred", "score")
 
 
+def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixdedup.remove_repeats(documents(spark, sf_dir))
+
+
 OP5_SQL = """
 WITH lines AS (
   SELECT doc_id, i, string_split(coalesce(text, ''), chr(10))[i] AS line
@@ -70,5 +74,6 @@ QUERIES = {
     "op5_line_dedup": op5_line_dedup,
     "op7_quality_rules": op7_quality_rules,
     "op8_language_id": op8_language_id,
+    "op9_suffix_dedup": op9_suffix_dedup,
 }
 SQL = {"op5_line_dedup": OP5_SQL}
