@@ -292,7 +292,9 @@ def _counted_runs(contexts: DataFrame, length: int, gram: int) -> DataFrame:
             kh, ch, before = (b.column(k).to_numpy() for k in range(3))
             for k, c in enumerate(b.column(3).to_pylist()):
                 starts = range(-int(before[k]), len(c) - length - int(before[k]) + 1)
-                marks = [int.from_bytes(hashlib.blake2b(c[s + before[k] : s + before[k] + length], digest_size=8).digest(), "little", signed=True) for s in starts]
+                # contexts of one text overlap, so a window only counts with its anchor and place
+                own = int(kh[k]).to_bytes(8, "little", signed=True)
+                marks = [int.from_bytes(hashlib.blake2b(c[s + before[k] : s + before[k] + length], digest_size=8, key=own + s.to_bytes(4, "little", signed=True)).digest(), "little", signed=True) for s in starts]
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(marks), kh[k])), pa.array(np.full(len(marks), ch[k])), pa.array(list(starts), pa.int32()), pa.array(marks, pa.int64())], names=["kh", "ch", "s", "w"])
 
     windows = materialize(contexts.mapInArrow(run, "kh long, ch long, s int, w long"), "windows")
