@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import langid, linededup, packing, quality, rules, simhash, suffixdedup
+from . import langid, linededup, lm, packing, quality, rules, simhash, suffixdedup
 from .common import held_out
 
 
@@ -38,6 +38,11 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_lines", "n_dropped", F.sha2(F.col("kept_text").cast("binary"), 256).alias("kept_sha256"))
 
 
+def op6_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    return lm.score(docs, lm.fit(docs))
+
+
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     forest, cut = rules.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
@@ -72,6 +77,7 @@ QUERIES = {
     "op2_quality_classifier": op2_quality_classifier,
     "op4_simhash_dedup": op4_simhash_dedup,
     "op5_line_dedup": op5_line_dedup,
+    "op6_lm_scoring": op6_lm_scoring,
     "op7_quality_rules": op7_quality_rules,
     "op8_language_id": op8_language_id,
     "op9_suffix_dedup": op9_suffix_dedup,
