@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import langid, linededup, lm, packing, pieces, quality, rules, simhash, suffixdedup
+from . import ann, langid, linededup, lm, packing, pieces, quality, rules, simhash, suffixdedup
 from .common import held_out
 
 
@@ -61,6 +61,10 @@ def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixdedup.remove_repeats(documents(spark, sf_dir))
 
 
+def op10_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.nearest(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), lambda i: i % 20 == 0)
+
+
 OP5_SQL = """
 WITH lines AS (
   SELECT doc_id, i, string_split(coalesce(text, ''), chr(10))[i] AS line
@@ -86,5 +90,6 @@ QUERIES = {
     "op7_quality_rules": op7_quality_rules,
     "op8_language_id": op8_language_id,
     "op9_suffix_dedup": op9_suffix_dedup,
+    "op10_nearest_neighbours": op10_nearest_neighbours,
 }
 SQL = {"op5_line_dedup": OP5_SQL}
