@@ -31,8 +31,8 @@ from pyspark.sql import functions as F
 from .common import materialize
 
 TREES, BITS, BLOCK, STARTS = 12, 28, 256, 12
-DEGREE, ROUNDS, OFFERS = 24, 2, 6
-WIDTH, HOPS, POOL = 48, 4, 64
+DEGREE, ROUNDS, OFFERS = 28, 2, 8
+WIDTH, HOPS, POOL = 64, 5, 64
 
 
 def usable(rows: DataFrame, vec_id: str = "vec_id", vector: str = "embedding") -> DataFrame:
@@ -289,7 +289,7 @@ def search(queries: DataFrame, graph: DataFrame, links: DataFrame, d: int, width
                 if who:
                     k = np.concatenate(who)
                     ids, sims = b.column(0).to_numpy(), [np.frombuffer(x, "<f4") for x in b.column(4).to_pylist()]
-                    least = np.array([x[pool - 1] if len(x) >= pool else -2.0 for x in sims], np.float32)
+                    least = np.array([x[beam - 1] if len(x) >= beam else -2.0 for x in sims], np.float32)
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(to)), pa.array(ids[k]), b.column(1).take(pa.array(k)), b.column(2).take(pa.array(k)), pa.array(least[k])], names=["u", "id", "q", "s", "least"])
 
         def expand(batches):
