@@ -23,6 +23,7 @@ from __future__ import annotations
 import hashlib
 import re
 import zlib
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -30,28 +31,27 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 MARK = "▁"
-_MEMO = 200_000
+_MEMO = 350_000
 _PAIRS = 1_000_000
 
 
 class Generations(dict):
-    """A bounded memory in two generations: what the older one still knows is taken over on use."""
+    """A bounded memory in two generations: what the older one still knows is taken over on use, and
+    what neither knows is made."""
 
-    def __init__(self, most: int):
+    def __init__(self, most: int, make):
         super().__init__()
-        self.most, self.old = most, {}
+        self.most, self.make, self.old = most, make, {}
 
     def __missing__(self, key):
         got = self.old.get(key)
-        if got is not None:
-            self.put(key, got)
-        return got
-
-    def put(self, key, value) -> None:
+        if got is None:
+            got = self.make(key)
         if len(self) >= self.most:
             self.old = dict(self)
             self.clear()
-        self[key] = value
+        self[key] = got
+        return got
 
 
 class PieceModel:
@@ -78,8 +78,16 @@ class PieceModel:
         self.unknown_score = min(self.score.values(), default=0.0) - 10
         self.longest = max(map(len, self.ids), default=1)
         self.starts = {p[:n] for p in self.ids for n in range(1, len(p) + 1)}
-        #: every start of a piece, with the piece's id where it is one
-        self.table = {p: self.ids.get(p, -1) for p in self.starts}
+        #: pieces by characters: a node is (id or -1, its next characters)
+        self.trie: dict = {}
+        for p, k in self.ids.items():
+            at, node = self.trie, None
+            for c in p:
+                node = at.setdefault(c, [-1, {}])
+                at = node[1]
+            node[0] = k
+        #: each id's text, where it does not depend on its neighbours
+        self.text = [None if k in self.byte_of and self.byte_of[k] > 127 else chr(self.byte_of[k]) if k in self.byte_of else "" if k in self.control else " ⁇ " if k == self.unknown else p.replace(MARK, " ") for k, p in enumerate(self.piece)]
         joined = {c for p in self.ids if len(p) > 1 for c in p}
         alone = "".join(c for c in "\n\t\r" if c not in joined)
         self.splits = all(MARK not in p.lstrip(MARK) for p in self.ids)
@@ -98,9 +106,9 @@ class Encoder:
 
     def __init__(self, model: PieceModel, check_every: int = 64):
         self.m, self.check_every = model, check_every
-        self._memo = Generations(_MEMO)
-        self._pairs = Generations(_PAIRS)  # by pieces
-        self._joints = Generations(_PAIRS)  # by ids
+        self._memo = Generations(_MEMO, self.stretch_ids)
+        self._pairs = Generations(_PAIRS, lambda pair: self.merge(pair[0] + pair[1]) == [*pair])
+        self._joints = Generations(_PAIRS, lambda ids: self._pairs[model.piece[ids >> 20], model.piece[ids & 0xFFFFF]])
         self.widest = 0  # the largest window so far
 
     def merge(self, text: str) -> list[str]:
@@ -118,11 +126,7 @@ class Encoder:
         return parts
 
     def compatible(self, left: str, right: str) -> bool:
-        known = self._pairs[left, right]
-        if known is None:
-            known = self.merge(left + right) == [left, right]
-            self._pairs.put((left, right), known)
-        return known
+        return self._pairs[left, right]
 
     def stream(self, text: str):
         """Yields lists of committed pieces; the window behind the last commit stays short."""
@@ -185,64 +189,64 @@ class Encoder:
     def short(self, text: str) -> list[int] | None:
         """Ids of a stretch no longer than the window of a merge model (nothing to commit before its
         end); None where it holds a character outside the vocabulary."""
-        n, table, pairs, piece = len(text), self.m.table, self._joints, self.m.piece
+        n, trie, joints, piece = len(text), self.m.trie, self._joints, self.m.piece
         back = [-1] * (n + 1)
         for j in range(n):
             before = back[j]
             if before < 0 and j:
                 continue
-            k = j
-            while k < n:
-                k += 1
-                t = table.get(text[j:k])
-                if t is None:
-                    if k == j + 1:
-                        return None
-                    break
-                if t >= 0 and back[k] < 0:
-                    if j:
-                        pair = before << 20 | t
-                        fits = pairs[pair]
-                        if fits is None:
-                            fits = self.merge(piece[before] + piece[t]) == [piece[before], piece[t]]
-                            pairs.put(pair, fits)
-                        if not fits:
-                            continue
-                    back[k] = t
-            if back[j + 1] < 0 and table[text[j]] < 0:
+            node = trie.get(text[j])
+            if node is None or node[0] < 0:
                 return None
+            before <<= 20
+            k = j + 1
+            while True:
+                t, after = node
+                if t >= 0 and back[k] < 0 and (not j or joints[before | t]):
+                    back[k] = t
+                if k == n:
+                    break
+                node = after.get(text[k])
+                if node is None:
+                    break
+                k += 1
         out = []
         while n:
-            out.append(back[n])
-            n -= len(piece[back[n]])
+            k = back[n]
+            out.append(k)
+            n -= len(piece[k])
         return out[::-1]
 
+    def stretch_ids(self, part: str) -> list[int]:
+        got = self.short(part) if self.m.merges and len(part) <= self.check_every else None
+        if got is None:
+            got, ids = [], self.m.ids
+            for pieces in self.stream(part):
+                for p in pieces:
+                    k = ids.get(p)
+                    if k is None:
+                        got += self.m.char_ids(p)
+                    else:
+                        got.append(k)
+        return got
+
     def encode(self, text: str | None) -> list[int]:
         if not text:
             return []
         text = text.replace(" ", MARK)
-        out: list[int] = []
-        memo, ids = self._memo, self.m.ids
-        for part in self.m.stretch.findall(MARK + text if self.m.prefix else text):
-            got = memo[part]
-            if got is None:
-                got = self.short(part) if self.m.merges and len(part) <= self.check_every else None
-                if got is None:
-                    got = []
-                    for pieces in self.stream(part):
-                        for p in pieces:
-                            k = ids.get(p)
-                            if k is None:
-                                got += self.m.char_ids(p)
-                            else:
-                                got.append(k)
-                if len(part) <= 64:
-                    memo.put(part, got)
-            out += got
-        return out
+        parts = self.m.stretch.findall(MARK + text if self.m.prefix else text)
+        memo = self._memo.__getitem__
+        if len(max(parts, key=len)) > 64:  # long stretches do not repeat: they are not memorised
+            return [k for p in parts for k in (self._memo[p] if len(p) <= 64 else self.stretch_ids(p))]
+        return list(chain.from_iterable(map(memo, parts)))
 
     def decode(self, ids) -> str:
         """Pieces joined, byte runs as UTF-8 (invalid ones as U+FFFD), the dummy prefix removed."""
+        try:
+            text = "".join(map(self.m.text.__getitem__, ids))
+            return text[1:] if self.m.prefix and text.startswith(" ") else text
+        except TypeError:  # a byte of a longer character: bytes have to be gathered
+            pass
         out, held = [], bytearray()
         for k in ids:
             b = self.m.byte_of.get(k)
