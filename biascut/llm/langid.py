@@ -155,8 +155,11 @@ def training_samples(docs: DataFrame, held_out_modulus: int | None = 5, rows_per
 def identify(docs: DataFrame, samples: dict[str, str], keep: list[str] | None = None) -> DataFrame:
     """``keep`` columns (doc_id by default), lang_pred and score for every row of ``docs``."""
     keep = keep or ["doc_id"]
-    source = docs.select(F.col("text").cast("string").alias("_text"), *keep)
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema.fields[1:]) + ", lang_pred string, score double"
+    # a kept text travels once
+    source = docs.select(F.col("text").cast("string").alias("_text"), *(c for c in keep if c != "text"))
+    kinds = {f.name: f.dataType.simpleString() for f in source.schema.fields} | {"text": "string"}
+    place = {f.name: k for k, f in enumerate(source.schema.fields)} | {"text": 0}
+    schema = ", ".join(f"`{c}` {kinds[c]}" for c in keep) + ", lang_pred string, score double"
     key = hash(tuple(sorted(samples.items())))
 
     def run(batches):
@@ -166,7 +169,7 @@ def identify(docs: DataFrame, samples: dict[str, str], keep: list[str] | None =
         for b in batches:
             offsets, raw = text_bytes(b.column(0))
             names, scores = [], np.zeros(len(offsets) - 1)
-            for i, j in slices(offsets, 4 << 20):
+            for i, j in slices(offsets, 2 << 20):
                 part = raw[offsets[i] : offsets[j]]
                 heads = np.concatenate([[0], np.cumsum((part & 0xC0) != 0x80)])
                 starts = heads[offsets[i : j + 1] - offsets[i]]
@@ -182,8 +185,7 @@ def identify(docs: DataFrame, samples: dict[str, str], keep: list[str] | None =
                 odds = np.exp2(-np.minimum(np.diff(at), 40)[:, None] * (bits - bits.min(axis=1, keepdims=True)))
                 scores[i:j] = np.where(has, 1 / odds.sum(axis=1), 0.0)
                 names += [parser.languages[k] if ok else UNKNOWN for k, ok in zip(best, has)]
-            rest = [b.column(k) for k in range(1, b.num_columns)]
-            yield pa.RecordBatch.from_arrays([*rest, pa.array(names, pa.string()), pa.array(scores, pa.float64())], names=[*keep, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*(b.column(place[c]) for c in keep), pa.array(names, pa.string()), pa.array(scores, pa.float64())], names=[*keep, "lang_pred", "score"])
 
     return source.mapInArrow(run, schema)
 

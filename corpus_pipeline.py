@@ -25,19 +25,19 @@ ORACLE_SQL = None
 
 
 def _wrapped(docs: DataFrame) -> DataFrame:
-    """The table's rows as one column, so that none of its names meets an operator's own."""
-    return docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), "doc_id", "text")
+    """The table's rows but for their texts as one column, so that no name meets an operator's own."""
+    return docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns if c != "text")).alias("row"), "doc_id", "text")
 
 
-def _unwrapped(out: DataFrame, columns: list[str], text=None) -> DataFrame:
-    """``columns`` from the row; a new text replaces the old one, and n_chars follows it."""
-    put = {} if text is None else {"text": text.alias("text"), "n_chars": F.char_length(text).cast("long").alias("n_chars")}
+def _unwrapped(out: DataFrame, columns: list[str], text, changed: bool = True) -> DataFrame:
+    """``columns`` from the row and the text; n_chars follows a changed text."""
+    put = {"text": text.alias("text")} | ({"n_chars": F.char_length(text).cast("long").alias("n_chars")} if changed else {})
     return out.select(*(put.get(c, F.col("row").getField(c).alias(c)) for c in columns))
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    tagged = langid.identify(_wrapped(docs), langid.training_samples(docs), keep=["row"])
-    return _unwrapped(tagged.where(F.col("lang_pred") != langid.UNKNOWN), docs.columns)
+    tagged = langid.identify(_wrapped(docs), langid.training_samples(docs), keep=["row", "text"])
+    return _unwrapped(tagged.where(F.col("lang_pred") != langid.UNKNOWN), docs.columns, F.col("text"), changed=False)
 
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
