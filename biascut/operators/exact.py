@@ -46,7 +46,7 @@ def exact_val(edges: DataFrame, max_n: int = 20) -> DataFrame:
             terms.append(bit(u) * inner)
     score = sum(terms[1:], terms[0])
     best = spark.range(1 << n).select(score.alias("s")).agg(F.max("s").alias("cut"))
-    return best.select("cut", F.lit(int(total) if whole else float(total)).alias("m"), (F.col("cut") / F.lit(float(total))).alias("value"))
+    return best.select("cut", F.lit(int(total) if whole else float(total)).cast("long" if whole else "double").alias("m"), (F.col("cut") / F.lit(float(total))).alias("value"))
 
 
 def component_labels(edges: DataFrame, rounds: int = 50) -> DataFrame:
