@@ -9,6 +9,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from ..operators.hashing import PRIME, poly4_int
@@ -45,7 +46,7 @@ class Layers:
             yield a, q, min(p0 / q, 1.0)
 
 
-@pandas_udf("long")
+@pandas_udf(T.LongType())
 def poly4_check(vid: pd.Series, c0: pd.Series, c1: pd.Series, c2: pd.Series, c3: pd.Series) -> pd.Series:
     """The vertex hash in Python: a cross-check of the expression."""
     return pd.Series([poly4_int(int(v), (int(a), int(b), int(c), int(d))) for v, a, b, c, d in zip(vid, c0, c1, c2, c3)])
@@ -54,7 +55,7 @@ def poly4_check(vid: pd.Series, c0: pd.Series, c1: pd.Series, c2: pd.Series, c3:
 def oblivious_value_agg(r: list[float]):
     """A grouped Arrow aggregate (i, j, x) -> value of a rule with probabilities ``r``."""
 
-    @pandas_udf("double")
+    @pandas_udf(T.DoubleType())
     def agg(i: pd.Series, j: pd.Series, x: pd.Series) -> float:
         p = pd.Series(r, index=range(1, len(r) + 1))
         return float((x.to_numpy() * p[i].to_numpy() * (1 - p[j].to_numpy())).sum())
