@@ -16,21 +16,24 @@ def _by_layer(p: Params, values):
     return F.element_at(F.create_map(*(x for a in p.layers for x in (F.lit(a), F.lit(values(a))))), F.col("layer"))
 
 
-def apparent_stats(s: Sketch) -> DataFrame:
-    """(layer, vid, d_out, d_in, deg, a, i): sampled degrees and the classes they suggest."""
-    p = s.one
-    ends = _ends(s.edges)
-    d = ends.groupBy("layer", "vid").agg(F.sum("out").alias("d_out"), F.sum(1 - F.col("out")).alias("d_in"))
-    d = d.withColumn("deg", F.col("d_out") + F.col("d_in"))
+def _suggested(d: DataFrame, p: Params) -> DataFrame:
     scaled = F.least(F.col("deg") * _by_layer(p, lambda a: 1 << p.shift(a)), F.lit(1 << p.k))
     return d.withColumn("a", degree_class(scaled, p.k)).withColumn("i", class_index((F.col("d_out") - F.col("d_in")) / F.col("deg"), p.t) if p.t else bias_class(F.col("d_out"), F.col("deg"), p.ell))
 
 
+def apparent_stats(s: Sketch) -> DataFrame:
+    """(layer, vid, d_out, d_in, deg, a, i): stored degrees and the classes they suggest."""
+    d = _ends(s.edges).groupBy("layer", "vid").agg(F.sum("out").alias("d_out"), F.sum(1 - F.col("out")).alias("d_in"))
+    return _suggested(d.withColumn("deg", F.col("d_out") + F.col("d_in")), s.one)
+
+
 def usable_vertices(s: Sketch, true_classes: DataFrame | None = None) -> DataFrame:
     """(layer, vid, a, i) of unsaturated vertices whose degree class is within w of their layer.
-    ``true_classes`` (vid, a, i) replaces the apparent classes (an oracle variant)."""
+    ``true_classes`` (vid, a, i) replaces the apparent classes (an oracle variant).
+
+    Below the cap, stored and sampled degrees agree: while the sample is at hand its sums serve."""
     p = s.one
-    x = apparent_stats(s).where(F.col("deg") < p.e_cap)
+    x = (_suggested(s.stats, p) if s.stats is not None else apparent_stats(s)).where(F.col("deg") < p.e_cap)
     if true_classes is not None:
         x = x.drop("a", "i").join(true_classes.select("vid", "a", "i"), "vid")
     return x.where(F.abs(F.col("a") - F.col("layer")) <= p.w).select("layer", "vid", "a", "i")
@@ -42,7 +45,9 @@ def layer_pairs(s: Sketch, usable: DataFrame | None = None, cross: str = "all")
     usable = usable if usable is not None else usable_vertices(s)
     tail = usable.select(F.col("vid").alias("u"), F.col("layer").alias("la"), "a", "i")
     head = usable.select(F.col("vid").alias("v"), F.col("layer").alias("lb"), F.col("a").alias("b"), F.col("i").alias("j"))
-    x = s.edges.select("layer", "eid", "u", "v").join(tail, "u").where("la >= layer").join(head, "v").where("lb >= layer and least(la, lb) = layer")
+    # ends below the cap keep all their edges, so trimming removes none of these
+    rows = s.sample if s.sample is not None else s.edges
+    x = rows.select("layer", "eid", "u", "v").join(tail, "u").where("la >= layer").join(head, "v").where("lb >= layer and least(la, lb) = layer")
     if cross == "in_layer":
         x = x.where("la = lb")
     return x.groupBy("la", "lb", "a", "b", "i", "j").agg(F.count(F.lit(1)).alias("n"))

@@ -30,6 +30,9 @@ class Sketch:
     edges: DataFrame
     overflow: DataFrame
     params: dict[int, Params]
+    #: while the sample is at hand: its untrimmed edges, and its (guess, layer, vid, d_out, d_in, deg)
+    sample: DataFrame | None = None
+    stats: DataFrame | None = None
 
     @property
     def one(self) -> Params:
@@ -61,17 +64,23 @@ def _nested_layers(edges: DataFrame, params: dict[int, Params]) -> DataFrame:
         word = edge_word(F.col("eid"), F.concat_ws(":", F.lit("n"), F.lit(p.seed)), p.coin)
         rows = p.rows(g)
         c = rows[0][4:]
-        top = F.lit(0)
-        for a in p.layers:  # rates fall: the last layer whose coin falls
-            top = F.when(below(word, F.lit(p.q(a))), F.lit(a)).otherwise(top) if p.q(a) < 1 else F.lit(a)
-
-        def first(end):
-            h, at = poly4(F.col(end), *c), F.lit(p.k + 1)
-            for r in reversed(rows):
-                at = F.when(h < F.lit(r[3]), F.lit(r[1])).otherwise(at)
+        firsts = {r[3]: r[1] for r in reversed(rows)}
+        if p.single_layer:
+            raise ValueError("a single layer has nothing to nest")
+        # rates halve with each layer past k_star, so the coin's leading zeros name the last layer it falls in
+        zeros = F.when(F.col("word") == 0, 32).otherwise(32 - F.length(F.bin("word")))
+        top = F.lit(p.k) if p.force_q1 else F.least(F.lit(p.k), p.k_star + zeros)
+
+        def first(h):
+            at = F.lit(p.k + 1)
+            for threshold, layer in sorted(firsts.items(), reverse=True):  # few differ: they double up to one
+                at = F.when(F.col(h) < F.lit(threshold), F.lit(layer)).otherwise(at)
             return at
 
-        x = edges.select("eid", "u", "v", top.alias("top"), first("u").alias("fu"), first("v").alias("fv"))
+        # each word and hash is made once; a vertex tracked by no layer needs no coin
+        x = edges.select("eid", "u", "v", poly4(F.col("u"), *c).alias("hu"), poly4(F.col("v"), *c).alias("hv"))
+        x = x.where(F.least("hu", "hv") < max(r[3] for r in rows)).select("*", word.alias("word"))
+        x = x.select("eid", "u", "v", top.alias("top"), first("hu").alias("fu"), first("hv").alias("fv"))
         least = F.greatest("fu", "fv") if p.store == "induced" else F.least("fu", "fv")
         x = x.where(F.col("top") >= least)  # stored once; layers unfold only for the sample
         x = x.select("eid", "u", "v", "fu", "fv", F.explode(F.sequence(least, F.col("top"))).alias("layer"))
@@ -87,8 +96,10 @@ def _ends(rows: DataFrame) -> DataFrame:
     return x.where("e.keep").select("guess", "layer", F.col("e.vid").alias("vid"), F.col("e.out").alias("out"), "eid", "u", "v", "keep_u", "keep_v")
 
 
-def tracked_vertices(rows: DataFrame) -> DataFrame:
-    return _ends(rows).select("guess", "layer", "vid").distinct()
+def sampled_stats(rows: DataFrame) -> DataFrame:
+    """(guess, layer, vid, d_out, d_in, deg) of the tracked vertices; partial sums before the shuffle."""
+    d = _ends(rows).groupBy("guess", "layer", "vid").agg(F.sum("out").alias("d_out"), F.count(F.lit(1)).alias("deg"))
+    return d.select("guess", "layer", "vid", "d_out", (F.col("deg") - F.col("d_out")).alias("d_in"), "deg")
 
 
 def overflow_layers(vertices: DataFrame, params: dict[int, Params]) -> DataFrame:
@@ -98,18 +109,29 @@ def overflow_layers(vertices: DataFrame, params: dict[int, Params]) -> DataFrame
     return n.withColumn("overflow", F.col("n") > F.element_at(cap, F.col("guess")))
 
 
-def trim(rows: DataFrame, params: dict[int, Params]) -> DataFrame:
+def trim(rows: DataFrame, stats: DataFrame, params: dict[int, Params]) -> DataFrame:
     """Keeps an edge iff it is among the first e_cap, by a hash of its id, of one of its tracked ends.
 
     A vertex below the cap keeps all its layer's edges, and stored degrees reach the cap exactly when
-    sampled ones do.  The rank limit is applied in each map task first, so no hub meets one reducer.
+    sampled ones do.  So only edges all of whose tracked ends are over the cap are ranked, and the
+    rank limit is applied in each map task first: no hub meets one reducer.
     """
     p = next(iter(params.values()))
+    cap = F.element_at(F.create_map(*(x for g, q in params.items() for x in (F.lit(g), F.lit(int(q.e_cap))))), F.col("guess"))
+    heavy = stats.where(F.col("deg") > cap).select("guess", "layer", "vid")
+    at = lambda end: heavy.select("guess", "layer", F.col("vid").alias(end), F.lit(True).alias(f"heavy_{end}"))
+    x = rows.join(at("u"), ["guess", "layer", "u"], "left").join(at("v"), ["guess", "layer", "v"], "left")
+    free = lambda end: F.col(f"keep_{end}") & F.col(f"heavy_{end}").isNull()
+    names = ["guess", "layer", "eid", "u", "v", "keep_u", "keep_v"]
+    light = x.where(free("u") | free("v")).select(names)
+    # every edge of a heavy vertex has a rank with it, kept or not for other reasons
     word = edge_word(F.col("eid"), F.concat_ws(":", F.lit("t"), F.lit(p.seed)), p.coin)
     by = W.partitionBy("guess", "layer", "vid").orderBy("word", "eid")
-    cap = max(min(q.e_cap, (1 << 31) - 2) for q in params.values())
-    ranked = _ends(rows).withColumn("word", word).withColumn("rank", F.row_number().over(by)).where(F.col("rank") <= cap)
-    return ranked.select("guess", "layer", "eid", "u", "v", "keep_u", "keep_v").distinct()
+    most = max(min(q.e_cap, (1 << 31) - 2) for q in params.values())
+    bound = x.where("heavy_u or heavy_v").select(*names, (free("u") | free("v")).alias("free"))
+    ends = bound.select("*", F.explode(F.array(F.struct(F.col("u").alias("vid"), F.col("keep_u").alias("keep")), F.struct(F.col("v").alias("vid"), F.col("keep_v").alias("keep")))).alias("e")).where("e.keep")
+    ranked = ends.select(*names, "free", F.col("e.vid").alias("vid"), word.alias("word")).withColumn("rank", F.row_number().over(by)).where((F.col("rank") <= most) & ~F.col("free"))
+    return light.unionByName(ranked.select(names).distinct())
 
 
 def build_sketch(edges: DataFrame, params: Params | dict[int, Params], m: DataFrame | None = None) -> Sketch:
@@ -124,11 +146,11 @@ def build_sketch(edges: DataFrame, params: Params | dict[int, Params], m: DataFr
 
 
 def _finish(rows: DataFrame, m: DataFrame, params: dict[int, Params]) -> Sketch:
-    vertices = tracked_vertices(rows)
-    over = overflow_layers(vertices, params)
-    lost = over.where("overflow").select("guess", "layer")
-    rows, vertices = rows.join(lost, ["guess", "layer"], "left_anti"), vertices.join(lost, ["guess", "layer"], "left_anti")
-    return Sketch(m, vertices, trim(rows, params).persist(), over, params)
+    stats = sampled_stats(rows).persist()
+    over = overflow_layers(stats, params)
+    lost = F.broadcast(over.where("overflow").select("guess", "layer"))  # guesses x layers rows at most
+    rows, stats = rows.join(lost, ["guess", "layer"], "left_anti"), stats.join(lost, ["guess", "layer"], "left_anti")
+    return Sketch(m, stats.select("guess", "layer", "vid"), trim(rows, stats, params), over, params, rows, stats)
 
 
 def combine(one: Sketch, two: Sketch) -> Sketch:
@@ -136,7 +158,7 @@ def combine(one: Sketch, two: Sketch) -> Sketch:
     layer lost in either is lost."""
     m = one.meta.unionByName(two.meta).agg(F.sum("m").alias("m"))
     s = _finish(one.edges.unionByName(two.edges), m, one.params)
-    lost = one.overflow.where("overflow").select("guess", "layer").union(two.overflow.where("overflow").select("guess", "layer")).distinct()
+    lost = F.broadcast(one.overflow.where("overflow").select("guess", "layer").union(two.overflow.where("overflow").select("guess", "layer")).distinct())  # guesses x layers rows at most
     flags = s.overflow.unionByName(lost.withColumn("n", F.lit(0).cast("long")).withColumn("overflow", F.lit(True))).groupBy("guess", "layer").agg(F.max("n").alias("n"), F.max("overflow").alias("overflow"))
     return Sketch(s.meta, s.vertices.join(lost, ["guess", "layer"], "left_anti"), s.edges.join(lost, ["guess", "layer"], "left_anti"), flags, one.params)
 
