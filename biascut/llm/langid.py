@@ -75,14 +75,15 @@ class SuffixAutomaton:
                         p = link[p]
                     link[q] = link[new] = copy
             last = new
-        table = np.zeros((len(edges), alphabet), np.uint32)
+        # a missing edge restarts at the root with the same symbol and counts a phrase
+        restart = np.zeros(alphabet, np.uint32)
+        restart[list(edges[0])] = np.fromiter(edges[0].values(), np.uint32, len(edges[0])) * np.uint32(alphabet)
+        table = np.empty((len(edges), alphabet), np.uint32)
+        table[:] = restart | _MARK
         for s, e in enumerate(edges):
             if e:
                 table[s, list(e)] = np.fromiter(e.values(), np.uint32, len(e)) * np.uint32(alphabet)
-        # a missing edge restarts at the root with the same symbol and counts a phrase
-        restart = table[0] | _MARK
-        self.table = np.where(table == 0, restart[None, :], table).ravel()
-        self.size = len(symbols)
+        self.table, self.size = table.ravel(), len(symbols)
 
 
 class CrossParser:
@@ -92,13 +93,14 @@ class CrossParser:
         self.languages = sorted(samples)
         seen = Counter(c for s in samples.values() for c in s.lower() if c.isalpha())
         kept = [c for c, _ in sorted(seen.items(), key=lambda x: (-x[1], x[0]))[: SYMBOLS - 2]]
+        alphabet = len(kept) + 2
         self.symbol = np.zeros(0x110000, np.uint8)
-        self.symbol[letters()] = SYMBOLS - 1  # letters that no sample holds
+        self.symbol[letters()] = alphabet - 1  # letters that no sample holds
         for k, c in enumerate(kept):
             self.symbol[ord(c)] = k + 1
             if len(u := c.upper()) == 1:
                 self.symbol[ord(u)] = k + 1
-        self.automata = [SuffixAutomaton(self.symbols(np.array([ord(c) for c in samples[x]], np.uint32), np.array([0, len(samples[x])]))[0].tolist(), SYMBOLS) for x in self.languages]
+        self.automata = [SuffixAutomaton(self.symbols(np.array([ord(c) for c in samples[x]], np.uint32), np.array([0, len(samples[x])]))[0].tolist(), alphabet) for x in self.languages]
 
     def symbols(self, points: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Symbols with runs of blanks made one, and where each text starts among them."""
