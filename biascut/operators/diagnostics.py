@@ -9,7 +9,8 @@ from pyspark.sql import functions as F
 
 from .classes import bias_class, degree_class
 from .hashing import poly4
-from .layered import Sketch, build_sketch, edge_layers
+from .edges import as_weighted
+from .layered import Sketch, build_sketch, edge_layers, layer_table
 from .params import Params
 from .snapshot import vertex_classes
 from .vertex_stats import degrees
@@ -90,12 +91,32 @@ def vertex_sandwich(edges: DataFrame, p: Params) -> DataFrame:
 
 
 def sandwich_sums(edges: DataFrame, p: Params) -> DataFrame:
-    """(la, lb, y): weighted counts over exact classes in the sampled edges of layer min(la, lb), which
-    average q times the counts of the graph; one row a pair of degree classes."""
+    """(la, lb, y, x): over the exact degree classes of both ends, the sampled edges of layer min(la, lb),
+    which average q times the graph's, and those of them whose ends both layers track, which average
+    p p times y; one row a pair of classes."""
     c = vertex_classes(edges, p.ell, p.k)
-    rows = edge_layers(edges, {0: p.replace(force_p1=True)})
+    rows = edge_layers(edges, {0: p.replace(force_p1=True)}).select("layer", "u", "v")
     x = rows.join(c.select(F.col("vid").alias("u"), F.col("a").alias("la")), "u").join(c.select(F.col("vid").alias("v"), F.col("a").alias("lb")), "v").where("layer = least(la, lb)")
-    return x.groupBy("la", "lb").agg(F.count(F.lit(1)).alias("y"))
+    table = layer_table(edges.sparkSession, {0: p}).select(F.col("layer").alias("l"), "threshold", *(f"c{j}" for j in range(4)))
+
+    def tracked(df, end, layer):
+        own = F.broadcast(table.select(F.col("l").alias(layer), *(F.col(n).alias(f"{n}_{end}") for n in table.columns[1:])))  # a row a layer
+        return df.join(own, layer).withColumn(f"in_{end}", poly4(F.col(end), *(F.col(f"c{j}_{end}") for j in range(4))) < F.col(f"threshold_{end}"))
+
+    x = tracked(tracked(x, "u", "la"), "v", "lb")
+    return x.groupBy("la", "lb").agg(F.count(F.lit(1)).alias("y"), F.sum((F.col("in_u") & F.col("in_v")).cast("long")).alias("x"))
+
+
+def count_events(edges: DataFrame, p: Params) -> DataFrame:
+    """(la, lb, edges, y, x, y_off, x_off): the two counting events, as deviations from the expected
+    counts in units of their standard deviations (pairwise independent coins)."""
+    c = vertex_classes(edges, p.ell, p.k)
+    e = as_weighted(edges).select("u", "v").join(c.select(F.col("vid").alias("u"), F.col("a").alias("la")), "u").join(c.select(F.col("vid").alias("v"), F.col("a").alias("lb")), "v")
+    n = e.groupBy("la", "lb").agg(F.count(F.lit(1)).alias("edges")).join(sandwich_sums(edges, p), ["la", "lb"], "left").fillna(0)
+    rate = lambda f, c: F.element_at(F.create_map(*(v for a in p.layers for v in (F.lit(a), F.lit(float(f(a)))))), c)
+    q, pp = rate(p.q, F.least("la", "lb")), rate(p.p, F.col("la")) * rate(p.p, F.col("lb"))
+    off = lambda got, want, share: F.when(share >= 1, F.abs(got - want)).otherwise(F.abs(got - want) / F.sqrt(F.greatest(want * (1 - share), F.lit(1.0))))
+    return n.withColumns({"y_off": off(F.col("y"), q * F.col("edges"), q), "x_off": off(F.col("x"), pp * F.col("y"), pp)})
 
 
 def dependence(edges: DataFrame, p: Params) -> DataFrame:

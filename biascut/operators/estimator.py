@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .classes import bias_class, class_index, degree_class
+from .classes import bias_class, class_index, degree_class, degree_class_general
 from .layered import Sketch, _ends
 from .oblivious import Selection, oblivious_value
 from .params import Params
@@ -18,7 +18,7 @@ def _by_layer(p: Params, values):
 
 def _suggested(d: DataFrame, p: Params) -> DataFrame:
     scaled = F.least(F.col("deg") * _by_layer(p, lambda a: 1 << p.shift(a)), F.lit(1 << p.k))
-    return d.withColumn("a", degree_class(scaled, p.k)).withColumn("i", class_index((F.col("d_out") - F.col("d_in")) / F.col("deg"), p.t) if p.t else bias_class(F.col("d_out"), F.col("deg"), p.ell))
+    return d.withColumn("a", degree_class_general(scaled, p.d) if p.d else degree_class(scaled, p.k)).withColumn("i", class_index((F.col("d_out") - F.col("d_in")) / F.col("deg"), p.t) if p.t else bias_class(F.col("d_out"), F.col("deg"), p.ell))
 
 
 def apparent_stats(s: Sketch) -> DataFrame:

@@ -30,6 +30,7 @@ class Params:
     force_q1: bool = False
     single_layer: int | None = None
     t: tuple[float, ...] | None = None  # bias thresholds; None: ell equal classes, in integers
+    d: tuple[float, ...] | None = None  # degree thresholds; None: dyadic
     rising: bool = True  # False: every layer tracks with p0, however sparse its edges
 
     def q(self, a: int) -> float:

@@ -5,16 +5,16 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .classes import bias_class, class_index, degree_class
+from .classes import bias_class, class_index, degree_class, degree_class_general
 from .edges import as_weighted
 from .vertex_stats import degrees
 
 
-def vertex_classes(edges: DataFrame, ell: int, k: int | None = None, thresholds: tuple[float, ...] | None = None) -> DataFrame:
-    """(vid, i) and with ``k`` also the degree class a."""
+def vertex_classes(edges: DataFrame, ell: int, k: int | None = None, thresholds: tuple[float, ...] | None = None, degree_thresholds: tuple[float, ...] | None = None) -> DataFrame:
+    """(vid, i) and with ``k`` also the degree class a (dyadic, or by thresholds)."""
     d = degrees(edges)
     i = class_index((F.col("d_out") - F.col("d_in")) / F.col("deg"), thresholds) if thresholds else bias_class(F.col("d_out"), F.col("deg"), ell)
-    return d.select("vid", *([degree_class(F.col("deg"), k).alias("a")] if k else []), i.alias("i"))
+    return d.select("vid", *([(degree_class_general(F.col("deg"), degree_thresholds) if degree_thresholds else degree_class(F.col("deg"), k)).alias("a")] if k else []), i.alias("i"))
 
 
 def _labelled(edges: DataFrame, classes: DataFrame, names: list[str]) -> DataFrame:
@@ -40,9 +40,9 @@ def snapshot(edges: DataFrame, ell: int, thresholds: tuple[float, ...] | None =
     return normalised(snapshot_counts(edges, ell, thresholds))
 
 
-def refined_counts(edges: DataFrame, ell: int, k: int, thresholds: tuple[float, ...] | None = None) -> DataFrame:
+def refined_counts(edges: DataFrame, ell: int, k: int, thresholds: tuple[float, ...] | None = None, degree_thresholds: tuple[float, ...] | None = None) -> DataFrame:
     """(a, b, i, j, weight) over degree and bias classes of tail and head."""
-    x = _labelled(edges, vertex_classes(edges, ell, k, thresholds), ["a", "i"])
+    x = _labelled(edges, vertex_classes(edges, ell, k, thresholds, degree_thresholds), ["a", "i"])
     return x.groupBy("a", "b", "i", "j").agg(F.sum("weight").alias("weight"))
 
 

@@ -79,6 +79,19 @@ def projection_identity(e: DataFrame) -> DataFrame:
 add("projection_identity", over("goods_flow", projection_identity), f"{o.graph('goods_flow')}, {o.cells()} SELECT count(*)::BIGINT AS cells, 0::BIGINT AS differ FROM sn")
 add("rollup_refined", over("user_item", lambda e: sn.rollup_refined(sn.refined_counts(e, ELL, K))), f"{o.graph('user_item')}, {o.refined()} SELECT coalesce(a, 0)::INT AS a, coalesce(b, 0)::INT AS b, coalesce(i, 0)::INT AS i, coalesce(j, 0)::INT AS j, weight, gid FROM (SELECT a, b, i, j, sum(weight)::BIGINT AS weight, grouping_id(a, b, i, j)::BIGINT AS gid FROM rf GROUP BY CUBE (a, b, i, j))")
 add("topk_hubs", over("page_nav", lambda e: temporal.top_hubs(vs.degrees(e))), f"WITH {o.edges('page_nav')}, {o.stats()} SELECT * FROM st ORDER BY deg DESC, vid LIMIT 10")
+add("degree_quantiles", over("goods_flow", lambda e: vs.degrees(e).agg(F.percentile("deg", F.lit(0.5)).alias("median"), F.percentile("deg", F.lit(0.99)).alias("p99"))), f"WITH {o.edges('goods_flow')}, {o.stats()} SELECT quantile_cont(deg, 0.5)::DOUBLE AS median, quantile_cont(deg, 0.99)::DOUBLE AS p99 FROM st")
+add("approx_vertices", over("goods_flow", lambda e: e.select(F.explode(F.array("u", "v")).alias("vid")).agg(F.approx_count_distinct("vid", 0.02).alias("n"))))
+
+
+def edge_set_operations(spark: SparkSession, d: str) -> DataFrame:
+    """Pairs of two workloads: in both, more often in the first (as multisets), in either."""
+    a, b = (wl.workload(spark, d, w).select("u", "v") for w in ("goods_flow", "ship_bipartite"))
+    n = lambda df, name: df.agg(F.count(F.lit(1)).alias(name))
+    return n(a.intersect(b), "both").join(F.broadcast(n(a.exceptAll(b), "more"))).join(F.broadcast(n(a.union(b).distinct(), "either")))  # single rows
+
+
+add("edge_set_operations", edge_set_operations, f"WITH {o.edges('goods_flow', 'a')}, {o.edges('ship_bipartite', 'b')} SELECT (SELECT count(*)::BIGINT FROM (SELECT u, v FROM a INTERSECT SELECT u, v FROM b)) AS both, (SELECT count(*)::BIGINT FROM (SELECT u, v FROM a EXCEPT ALL SELECT u, v FROM b)) AS more, (SELECT count(*)::BIGINT FROM (SELECT u, v FROM a UNION SELECT u, v FROM b)) AS either")
+add("general_degree_classes", over("goods_flow", lambda e: sn.refined_counts(e, ELL, 4, degree_thresholds=(1.0, 10.0, 50.0, 400.0, 1e12))), f"WITH {o.edges('goods_flow')}, {o.stats()}, cl AS (SELECT vid, {o.bias_class(ELL)} AS i, (1 + (deg >= 10)::INT + (deg >= 50)::INT + (deg >= 400)::INT)::INT AS a FROM st), {o.refined()} SELECT * FROM rf")
 
 # windows and smoothing
 _X = f"sx AS (SELECT i, j, weight / (SELECT sum(weight) FROM sn)::DOUBLE AS x FROM sn)"
@@ -214,7 +227,8 @@ add("vertex_sandwich_unsampled", over("user_item", lambda e: diagnostics.vertex_
 add("vertex_sandwich_violations", over("goods_flow", lambda e: diagnostics.vertex_sandwich(e, SKETCH)))
 add("good_events", over("goods_flow", lambda e: r9(diagnostics.good_events(e, SKETCH), "margin")))
 add("sample_sizes", over("goods_flow", lambda e: diagnostics.sample_sizes(e, SKETCH)), o.sketch(SKETCH, "goods_flow") + " SELECT a.layer, m_a, n_a, coalesce(k.kept, 0)::BIGINT AS kept FROM (SELECT layer, count(*)::BIGINT AS m_a FROM coined GROUP BY 1) a JOIN (SELECT layer, count(DISTINCT vid)::BIGINT AS n_a FROM (SELECT layer, u AS vid FROM coined UNION ALL SELECT layer, v FROM coined) GROUP BY 1) b ON a.layer = b.layer LEFT JOIN (SELECT layer, count(*) AS kept FROM tv GROUP BY 1) k ON a.layer = k.layer")
-add("sandwich_sums", over("goods_flow", lambda e: diagnostics.sandwich_sums(e, SKETCH)), o.sketch(SKETCH, "goods_flow") + f", {o.stats()}, {o.classes()} SELECT s.a AS la, t.a AS lb, count(*)::BIGINT AS y FROM coined JOIN cl s ON u = s.vid JOIN cl t ON v = t.vid WHERE layer = least(s.a, t.a) GROUP BY 1, 2")
+add("sandwich_sums", over("goods_flow", lambda e: diagnostics.sandwich_sums(e, SKETCH)), o.sketch(SKETCH, "goods_flow") + f", {o.stats()}, {o.classes()}, mb AS (SELECT layer, vid FROM st JOIN par ON {o.poly('vid')} < thr) SELECT s.a AS la, t.a AS lb, count(*)::BIGINT AS y, count(*) FILTER (WHERE mu.vid IS NOT NULL AND mv.vid IS NOT NULL)::BIGINT AS x FROM coined JOIN cl s ON u = s.vid JOIN cl t ON v = t.vid LEFT JOIN mb mu ON mu.layer = s.a AND mu.vid = u LEFT JOIN mb mv ON mv.layer = t.a AND mv.vid = v WHERE coined.layer = least(s.a, t.a) GROUP BY 1, 2")
+add("count_events", over("goods_flow", lambda e: r9(diagnostics.count_events(e, SKETCH), "y_off", "x_off")))
 add("dependence_degrees", over("goods_flow", lambda e: diagnostics.dependence(e, SKETCH)))
 add("space_report", over("goods_flow", lambda e: diagnostics.space_report(sketch_of(e)).select("layer", "vertices", "edges")), o.sketch(SKETCH, "goods_flow") + " SELECT layer, (SELECT count(*) FROM tv WHERE tv.layer = par.layer)::BIGINT AS vertices, (SELECT count(*) FROM tr WHERE tr.layer = par.layer)::BIGINT AS edges FROM par WHERE layer IN (SELECT layer FROM tv)")
 add("ratio_regions", over("region_trade", lambda e: r9(diagnostics.ratio_report(bl.exact_snapshot_value(e, SEL), exact.exact_val(e)), "estimate", "val", "ratio", "additive")))
