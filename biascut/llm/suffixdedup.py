@@ -319,7 +319,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
     shape = F.struct("uid", "p", "before", "after")
     reps = materialize(found.where("not alike").groupBy("kh", "ch").agg(F.count(F.lit(1)).alias("n"), F.min(shape).alias("at")).select("kh", "ch", "n", "at.*"), "contexts")
     groups = reps.groupBy("kh").agg(F.count(F.lit(1)).alias("size"))
-    share = max(1024, reps.count() // shuffle_partitions(spark))
+    share = max(512, reps.count() // shuffle_partitions(spark))
     big = materialize(groups.where(F.col("size") > share).select("kh"), "big-groups")
     runs = [materialize(_sorted_runs(_contexts(docs, reps.join(big, "kh", "left_anti")), length, gram), "runs")]
     _collect_garbage(spark)
