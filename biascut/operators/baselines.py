@@ -9,6 +9,7 @@ from .edges import as_weighted
 from .exact import cut_value, exact_val, local_search_cut
 from .guess import sparsify, sparsify_rate
 from .hashing import hash01
+from .lineage import cut_lineage
 from .oblivious import Selection, oblivious_value, oblivious_value_exact, uniform_clamped
 from .snapshot import normalised, snapshot_counts
 from .vertex_stats import degrees, net_flow
@@ -130,7 +131,7 @@ def sparsified_value(edges: DataFrame, n: int, eps: float, max_n: int = 20, seed
     """One row: the near-optimal linear-space way, sparsify and solve (exactly for few vertices, else
     by local search)."""
     m = edges.count()
-    s = sparsify(edges, sparsify_rate(n, m, eps), seed).checkpoint()
+    s = cut_lineage(sparsify(edges, sparsify_rate(n, m, eps), seed))
     try:
         return exact_val(s, max_n)
     except ValueError:

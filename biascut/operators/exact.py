@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .edges import as_weighted
+from .lineage import cut_lineage
 
 
 def cut_value(edges: DataFrame, cut: DataFrame) -> DataFrame:
@@ -51,13 +52,13 @@ def exact_val(edges: DataFrame, max_n: int = 20) -> DataFrame:
 
 def component_labels(edges: DataFrame, rounds: int = 50) -> DataFrame:
     """(vid, root) by repeated minima over neighbours and pointer jumps, checkpointed each round."""
-    both = edges.select("u", "v").union(edges.select(F.col("v"), F.col("u"))).distinct().checkpoint()
-    label = both.select(F.col("u").alias("vid")).distinct().withColumn("root", F.col("vid")).checkpoint()
+    both = cut_lineage(edges.select("u", "v").union(edges.select(F.col("v"), F.col("u"))).distinct())
+    label = cut_lineage(both.select(F.col("u").alias("vid")).distinct().withColumn("root", F.col("vid")))
     for _ in range(rounds):
         near = both.join(label.select(F.col("vid").alias("v"), "root"), "v").groupBy(F.col("u").alias("vid")).agg(F.min("root").alias("least"))
         step = label.join(near, "vid").select("vid", F.least("root", "least").alias("root"))
         jump = step.select(F.col("vid").alias("root"), F.col("root").alias("up"))
-        now = step.join(jump, "root", "left").select("vid", F.coalesce("up", "root").alias("root")).checkpoint()
+        now = cut_lineage(step.join(jump, "root", "left").select("vid", F.coalesce("up", "root").alias("root")))
         moved = now.join(label.withColumnRenamed("root", "was"), "vid").where("root <> was").limit(1).count()
         label = now
         if not moved:
@@ -110,12 +111,12 @@ def local_search_cut(edges: DataFrame, rounds: int = 6, seed: int = 0) -> DataFr
     better side.  A lower bound for graphs beyond enumeration."""
     from .vertex_stats import degrees
 
-    pairs = as_weighted(edges).groupBy("u", "v").agg(F.sum("weight").alias("weight")).checkpoint()
-    cut = degrees(edges).select("vid", (F.col("d_out") > F.col("d_in")).cast("int").alias("side")).checkpoint()
+    pairs = cut_lineage(as_weighted(edges).groupBy("u", "v").agg(F.sum("weight").alias("weight")))
+    cut = cut_lineage(degrees(edges).select("vid", (F.col("d_out") > F.col("d_in")).cast("int").alias("side")))
     for r in range(rounds):
         x = pairs.join(cut.select(F.col("vid").alias("u"), F.col("side").alias("xu")), "u").join(cut.select(F.col("vid").alias("v"), F.col("side").alias("xv")), "v")
         # gain of label 1: out-edges to 0s; gain of label 0: in-edges from 1s
         gain = x.select(F.explode(F.array(F.struct(F.col("u").alias("vid"), ((1 - F.col("xv")) * F.col("weight")).alias("g")), F.struct(F.col("v").alias("vid"), (-F.col("xu") * F.col("weight")).alias("g")))).alias("e")).groupBy("e.vid").agg(F.sum("e.g").alias("g"))
         turn = hashed_side(F.col("vid"), seed + r) == 1
-        cut = cut.join(gain, "vid", "left").select("vid", F.when(turn, (F.coalesce("g", F.lit(0)) > 0).cast("int")).otherwise(F.col("side")).alias("side")).checkpoint()
+        cut = cut_lineage(cut.join(gain, "vid", "left").select("vid", F.when(turn, (F.coalesce("g", F.lit(0)) > 0).cast("int")).otherwise(F.col("side")).alias("side")))
     return cut

@@ -120,7 +120,9 @@ def embed_knn(spark, d, k: int = 8):
     tiles = max(1, t.count() // 2048)
     t = t.withColumn("tile", F.pmod(F.xxhash64("vec_id"), F.lit(tiles)).cast("int"))
     packed = t.groupBy("tile").agg(F.collect_list(F.struct("vec_id", "embedding")).alias("rows"))
-    pairs = packed.withColumnsRenamed({"tile": "t1", "rows": "r1"}).join(packed.withColumnsRenamed({"tile": "t2", "rows": "r2"}), F.lit(True))  # tiles^2 rows
+    # every tile asks for every tile by number: tiles^2 rows, dealt by an equi-join
+    asks = packed.select(F.col("rows").alias("r1"), F.explode(F.sequence(F.lit(0), F.lit(tiles - 1))).alias("tile"))
+    pairs = asks.join(packed.select("tile", F.col("rows").alias("r2")), "tile")
 
     def best(batches):
         for pdf in batches:
