@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import hashed_head, materialize
 
 TREES, BITS, BLOCK, STARTS = 12, 28, 256, 12
 DEGREE, ROUNDS, OFFERS = 28, 2, 8
@@ -57,7 +57,22 @@ def _matrix(column, d: int) -> np.ndarray:
 
 
 def _bytes_matrix(column, d: int, kind) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), kind).reshape(-1, d)
+    """Equally long byte strings as rows, read in place from the column's buffer."""
+    if isinstance(column, pa.ChunkedArray):
+        column = column.combine_chunks()
+    n = len(column)
+    if not n:
+        return np.zeros((0, d), kind)
+    wide = np.int64 if pa.types.is_large_binary(column.type) else np.int32
+    off = np.frombuffer(column.buffers()[1], wide, n + 1, column.offset * wide().itemsize)
+    return np.frombuffer(column.buffers()[2], np.uint8)[off[0] : off[-1]].view(kind).reshape(-1, d)
+
+
+def _cut(batches, rows: int):
+    """Batches of at most ``rows`` rows: bounds what one step unpacks."""
+    for b in batches:
+        for i in range(0, b.num_rows, rows):
+            yield b.slice(i, rows)
 
 
 def _quantised(x: np.ndarray) -> tuple[list[bytes], np.ndarray]:
@@ -97,11 +112,6 @@ def _lists(schema_ids, schema_sims):
     return pa.array([x.astype("<i8").tobytes() for x in schema_ids], pa.binary()), pa.array([x.astype("<f4").tobytes() for x in schema_sims], pa.binary())
 
 
-def _column(table, k):
-    c = table.column(k)
-    return c.combine_chunks() if isinstance(c, pa.ChunkedArray) else c
-
-
 def nodes_of(distinct: DataFrame, d: int, longest: float) -> DataFrame:
     """(id, q, s): lifted vectors as bytes with their scale."""
 
@@ -117,7 +127,7 @@ def nodes_of(distinct: DataFrame, d: int, longest: float) -> DataFrame:
 
 def start_lists(nodes: DataFrame, d: int, trees: int = TREES, block: int = BLOCK, starts: int = STARTS, seed: int = 9) -> DataFrame:
     """(id, ids, sims) a tree: each node's best ``starts`` of its block."""
-    sample = nodes.orderBy(F.xxhash64("id"), "id").limit(512).collect()  # fixed size
+    sample = hashed_head(nodes, 512, "id").collect()  # fixed size
     pts = np.stack([np.frombuffer(r["q"], np.int8) * np.float32(r["s"]) for r in sample])
     rng = np.random.default_rng(seed)
     a, b = pts[rng.integers(0, len(pts), trees * BITS)], pts[rng.integers(0, len(pts), trees * BITS)]
@@ -126,9 +136,7 @@ def start_lists(nodes: DataFrame, d: int, trees: int = TREES, block: int = BLOCK
     weights = 1 << np.arange(BITS - 1, -1, -1, dtype=np.int64)
 
     def codes(batches):
-        for c in batches:
-            if not c.num_rows:
-                continue
+        for c in _cut(batches, 2000):
             x = _bytes_matrix(c.column(1), d + 1, np.int8) * c.column(2).to_numpy()[:, None]
             side = (x @ normal.T > offset).reshape(len(x), trees, BITS)
             code = side.astype(np.int64) @ weights
@@ -175,7 +183,7 @@ def merge_lists(lists: DataFrame, degree: int) -> DataFrame:
     gathered = lists.groupBy("id").agg(F.collect_list("ids").alias("ids"), F.collect_list("sims").alias("sims"))  # a few lists a node
 
     def run(batches):
-        for b in batches:
+        for b in _cut(batches, 1000):
             ids, sims = [], []
             for n, s in zip(b.column(1).to_pylist(), b.column(2).to_pylist()):
                 n, s = _best(np.frombuffer(b"".join(n), "<i8"), np.frombuffer(b"".join(s), "<f4"), degree)
@@ -207,7 +215,7 @@ def _visits(graph: DataFrame, nodes: DataFrame, degree: int) -> DataFrame:
     joined = graph.join(nodes, "id").join(both_ways(graph, degree), "id", "left").select("id", "q", "s", "ids", "sims", "back")
 
     def run(batches):
-        for b in batches:
+        for b in _cut(batches, 1000):
             ids, q, s = b.column(0).to_numpy(), b.column(1), b.column(2).to_numpy()
             to, src, least = [], [], []
             for k, (n, sims, back) in enumerate(zip(b.column(3).to_pylist(), b.column(4).to_pylist(), b.column(5).to_pylist())):
@@ -293,9 +301,7 @@ def search(queries: DataFrame, graph: DataFrame, links: DataFrame, d: int, width
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(to)), pa.array(ids[k]), b.column(1).take(pa.array(k)), b.column(2).take(pa.array(k)), pa.array(least[k])], names=["u", "id", "q", "s", "least"])
 
         def expand(batches):
-            for b in batches:
-                if not b.num_rows:
-                    continue
+            for b in _cut(batches, 512):
                 links_ = b.column(5)
                 size = np.diff(links_.offsets.to_numpy())
                 items = links_.flatten()
@@ -315,7 +321,7 @@ def search(queries: DataFrame, graph: DataFrame, links: DataFrame, d: int, width
         gathered = state.select("id", "ids", "sims", "done").unionByName(found).groupBy("id").agg(F.collect_list("ids").alias("n"), F.collect_list("sims").alias("m"), F.collect_list("done").alias("w"))
 
         def merge(batches):
-            for b in batches:
+            for b in _cut(batches, 500):
                 ids, sims, done = [], [], []
                 for n, m, w in zip(*(b.column(k).to_pylist() for k in (1, 2, 3))):
                     n, m = _best(np.frombuffer(b"".join(n), "<i8"), np.frombuffer(b"".join(m), "<f4"), beam)
@@ -358,7 +364,7 @@ def nearest(rows: DataFrame, queries, k: int = 20, vec_id: str = "vec_id", vecto
                 yield pa.RecordBatch.from_arrays([pa.array(np.repeat(b.column(0).to_numpy(), [len(x) for x in n])), pa.array(np.concatenate(n))], names=["id", "c"])
 
     def exact(batches):
-        for b in batches:
+        for b in _cut(batches, 2000):
             if b.num_rows:
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.einsum("ij,ij->i", _matrix(b.column(1), d), _matrix(b.column(2), d))), b.column(3)], names=["id", "score", "members"])
 
