@@ -32,8 +32,18 @@ def shared_root(spark: SparkSession) -> str:
     return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
 
 
+_made: list[str] = []
+
+
 def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_root(spark)}/biascut-{name}-{uuid.uuid4().hex[:12]}"
+    _made.append(f"{shared_root(spark)}/biascut-{name}-{uuid.uuid4().hex[:12]}")
+    return _made[-1]
+
+
+def sweep(spark: SparkSession) -> None:
+    """Delete every scratch table of this process; only when no result that reads them is wanted any more."""
+    while _made:
+        discard(spark, _made.pop())
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:

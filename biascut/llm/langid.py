@@ -143,13 +143,17 @@ class CrossParser:
 
 def training_samples(docs: DataFrame, held_out_modulus: int | None = 5, rows_per_language: int = 64, chars_per_row: int = 4000, chars_per_language: int = 60_000) -> dict[str, str]:
     """A bounded text by label value, from rows outside the held-out part."""
-    rows = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where("lang is not null and text is not null")
+    labelled = docs.where("lang is not null and text is not null and doc_id is not null")
     if held_out_modulus:
-        rows = rows.where(~held_out(held_out_modulus))
-    rows = rows.select("lang", F.xxhash64("doc_id", "text").alias("_h"), F.substring("text", 1, chars_per_row).alias("text"))
-    rows = rows.withColumn("_r", F.row_number().over(W.partitionBy("lang").orderBy("_h", "text"))).where(F.col("_r") <= rows_per_language)
+        labelled = labelled.where(~held_out(held_out_modulus))
+    labelled = labelled.select("doc_id", F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
+    # ids first: texts travel only for the sample
+    first = W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
+    chosen = labelled.select("doc_id", "lang").withColumn("_r", F.row_number().over(first)).where(F.col("_r") <= rows_per_language)
+    chosen = chosen.groupBy("doc_id", "lang").agg(F.min("_r").alias("_r"))
+    rows = labelled.join(F.broadcast(chosen), ["doc_id", "lang"]).select("lang", "_r", F.substring("text", 1, chars_per_row).alias("text"))
     out: dict[str, str] = {}
-    for r in sorted(rows.collect(), key=lambda r: (r["lang"], r["_r"])):  # rows_per_language a language
+    for r in sorted(rows.collect(), key=lambda r: (r["lang"], r["_r"], r["text"])):  # rows_per_language a language
         out[r["lang"]] = (out.get(r["lang"], "") + " " + r["text"])[:chars_per_language]
     return out
 
@@ -165,9 +169,10 @@ def identify(docs: DataFrame, samples: dict[str, str], keep: list[str] | None =
     key = hash(tuple(sorted(samples.items())))
 
     def run(batches):
-        if samples and ("parser", key) not in _cache:
-            _cache["parser", key] = CrossParser(samples)
-        parser = _cache.get(("parser", key))
+        if samples and _cache.get("parser", (None,))[0] != key:
+            _cache.pop("parser", None)  # one set of tables a worker
+            _cache["parser"] = key, CrossParser(samples)
+        parser = _cache["parser"][1] if samples else None
         for b in batches:
             offsets, raw = text_bytes(b.column(0))
             names, scores = [], np.zeros(len(offsets) - 1)
