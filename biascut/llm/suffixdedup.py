@@ -326,7 +326,10 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
     if not big.isEmpty():
         runs.append(materialize(_counted_runs(_contexts(docs, reps.join(big, "kh", "left_semi")), length, gram).select("kh", "ch", F.col("runs").cast("array<int>").alias("runs")), "big-runs"))
     result = runs[0] if len(runs) == 1 else runs[0].unionByName(runs[1])
-    result = materialize(reps.select("kh", "ch", "n").join(result, ["kh", "ch"]).where("n > 1 or size(runs) > 0"), "context-runs")
+    # a context that occurs again goes whole, whether or not another one shares a window with it
+    copies = reps.where("n > 1").select("kh", "ch", "n", F.array().cast("array<int>").alias("runs"))
+    single = reps.where("n = 1").select("kh", "ch", "n").join(result.where("size(runs) > 0"), ["kh", "ch"])
+    result = materialize(copies.unionByName(single), "context-runs")
     pairs = F.transform(F.sequence(F.lit(0), (F.size("runs") / 2 - 1).cast("int")), lambda k: F.struct((F.col("p") + F.element_at("runs", (2 * k + 1).cast("int"))).alias("lo"), (F.col("p") + F.element_at("runs", (2 * k + 2).cast("int")) + length).alias("hi")))
     other = found.where("not alike").drop("alike").join(result, ["kh", "ch"]).select("uid", F.explode(F.when(F.col("n") > 1, F.array(whole)).otherwise(pairs)).alias("span"))
     return materialize(same.unionByName(other).select("uid", "span.lo", "span.hi").where(F.col("hi") - F.col("lo") >= length), "spans")

@@ -382,6 +382,23 @@ def test_windows_counted_instead_of_sorted_agree(spark):
     assert {k: v for k, v in one.items() if v} == two and two
 
 
+def test_copies_with_a_frequent_anchor_go_whole(spark):
+    r = random.Random(12)
+    letters = lambda n: "".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(n))
+    length, gram, line = 60, 20, letters(50)
+    texts = [letters(80) + line + letters(80) for _ in range(900)]  # over 512 contexts of one string
+    short = [letters(8) + line + letters(4), line + letters(30), letters(30) + line]
+    rows = list(enumerate(texts + short + short))
+    count = Counter(t[s : s + length] for _, t in rows for s in range(len(t) - length + 1))
+    want = {}
+    for i, t in rows:
+        gone = {s + j for s in range(len(t) - length + 1) if count[t[s : s + length]] > 1 for j in range(length)}
+        want[i] = hashlib.sha256("".join(c for j, c in enumerate(t) if j not in gone).encode()).hexdigest()
+    out = suffixdedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), length, gram).collect()
+    assert {x.doc_id: x.kept_sha256 for x in out} == want
+    assert sum(x.n_removed for x in out) == 2 * sum(map(len, short))
+
+
 def test_long_text_in_parts_has_the_same_anchors(monkeypatch):
     raw = np.frombuffer(_text(random.Random(6), 4000).encode(), np.uint8)
     off = np.array([0, len(raw)])
