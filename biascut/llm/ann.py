@@ -1,8 +1,9 @@
 """Approximate nearest neighbours by inner product: NN-descent graph and greedy graph search.
 
 Equal vectors are one node, so a vector that a third of all rows share is one node with members.
-Vectors are lifted by one coordinate to equal length (so that near in angle means near in space) and
-quantised to bytes for everything but the final scores.
+Vectors are lifted by one coordinate to equal length (so that near in angle means near in space).  Their
+components are quantised to bytes, each row by its own largest, for everything but the final scores;
+the lift is kept as a float beside them, as what it lacks to 1, so that short vectors lose nothing.
 
 Graph.  Random hyperplanes through pairs of sampled vectors give each node a code a tree; nodes in
 code order are cut into blocks of equal size (balanced whatever the data) whose best pairs start the
@@ -11,7 +12,8 @@ everyone introduces its visitors to each other, which are the joins of neighbour
 node keeps its ``degree`` best.  Rounds end after ``rounds`` or when few lists change.  Reverse lists
 keep their ``degree`` best (a graph parameter; hubs lose in-links only, never their row).
 
-Search.  A query starts from its own node's list and expands its ``width`` best unexpanded nodes a
+Search.  A query starts from its own node's list and from the best of the ``ENTRIES`` longest vectors
+(large products are with long vectors, which a short vector's list need not lead to), and expands its ``width`` best unexpanded nodes a
 round for ``hops`` rounds through the joined adjacency lists; the ``pool`` best are scored exactly in
 double precision.
 
@@ -33,6 +35,7 @@ from .common import hashed_head, materialize
 TREES, BITS, BLOCK, STARTS = 12, 28, 256, 12
 DEGREE, ROUNDS, OFFERS = 28, 2, 8
 WIDTH, HOPS, POOL = 64, 5, 64
+ENTRIES = 512
 
 
 def usable(rows: DataFrame, vec_id: str = "vec_id", vector: str = "embedding") -> DataFrame:
@@ -46,9 +49,15 @@ def usable(rows: DataFrame, vec_id: str = "vec_id", vector: str = "embedding") -
     return df.where(F.size("v") == common["d"]).groupBy("vec_id").agg(F.min("v").alias("v"))
 
 
-def _lift(v: np.ndarray, longest: float) -> np.ndarray:
-    v = v / longest
-    return np.concatenate([v, np.sqrt(np.maximum(1 - (v * v).sum(axis=1, keepdims=True), 0))], axis=1)
+def _shortfall(v: np.ndarray) -> np.ndarray:
+    """What the lift of vectors of length at most 1 lacks to 1."""
+    square = (v * v).sum(axis=1)
+    return (square / (1 + np.sqrt(np.maximum(1 - square, 0)))).astype("<f4")
+
+
+def _near(x: np.ndarray, c: np.ndarray) -> np.ndarray:
+    """Products of lifted vectors, less 1: exact for short ones too, whose products are all near 1."""
+    return x @ x.T - c[:, None] - c[None, :] + c[:, None] * c[None, :]
 
 
 def _matrix(column, d: int) -> np.ndarray:
@@ -75,9 +84,16 @@ def _cut(batches, rows: int):
             yield b.slice(i, rows)
 
 
-def _quantised(x: np.ndarray) -> tuple[list[bytes], np.ndarray]:
-    scale = np.abs(x).max(axis=1) / 127
-    return [r.tobytes() for r in np.rint(x / scale[:, None]).astype(np.int8)], scale.astype(np.float32)
+def _quantised(v: np.ndarray) -> tuple[list[bytes], np.ndarray]:
+    """Components as bytes, followed by the lift's shortfall as a float, and the components' scale."""
+    scale = np.maximum(np.abs(v).max(axis=1) / 127, np.finfo(np.float32).tiny)
+    q = np.rint(v / scale[:, None]).astype(np.int8)
+    return [r.tobytes() for r in np.concatenate([q, _shortfall(v)[:, None].view(np.int8)], axis=1)], scale.astype(np.float32)
+
+
+def _opened(q: np.ndarray, s: np.ndarray, d: int) -> tuple[np.ndarray, np.ndarray]:
+    """Components and shortfalls from rows of d + 4 bytes and their scales."""
+    return q[:, :d] * s[:, None].astype(np.float32), np.ascontiguousarray(q[:, d:]).view("<f4")[:, 0]
 
 
 def _best(ids: np.ndarray, sims: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -113,13 +129,13 @@ def _lists(schema_ids, schema_sims):
 
 
 def nodes_of(distinct: DataFrame, d: int, longest: float) -> DataFrame:
-    """(id, q, s): lifted vectors as bytes with their scale."""
+    """(id, q, s): vectors as bytes with their lift and their scale."""
 
     def run(batches):
         for b in batches:
             if not b.num_rows:
                 continue
-            q, s = _quantised(_lift(_matrix(b.column(1), d), longest))
+            q, s = _quantised(_matrix(b.column(1), d) / longest)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(q, pa.binary()), pa.array(s, pa.float32())], names=["id", "q", "s"])
 
     return distinct.select("id", "v").mapInArrow(run, "id long, q binary, s float")
@@ -127,8 +143,13 @@ def nodes_of(distinct: DataFrame, d: int, longest: float) -> DataFrame:
 
 def start_lists(nodes: DataFrame, d: int, trees: int = TREES, block: int = BLOCK, starts: int = STARTS, seed: int = 9) -> DataFrame:
     """(id, ids, sims) a tree: each node's best ``starts`` of its block."""
+
+    def lifted(q, scale):
+        x, c = _opened(q, scale, d)
+        return np.concatenate([x, 1 - c[:, None]], axis=1)
+
     sample = hashed_head(nodes, 512, "id").collect()  # fixed size
-    pts = np.stack([np.frombuffer(r["q"], np.int8) * np.float32(r["s"]) for r in sample])
+    pts = lifted(np.stack([np.frombuffer(r["q"], np.int8) for r in sample]), np.array([r["s"] for r in sample], np.float32))
     rng = np.random.default_rng(seed)
     a, b = pts[rng.integers(0, len(pts), trees * BITS)], pts[rng.integers(0, len(pts), trees * BITS)]
     normal = np.where((a == b).all(axis=1)[:, None], rng.normal(size=a.shape), a - b).astype(np.float32)
@@ -137,7 +158,7 @@ def start_lists(nodes: DataFrame, d: int, trees: int = TREES, block: int = BLOCK
 
     def codes(batches):
         for c in _cut(batches, 2000):
-            x = _bytes_matrix(c.column(1), d + 1, np.int8) * c.column(2).to_numpy()[:, None]
+            x = lifted(_bytes_matrix(c.column(1), d + 4, np.int8), c.column(2).to_numpy())
             side = (x @ normal.T > offset).reshape(len(x), trees, BITS)
             code = side.astype(np.int64) @ weights
             for t in range(trees):
@@ -147,14 +168,14 @@ def start_lists(nodes: DataFrame, d: int, trees: int = TREES, block: int = BLOCK
         rest = []
 
         def solve(code, ids, q, s):
-            x = np.frombuffer(b"".join(q), np.int8).reshape(-1, d + 1) * np.array(s, np.float32)[:, None]
+            x, c = _opened(np.frombuffer(b"".join(q), np.int8).reshape(-1, d + 4), np.array(s, np.float32), d)
             tree, ids = np.array(code) >> BITS, np.array(ids, np.int64)
             out_id, out_n, out_s = [], [], []
             edges = [0, *(np.flatnonzero(np.diff(tree)) + 1), len(ids)]
             for lo, hi in zip(edges, edges[1:]):
                 parts = max(1, round((hi - lo) / block))
                 for part in np.array_split(np.arange(lo, hi), parts):
-                    sim = x[part] @ x[part].T
+                    sim = _near(x[part], c[part])
                     np.fill_diagonal(sim, -np.inf)
                     k = min(starts, len(part) - 1)
                     if k <= 0:
@@ -222,7 +243,7 @@ def _visits(graph: DataFrame, nodes: DataFrame, degree: int) -> DataFrame:
                 out = np.union1d(np.frombuffer(n, "<i8"), np.array(back or [], np.int64))
                 to.append(out)
                 src.append(np.full(len(out), k))
-                least.append(np.frombuffer(sims, "<f4")[-1] if len(n) >= 8 * degree else -2.0)
+                least.append(np.frombuffer(sims, "<f4")[-1] if len(n) >= 8 * degree else -np.inf)
             if to:
                 src = np.concatenate(src)
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(to)), pa.array(ids[src]), q.take(pa.array(src)), pa.array(s[src]), pa.array(np.array(least, np.float32)[src])], names=["u", "id", "q", "s", "least"])
@@ -237,7 +258,7 @@ def descend(graph: DataFrame, nodes: DataFrame, d: int, degree: int = DEGREE, of
     def run(batches):
         for t in _groups(batches, 20_000):
             u, ids = t.column(0).to_numpy(), t.column(1).to_numpy()
-            x = _bytes_matrix(t.column(2), d + 1, np.int8) * t.column(3).to_numpy()[:, None].astype(np.float32)
+            x, c = _opened(_bytes_matrix(t.column(2), d + 4, np.int8), t.column(3).to_numpy(), d)
             least = t.column(4).to_numpy()
             edges = np.concatenate([np.flatnonzero(np.concatenate([[True], u[1:] != u[:-1]])), [len(u)]])
             who, out_n, out_s = [], [], []
@@ -245,7 +266,7 @@ def descend(graph: DataFrame, nodes: DataFrame, d: int, degree: int = DEGREE, of
                 if hi - lo < 2:
                     continue
                 own = ids[lo:hi]
-                sim = x[lo:hi] @ x[lo:hi].T
+                sim = _near(x[lo:hi], c[lo:hi])
                 np.fill_diagonal(sim, -np.inf)
                 k = min(offers, hi - lo - 1)
                 top = np.argpartition(-sim, k - 1, axis=1)[:, :k]
@@ -273,16 +294,33 @@ def build_graph(nodes: DataFrame, d: int, degree: int = DEGREE, rounds: int = RO
 
 
 def adjacency(graph: DataFrame, nodes: DataFrame, degree: int = DEGREE) -> DataFrame:
-    """(u, ids array, q array, s array): each node's links in both directions with their vectors."""
-    v = _visits(graph, nodes, degree)
+    """(u, links array of (id, q, s)): each node and its links in both directions with their vectors."""
+    v = _visits(graph, nodes, degree).select("u", "id", "q", "s").unionByName(nodes.select(F.col("id").alias("u"), "id", "q", "s"))
     return v.groupBy("u").agg(F.collect_list(F.struct("id", "q", "s")).alias("links"))  # 2 * degree a node
 
 
-def search(queries: DataFrame, graph: DataFrame, links: DataFrame, d: int, width: int = WIDTH, hops: int = HOPS, pool: int = POOL) -> DataFrame:
-    """Greedy search from each query's own node.  queries: (id, q, s), nodes themselves.  Returns
-    (id, ids, sims, seen): the ``pool`` best found, and all that were expanded."""
+def search(queries: DataFrame, graph: DataFrame, links: DataFrame, entries: list, d: int, width: int = WIDTH, hops: int = HOPS, pool: int = POOL) -> DataFrame:
+    """Greedy search from each query's own node and from ``entries``, rows of nodes.  queries:
+    (id, q, s), nodes themselves.  Returns (id, ids, sims, seen): the ``pool`` best found, and all
+    that were expanded."""
     beam = max(pool, width * hops)
-    state = queries.join(graph, "id").select("id", "q", "s", "ids", "sims", F.unhex(F.lit("")).alias("done"))
+    entry_ids = np.array([r["id"] for r in entries], np.int64)
+    entry_x = _opened(np.stack([np.frombuffer(r["q"], np.int8) for r in entries]), np.array([r["s"] for r in entries]), d)[0]
+
+    def begin(batches):
+        for b in _cut(batches, 2000):
+            x = _opened(_bytes_matrix(b.column(1), d + 4, np.int8), b.column(2).to_numpy(), d)[0]
+            ids, sims = [], []
+            for own, n, row in zip(b.column(0).to_pylist(), b.column(3).to_pylist(), x @ entry_x.T):
+                # the list's similarities are lifted: it is expanded first, which gives its products
+                n = np.frombuffer(n, "<i8")
+                free = np.flatnonzero((entry_ids != own) & ~np.isin(entry_ids, n))
+                free = free[np.argsort(-row[free], kind="stable")][:width]
+                ids.append(np.concatenate([n, entry_ids[free]]))
+                sims.append(np.concatenate([np.full(len(n), -3.0), row[free]]))
+            yield pa.RecordBatch.from_arrays([*(b.column(k) for k in range(3)), *_lists(ids, sims), pa.array([b""] * b.num_rows, pa.binary())], names=["id", "q", "s", "ids", "sims", "done"])
+
+    state = queries.join(graph, "id").select("id", "q", "s", "ids").mapInArrow(begin, "id long, q binary, s float, ids binary, sims binary, done binary")
     for hop in range(hops):
         state = materialize(state, "search")
 
@@ -305,11 +343,11 @@ def search(queries: DataFrame, graph: DataFrame, links: DataFrame, d: int, width
                 links_ = b.column(5)
                 size = np.diff(links_.offsets.to_numpy())
                 items = links_.flatten()
-                x = _bytes_matrix(items.field(1), d + 1, np.int8) * items.field(2).to_numpy()[:, None]
+                x = _opened(_bytes_matrix(items.field(1), d + 4, np.int8), items.field(2).to_numpy(), d)[0]
                 v = items.field(0).to_numpy()
-                me = _bytes_matrix(b.column(2), d + 1, np.int8) * b.column(3).to_numpy()[:, None]
+                me = _opened(_bytes_matrix(b.column(2), d + 4, np.int8), b.column(3).to_numpy(), d)[0]
                 owner = np.repeat(np.arange(b.num_rows), size)
-                sim = np.einsum("ij,ij->i", x[:, :d], me[owner][:, :d])  # inner product: without the lift
+                sim = np.einsum("ij,ij->i", x, me[owner])  # inner product: without the lift
                 ids = b.column(1).to_numpy()
                 good = (sim > b.column(4).to_numpy()[owner]) & (v != ids[owner])
                 first = np.concatenate([[0], np.cumsum(np.bincount(owner[good], minlength=b.num_rows))])
@@ -355,7 +393,9 @@ def nearest(rows: DataFrame, queries, k: int = 20, vec_id: str = "vec_id", vecto
     links = materialize(adjacency(graph, nodes, degree), "links")
     asked = materialize(keyed.where(queries(F.col("vec_id"))).join(members.select("h", "id"), "h").select("vec_id", "id"), "asked")
     wanted = asked.groupBy("id").agg(F.count(F.lit(1)).alias("n"))
-    found = search(nodes.join(wanted, "id").select("id", "q", "s"), graph, links, d, width, hops, pool)
+    norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))
+    entries = nodes_of(members.orderBy(norm.desc(), "id").limit(ENTRIES), d, longest).collect()  # fixed size
+    found = search(nodes.join(wanted, "id").select("id", "q", "s"), graph, links, entries, d, width, hops, pool)
 
     def pairs(batches):
         for b in batches:

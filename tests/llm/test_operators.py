@@ -461,6 +461,29 @@ def test_recall(spark):
     assert hit / (150 * 20) >= 0.9
 
 
+@pytest.mark.parametrize("kind", ["one long vector", "two orders of magnitude"])
+def test_recall_with_unequal_norms(spark, kind):
+    r = np.random.default_rng(3)
+    x = r.normal(size=(2000, 32))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    if kind == "one long vector":
+        x[7] *= 100
+    else:
+        x *= 10 ** r.uniform(0, 2, size=(2000, 1))
+    x = x.astype(np.float32)
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<float>").repartition(4)
+    got = defaultdict(set)
+    for row in ann.nearest(df, lambda i: i % 20 == 0).collect():
+        got[row.query_id].add(row.vec_id)
+    hit = 0
+    for q in range(0, 2000, 20):
+        s = x.astype(float) @ x[q].astype(float)
+        s[q] = -np.inf
+        hit += len(got[q] & set(np.argsort(-s)[:20].tolist()))
+    print("recall", kind, hit / (100 * 20))
+    assert hit / (100 * 20) >= 0.9
+
+
 # pipeline
 def test_pipeline_equals_its_operators_by_brute_force(spark, docs, tmp_path):
     import corpus_pipeline as cp
