@@ -43,7 +43,7 @@ def scratch_path(spark: SparkSession, name: str) -> str:
 def sweep(spark: SparkSession) -> None:
     """Delete every scratch table of this process; only when no result that reads them is wanted any more."""
     while _made:
-        discard(spark, _made.pop())
+        discard(spark, _made[-1])
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
@@ -51,7 +51,15 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch_path(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def drop(*tables: DataFrame) -> None:
+    """Delete tables of ``materialize`` that no later plan reads."""
+    for t in tables:
+        discard(t.sparkSession, t._scratch)
 
 
 def discard(spark: SparkSession, path: str) -> None:
@@ -59,12 +67,19 @@ def discard(spark: SparkSession, path: str) -> None:
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     p = jvm.org.apache.hadoop.fs.Path(path)
     p.getFileSystem(conf).delete(p, True)
+    if path in _made:
+        _made.remove(path)
 
 
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def row_id(*columns) -> list:
+    """Two longs (_u1, _u2) that name a row by its values: 128 bits, so that no corpus holds a clash."""
+    return [F.xxhash64(*columns).alias("_u1"), F.xxhash64(F.lit(11), *columns).alias("_u2")]
+
+
 def held_out(modulus: int, doc_id: str = "doc_id"):
     """True where crc32 of the id's decimal text is divisible by ``modulus`` (null ids: false)."""
     return F.coalesce((F.crc32(F.col(doc_id).cast("string").cast("binary")) % modulus) == 0, F.lit(False))
@@ -105,6 +120,32 @@ def slices(offsets: np.ndarray, most: int):
         i = j
 
 
+_worker: dict = {}
+
+
+def worker_state(module: str, key, make):
+    """What an operator (a module) keeps in a Python worker between tasks.  There is one place for it: whoever
+    asks for another state drops this one, so a reused worker holds nothing of an earlier stage."""
+    if _worker.get("of") != (module, key):
+        _worker.clear()
+        _worker.update(state=make(), of=(module, key))
+    return _worker["state"]
+
+
+def tidy(run):
+    """Wraps a function over Arrow batches: drops what other operators left in the worker, and gives
+    freed Arrow memory back when the task's rows end."""
+    module = run.__module__
+
+    def wrapped(batches):
+        if _worker and _worker["of"][0] != module:
+            _worker.clear()
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+
+    return wrapped
+
+
 def batch(columns: dict[str, tuple[object, pa.DataType]]) -> pa.RecordBatch:
     """A record batch from (values, type) by column name."""
     return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in columns.values()], names=list(columns))

@@ -200,6 +200,42 @@ def test_simhash_equals_brute_force(docs, nothing, tile_rows):
     assert simhash.near_duplicates(nothing).count() == 0
 
 
+def test_every_bucket_is_compared_in_tiles_with_the_count_skip():
+    r = np.random.default_rng(5)
+    base = r.integers(0, 1 << 63, 40, dtype=np.uint64)
+    fp = np.concatenate([base ^ (np.uint64(1) << r.integers(0, 60, 40, dtype=np.uint64)) for _ in range(20)])
+    fp = np.unique(np.concatenate([base, fp, r.integers(0, 1 << 63, 400, dtype=np.uint64)]))
+    g = np.sort(np.concatenate([np.zeros(len(fp) // 2, int), r.integers(1, 150, len(fp) - len(fp) // 2)]))
+    side = r.integers(0, 2, len(fp)).astype(np.int8)
+    for radius in (1, 4, 12):
+        i, j, path = simhash.tiled_links(g, fp[:, None], side, radius, tile=16)
+        label = simhash._roots(len(fp), i, j)
+        near = (np.bitwise_count(fp[:, None] ^ fp[None, :]) <= radius) & (g[:, None] == g[None, :]) & (side[:, None] + side[None, :] < 2)
+        want = simhash._roots(len(fp), *np.nonzero(near))
+        classes = lambda x: np.unique(x, return_index=True)[1][np.unique(x, return_inverse=True)[1]].tolist()
+        assert classes(label) == classes(want)
+        assert path["tile_pairs"] > len(fp) // 16 and (radius > 4 or path["skipped"] > 0)
+
+
+def test_wide_fingerprints_catch_similar_texts_and_leave_others(spark):
+    r = random.Random(9)
+    vocabulary = ["".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(r.randrange(3, 9))) for _ in range(3000)]
+    shingles = lambda t: {tuple(t[k : k + 5]) for k in range(len(t) - 4)}
+    rows, pairs = [], []
+    for k in range(300):
+        text = [r.choice(vocabulary) for _ in range(250)]
+        other = [r.choice(vocabulary) if r.random() < (0.01, 0.02, 0.12)[k % 3] else w for w in text]
+        a, b = shingles(text), shingles(other)
+        pairs.append((2 * k, len(a & b) / len(a | b)))
+        rows += [(2 * k, " ".join(text)), (2 * k + 1, " ".join(other))]
+    out = {x.doc_id: x.component_id for x in simhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), 5, simhash.WIDE_RADIUS, bits=simhash.WIDE_BITS).collect()}
+    similar = [out[i] == out[i + 1] for i, s in pairs if s >= 0.8]
+    apart = [out[i] == out[i + 1] for i, s in pairs if s < 0.55]
+    print("wide SimHash: linked", sum(similar), "of", len(similar), "similar pairs and", sum(apart), "of", len(apart), "others")
+    assert len(similar) > 100 and sum(similar) >= 0.95 * len(similar) and sum(apart) <= 0.01 * len(apart)
+    assert len({c for c in out.values()}) >= 300  # nothing else is linked
+
+
 def test_every_block_choice_finds_every_pair():
     r = random.Random(1)
     for blocks in range(5, 10):
@@ -370,16 +406,42 @@ def test_repeats_equal_brute_force(docs, nothing, length, gram):
     assert suffixdedup.remove_repeats(nothing).count() == 0
 
 
-def test_windows_counted_instead_of_sorted_agree(spark):
+def test_rounds_read_the_files_of_the_round_before(monkeypatch):
+    r = np.random.default_rng(4)
+    matrix = r.integers(97, 99, (60, 30)).astype(np.uint8)
+    sort = suffixdedup.ColumnwiseSuffixSort(matrix)
+    for c in range(29, -1, -1):
+        order, common = sort.insert(c)
+        rows = [bytes(matrix[k, c:]) for k in order]
+        assert rows == sorted(rows) and sort._read()[1].tolist() == order.tolist()
+        for k in range(1, 60):
+            want = next((n for n in range(30 - c) if rows[k - 1][n] != rows[k][n]), 30 - c)
+            assert common[k] == want
+    # a round knows nothing but the files: with another transform in them, another order comes out
+    sort = suffixdedup.ColumnwiseSuffixSort(matrix)
+    sort._write(np.arange(60, dtype=np.uint8)[::-1].copy(), np.arange(60, dtype=np.int32), np.zeros(61, np.int16))
+    assert sort.insert(29)[0].tolist() == list(range(59, -1, -1))
+
+
+def test_chunks_of_a_group_agree_with_one_chunk(spark, tmp_path):
     r = random.Random(5)
-    shared = _text(r, 30).encode()[:75]
-    # 40 bytes before the anchor and 60 from it on, of which 30 and 45 are shared
-    contexts = [(1, k, 40, _text(r, 12).encode()[:10] + shared + _text(r, 9).encode()[:15]) for k in range(30)]
-    df = spark.createDataFrame(contexts, "kh long, ch long, before int, ctx binary")
-    spread = lambda runs: {s for a, b in zip(runs[::2], runs[1::2]) for s in range(a, b + 1)}
-    one = {x.ch: spread(x.runs) for x in suffixdedup._sorted_runs(df, 60, 20).collect()}
-    two = {x.ch: spread(x.runs) for x in suffixdedup._counted_runs(df, 60, 20).collect()}
-    assert {k: v for k, v in one.items() if v} == two and two
+    length, gram = 60, 20
+    shared = _text(r, 30)[:75]
+    texts = [_text(r, 12)[:10] + shared + _text(r, 9)[:15] for _ in range(30)] + [_text(r, 12)[:40] + shared[:40] + _text(r, 9)[:30] for _ in range(10)]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(str(tmp_path / "d"))
+    docs = suffixdedup._identified(spark.read.parquet(str(tmp_path / "d")), ["doc_id"])
+    anchors = suffixdedup._anchors(docs, length, gram)
+    reps = anchors.groupBy("kh", "ch").agg(F.min(F.struct("_u1", "_u2", "p", "before", "after")).alias("at")).select("kh", "ch", "at.*")
+    reps.write.parquet(str(tmp_path / "r"))
+    reps = spark.read.parquet(str(tmp_path / "r"))
+    got = []
+    for chunk in (4, 1000):
+        spans = defaultdict(set)
+        for x in suffixdedup.context_runs(docs, reps, length, gram, chunk).collect():
+            for a, b in zip(x.runs[::2], x.runs[1::2]):
+                spans[x.kh, x.ch] |= set(range(a, b + 1))
+        got.append(dict(spans))
+    assert got[0] == got[1] and got[0]
 
 
 def test_copies_with_a_frequent_anchor_go_whole(spark):
