@@ -1,20 +1,24 @@
 """Language identification by cross-parsing against suffix automata of labelled text.
 
 Training.  For every label value a bounded sample of labelled rows (``rows_per_language`` rows of
-smallest id hash, ``chars_per_row`` code points each, ``chars_per_language`` in all) is turned into
-a suffix automaton: it accepts exactly the substrings of the sample.
+smallest id hash, ``chars_per_language`` code points in all, less where many languages share
+``chars_in_all``) is turned into a suffix automaton: it accepts exactly the substrings of the sample.
+A row longer than its share gives pieces from its beginning, middle and end.
 
 Prediction.  The text is parsed greedily into phrases, each the longest match from its position
 that occurs in the language's sample.  ``phrases * log2(sample size) / length`` estimates the cross
 entropy in bits a symbol; the language with the least wins.
 
+Symbols are the bytes of lower-case letters in UTF-8, and one blank for every run of anything else;
+so every letter of every alphabet keeps an identity of its own in tables of at most 256 columns.  A
+symbol that the sample lacks opens a phrase, which the next ones continue.
+
 The automata are laid out as dense transition tables whose missing edges already hold the restart
 (the root's edge with a phrase mark), so one symbol costs one table look-up.  Texts are cut into
-lanes of ``LANE`` symbols that advance in step, whole texts included; a lane border ends at most one
-phrase more.  Tables are built in each worker from the sample (a few hundred kB travel, whatever
-the corpus holds).
-
-Symbols: letters in lower case; every run of anything else is one blank.
+lanes of ``LANE`` symbols that advance in step.  A lane goes on past its end until one of its phrases
+begins where a phrase of the next lane's own parse does; from there on both parses agree, so the
+counts are those of one greedy walk over the whole text.  Tables are built in each worker from the
+sample (a few hundred kB travel, whatever the corpus holds).
 
 Defined cases: null text, a text without letters, or no labelled rows: ``und`` with score 0.  Ties
 go to the alphabetically first language.  Rows repeating a doc_id are judged each on its own.
@@ -22,34 +26,55 @@ go to the alphabetically first language.  Rows repeating a doc_id are judged eac
 
 from __future__ import annotations
 
-from collections import Counter
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import batch, held_out, slices, text_bytes
+from .common import held_out, slices, text_bytes, tidy, worker_state
 
-LANE = 512
-SYMBOLS = 64
+LANE = 1024
 UNKNOWN = "und"
 _MARK = np.uint32(1 << 31)
-_cache: dict = {}
+_LAST_LETTER = 0x323AF  # no code point beyond it is a letter
+
 
+def letter_tables() -> tuple[np.ndarray, np.ndarray]:
+    """By code point: whether it is a letter, and its lower case where that is one code point."""
+    is_letter, lower = np.zeros(0x110000, bool), np.arange(0x110000, dtype=np.uint32)
+    for c in range(_LAST_LETTER + 1):
+        x = chr(c)
+        if x.isalpha():
+            is_letter[c] = True
+            low = x.lower()
+            if len(low) == 1:
+                lower[c] = ord(low)
+    return is_letter, lower
 
-def letters() -> np.ndarray:
-    """True by code point for letters."""
-    if "letters" not in _cache:
-        _cache["letters"] = np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
-    return _cache["letters"]
+
+def letter_bytes(points: np.ndarray, starts: np.ndarray, tables: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(symbols, where each text starts among them, letters of each text) for texts as code points."""
+    letter = tables[0][points]
+    n_letters = np.diff(np.concatenate([[0], np.cumsum(letter)])[starts])
+    keep = letter.copy()
+    keep[1:] |= letter[:-1]  # the first of a run of others stays, as its blank
+    keep[starts[:-1][starts[:-1] < starts[1:]]] = True
+    p = np.where(letter, tables[1][points], np.uint32(32))[keep]
+    width = 1 + (p >= 0x80).astype(np.int64) + (p >= 0x800) + (p >= 0x10000)
+    at = np.concatenate([[0], np.cumsum(width)])[np.concatenate([[0], np.cumsum(keep)])[starts]]
+    return np.frombuffer(p.astype("<u4").tobytes().decode("utf-32-le").encode(), np.uint8), at, n_letters
+
+
+def _points(text: str) -> np.ndarray:
+    return np.frombuffer(text.encode("utf-32-le"), "<u4")
 
 
 class SuffixAutomaton:
-    """Suffix automaton of a symbol sequence, as a dense table of next states."""
+    """Suffix automaton of a symbol sequence, as a dense table of next states; states are numbered
+    from ``base`` on, in steps of the alphabet's size."""
 
-    def __init__(self, symbols: list[int], alphabet: int):
+    def __init__(self, symbols: list[int], alphabet: int, base: int = 0):
         edges, link, length = [{}], [-1], [0]
         last = 0
         for c in symbols:
@@ -76,72 +101,104 @@ class SuffixAutomaton:
                     link[q] = link[new] = copy
             last = new
         # a missing edge restarts at the root with the same symbol and counts a phrase
-        restart = np.zeros(alphabet, np.uint32)
-        restart[list(edges[0])] = np.fromiter(edges[0].values(), np.uint32, len(edges[0])) * np.uint32(alphabet)
+        place = lambda e: np.fromiter(e.values(), np.uint32, len(e)) * np.uint32(alphabet) + np.uint32(base)
+        restart = np.full(alphabet, base, np.uint32)
+        restart[list(edges[0])] = place(edges[0])
         table = np.empty((len(edges), alphabet), np.uint32)
         table[:] = restart | _MARK
         for s, e in enumerate(edges):
             if e:
-                table[s, list(e)] = np.fromiter(e.values(), np.uint32, len(e)) * np.uint32(alphabet)
+                table[s, list(e)] = place(e)
         self.table, self.size = table.ravel(), len(symbols)
 
 
 class CrossParser:
-    """The automata of all languages, and the parse of texts against each."""
+    """The automata of all languages in one table, and the parse of texts against each."""
 
     def __init__(self, samples: dict[str, str]):
-        self.languages = sorted(samples)
-        seen = Counter(c for s in samples.values() for c in s.lower() if c.isalpha())
-        kept = [c for c, _ in sorted(seen.items(), key=lambda x: (-x[1], x[0]))[: SYMBOLS - 2]]
-        alphabet = len(kept) + 2
-        self.symbol = np.zeros(0x110000, np.uint8)
-        self.symbol[letters()] = alphabet - 1  # letters that no sample holds
-        for k, c in enumerate(kept):
-            self.symbol[ord(c)] = k + 1
-            if len(u := c.upper()) == 1:
-                self.symbol[ord(u)] = k + 1
-        self.automata = [SuffixAutomaton(self.symbols(np.array([ord(c) for c in samples[x]], np.uint32), np.array([0, len(samples[x])]))[0].tolist(), alphabet) for x in self.languages]
-
-    def symbols(self, points: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Symbols with runs of blanks made one, and where each text starts among them."""
-        s = self.symbol[points]
-        keep = np.ones(len(s), bool)
-        keep[1:] = (s[1:] != 0) | (s[:-1] != 0)
-        first = starts[:-1][starts[:-1] < starts[1:]]
-        keep[first] = True
-        total = np.concatenate([[0], np.cumsum(keep)])
-        return s[keep], total[starts]
-
-    def bits(self, symbols: np.ndarray, starts: np.ndarray) -> np.ndarray:
-        """Bits a symbol, by text and language."""
-        sizes = np.diff(starts)
+        self.languages, self.tables = sorted(samples), letter_tables()
+        raw = [letter_bytes(_points(samples[x]), np.array([0, len(samples[x])]), self.tables)[0] for x in self.languages]
+        used = np.unique(np.concatenate(raw))
+        self.code = np.full(256, len(used), np.uint8)  # the last symbol stands for bytes that no sample holds
+        self.code[used] = np.arange(len(used))
+        bases, tables, sizes = [], [], []
+        for r in raw:
+            bases.append(sum(map(len, tables)))
+            one = SuffixAutomaton(self.code[r].tolist(), len(used) + 1, bases[-1])
+            tables.append(one.table)
+            sizes.append(one.size)
+        if sum(map(len, tables)) >= 1 << 31:
+            raise ValueError("the samples are too large for one table: lower chars_in_all")
+        self.bases, self.table, self.log_size = np.array(bases, np.uint32), np.concatenate(tables), np.log2(np.array(sizes) + 2.0)
+
+    def phrases(self, raw: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """Phrases of the greedy parse, by text and language."""
+        k, sizes = len(self.languages), np.diff(starts)
         lanes = -(-sizes // LANE)
+        first = np.concatenate([[0], np.cumsum(lanes)])
         owner = np.repeat(np.arange(len(sizes)), lanes)
-        nth = np.arange(len(owner)) - np.repeat(np.cumsum(lanes) - lanes, lanes)
-        begin = starts[:-1][owner] + nth * LANE
-        span = np.minimum(LANE, sizes[owner] - nth * LANE)
+        begin = starts[:-1][owner] + (np.arange(len(owner)) - first[:-1][owner]) * LANE
+        span = np.minimum(LANE, starts[1:][owner] - begin)
         order = np.argsort(-span, kind="stable")
-        begin, span, owner = begin[order], span[order], owner[order]
-        live = np.searchsorted(-span, -np.arange(LANE), side="left")  # lanes with more than t symbols
-        wide = symbols.astype(np.uint32)
-        out = np.zeros((len(sizes), len(self.languages)))
-        state = [np.zeros(len(owner), np.uint32) for _ in self.automata]
-        phrases = [np.ones(len(owner), np.uint32) for _ in self.automata]
-        for t in range(LANE):
+        rank = np.empty(len(order), np.int64)
+        rank[order] = np.arange(len(order))
+        at, live = begin[order], np.searchsorted(-span[order], -np.arange(LANE), side="left")  # lanes with more than t symbols
+        symbols = self.code[raw].astype(np.uint32)
+        state = np.repeat(self.bases[:, None], len(order), axis=1)
+        marks = np.zeros((min(LANE, int(span.max(initial=0))), k, len(order)), bool)  # a phrase begins there
+        for t in range(len(marks)):
             n = int(live[t])
-            if not n:
-                break
-            c = wide[begin[:n] + t]
-            for s, count, a in zip(state, phrases, self.automata):
-                v = a.table[s[:n] + c]
-                count[:n] += v >> np.uint32(31)
-                s[:n] = v & ~_MARK
-        for k, (count, a) in enumerate(zip(phrases, self.automata)):
-            out[:, k] = np.bincount(owner, count, len(sizes)) * np.log2(a.size + 2) / np.maximum(sizes, 1)
+            v = self.table[state[:, :n] + symbols[at[:n] + t]]
+            marks[t, :, :n] = v >> np.uint32(31)
+            state[:, :n] = v & ~_MARK
+        marks[:1] = True
+        count = marks.sum(axis=0, dtype=np.int64)
+        out = np.zeros((len(sizes), k), np.int64)
+        one = lanes == 1
+        out[one] = count[:, rank[first[:-1][one]]].T
+        for text, lang, n in self._stitched(symbols, starts, first, begin, owner, rank, state, marks, count, lanes):
+            out[text, lang] = n
         return out
 
+    def _stitched(self, symbols, starts, first, begin, owner, rank, state, marks, count, lanes):
+        """Phrases of the texts of several lanes."""
+        on = np.flatnonzero(owner[:-1] == owner[1:]) if len(owner) else owner  # lanes that have a next one
+        k = len(self.languages)
+        lane, lang = np.repeat(on, k), np.tile(np.arange(k), len(on))
+        more, meet = np.zeros((len(owner), k), np.int64), np.zeros((len(owner), k), np.int64)
+        pos, s, stop = begin[lane] + LANE, state[lang, rank[lane]], starts[1:][owner[lane]]
+        while len(lane):
+            v = self.table[s + symbols[pos]]
+            new = (v >> np.uint32(31)).astype(bool)
+            inside = pos - starts[owner[lane]]
+            met = new & marks[inside % LANE, lang, rank[first[owner[lane]] + inside // LANE]]
+            more[lane, lang] += new & ~met
+            meet[lane, lang] = pos
+            pos = pos + ~met
+            over = pos == stop
+            meet[lane[over], lang[over]] = stop[over]
+            go = ~met & ~over
+            lane, lang, pos, s, stop = lane[go], lang[go], pos[go], (v & ~_MARK)[go], stop[go]
+        for text in np.flatnonzero(lanes > 1).tolist():
+            lo, end = int(starts[text]), int(starts[text + 1])
+            for g in range(k):
+                total, place = 0, lo
+                while place < end:
+                    j = int(first[text]) + (place - lo) // LANE
+                    skip = (place - lo) % LANE
+                    total += int(marks[skip:, g, rank[j]].sum()) if skip else int(count[g, rank[j]])
+                    if j + 1 == first[text + 1]:
+                        break
+                    total += int(more[j, g])
+                    place = int(meet[j, g])
+                yield text, g, total
+
+    def bits(self, raw: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """Bits a symbol, by text and language."""
+        return self.phrases(raw, starts) * self.log_size / np.maximum(np.diff(starts), 1)[:, None]
+
 
-def training_samples(docs: DataFrame, held_out_modulus: int | None = 5, rows_per_language: int = 64, chars_per_row: int = 4000, chars_per_language: int = 60_000) -> dict[str, str]:
+def training_samples(docs: DataFrame, held_out_modulus: int | None = 5, rows_per_language: int = 64, chars_per_language: int = 60_000, chars_in_all: int = 480_000) -> dict[str, str]:
     """A bounded text by label value, from rows outside the held-out part."""
     labelled = docs.where("lang is not null and text is not null and doc_id is not null")
     if held_out_modulus:
@@ -150,11 +207,19 @@ def training_samples(docs: DataFrame, held_out_modulus: int | None = 5, rows_per
     # ids first: texts travel only for the sample
     first = W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
     chosen = labelled.select("doc_id", "lang").withColumn("_r", F.row_number().over(first)).where(F.col("_r") <= rows_per_language)
-    chosen = chosen.groupBy("doc_id", "lang").agg(F.min("_r").alias("_r"))
-    rows = labelled.join(F.broadcast(chosen), ["doc_id", "lang"]).select("lang", "_r", F.substring("text", 1, chars_per_row).alias("text"))
+    chosen = chosen.groupBy("doc_id", "lang").agg(F.min("_r").alias("_r")).collect()  # rows_per_language a label value
+    if not chosen:
+        return {}
+    languages = len({r["lang"] for r in chosen})
+    share = max(3, min(chars_per_language, chars_in_all // languages) // rows_per_language)
+    piece, n = share // 3, F.char_length("text")
+    spread = F.concat_ws(" ", F.substring("text", 1, piece), F.substring("text", F.floor((n - piece) / 2).cast("int"), F.lit(piece)), F.substring("text", n - piece + 1, F.lit(piece)))
+    picked = docs.sparkSession.createDataFrame(chosen, "doc_id long, lang string, _r int")
+    rows = labelled.join(F.broadcast(picked), ["doc_id", "lang"]).select("lang", "_r", F.when(n <= share, F.col("text")).otherwise(spread).alias("text"))
     out: dict[str, str] = {}
-    for r in sorted(rows.collect(), key=lambda r: (r["lang"], r["_r"], r["text"])):  # rows_per_language a language
-        out[r["lang"]] = (out.get(r["lang"], "") + " " + r["text"])[:chars_per_language]
+    for r in sorted(rows.collect(), key=lambda r: (r["lang"], r["_r"], r["text"])):
+        if len(out.get(r["lang"], "")) < share * rows_per_language:  # copies of one doc_id count as one row
+            out[r["lang"]] = out.get(r["lang"], "") + " " + r["text"]
     return out
 
 
@@ -166,35 +231,28 @@ def identify(docs: DataFrame, samples: dict[str, str], keep: list[str] | None =
     kinds = {f.name: f.dataType.simpleString() for f in source.schema.fields} | {"text": "string"}
     place = {f.name: k for k, f in enumerate(source.schema.fields)} | {"text": 0}
     schema = ", ".join(f"`{c}` {kinds[c]}" for c in keep) + ", lang_pred string, score double"
-    key = hash(tuple(sorted(samples.items())))
+    key = tuple(sorted(samples.items()))
 
     def run(batches):
-        if samples and _cache.get("parser", (None,))[0] != key:
-            _cache.pop("parser", None)  # one set of tables a worker
-            _cache["parser"] = key, CrossParser(samples)
-        parser = _cache["parser"][1] if samples else None
+        parser = worker_state(__name__, key, lambda: CrossParser(samples)) if samples else None
         for b in batches:
             offsets, raw = text_bytes(b.column(0))
             names, scores = [], np.zeros(len(offsets) - 1)
-            for i, j in slices(offsets, 2 << 20):
-                part = raw[offsets[i] : offsets[j]]
-                heads = np.concatenate([[0], np.cumsum((part & 0xC0) != 0x80)])
-                starts = heads[offsets[i : j + 1] - offsets[i]]
-                points = np.frombuffer(part.tobytes().decode("utf-8").encode("utf-32-le"), np.uint32)
-                n_letters = np.concatenate([[0], np.cumsum(letters()[points])])[starts]
-                has = np.diff(n_letters) > 0
+            for i, j in slices(offsets, 1 << 20):
                 if parser is None:
                     names += [UNKNOWN] * (j - i)
                     continue
-                symbols, at = parser.symbols(points, starts)
+                part = raw[offsets[i] : offsets[j]]
+                heads = np.concatenate([[0], np.cumsum((part & 0xC0) != 0x80)])
+                symbols, at, n_letters = letter_bytes(_points(part.tobytes().decode()), heads[offsets[i : j + 1] - offsets[i]], parser.tables)
                 bits = parser.bits(symbols, at)
                 best = bits.argmin(axis=1)
                 odds = np.exp2(-np.minimum(np.diff(at), 40)[:, None] * (bits - bits.min(axis=1, keepdims=True)))
-                scores[i:j] = np.where(has, 1 / odds.sum(axis=1), 0.0)
-                names += [parser.languages[k] if ok else UNKNOWN for k, ok in zip(best, has)]
+                scores[i:j] = np.where(n_letters > 0, 1 / odds.sum(axis=1), 0.0)
+                names += [parser.languages[k] if ok else UNKNOWN for k, ok in zip(best, n_letters > 0)]
             yield pa.RecordBatch.from_arrays([*(b.column(place[c]) for c in keep), pa.array(names, pa.string()), pa.array(scores, pa.float64())], names=[*keep, "lang_pred", "score"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(tidy(run), schema)
 
 
 def detect(docs: DataFrame, held_out_modulus: int | None = 5, keep: list[str] | None = None) -> DataFrame:
