@@ -283,6 +283,28 @@ def test_lines_equal_brute_force(docs, nothing, batches):
     assert linededup.dedup_lines(nothing).count() == 0
 
 
+def test_runs_are_merge_joined_as_they_lie(spark):
+    keys = lambda lo, hi: spark.createDataFrame([(k * 7919 % 1009, k, k % 50 + lo) for k in range(lo, hi)], "k1 long, k2 long, doc_id long")
+    runs = linededup.LineRuns(spark, fanout=3)
+    seen, twice = {}, []
+    for lo, hi in ((0, 300), (200, 500), (450, 700), (100, 800)):
+        batch = keys(lo, hi)
+        twice += [(r.k1, r.k2, r.first_id) for r in runs.add(batch).collect()]
+        for r in batch.collect():
+            seen[r.k1, r.k2] = min(r.doc_id, seen.get((r.k1, r.k2), r.doc_id))
+    names = [n for level in runs.levels for n, _ in level]
+    assert [len(x) for x in runs.levels] == [1, 1]
+    got = [(r.k1, r.k2) for n in names for r in spark.table(n).where("fresh").collect()]
+    assert sorted(got) == sorted(seen) and {(a, b) for a, b, _ in twice} == {(k * 7919 % 1009, k) for k in range(100, 700)}
+    batch = keys(0, 900).groupBy("k1", "k2").agg(F.min("doc_id").alias("doc_id"), F.lit(1).cast("long").alias("n"))
+    with linededup._ordered_scans(spark):
+        plans = [df._jdf.queryExecution().executedPlan().toString() for df in (runs.joined(batch), runs.merged(names))]
+    exchanges, sorts = ([p.count(x) for p in plans] for x in ("Exchange hashpartitioning", "Sort ["))
+    assert [p.count("SortMergeJoin") for p in plans] == [2, 1]
+    assert exchanges == [1, 0] and sorts == [1, 0]  # the batch's own exchange and sort; runs have neither
+    runs.close()
+
+
 # 6 language model
 def test_base_scores_are_exact_and_model_scores_are_probabilities(docs, nothing):
     model = lm.fit(docs, epochs=1)
