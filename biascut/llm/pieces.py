@@ -4,12 +4,15 @@ The lattice of vocabulary pieces over the text is walked left to right.  Each po
 surviving backpointer: for unigram models that of the best score; for merge (BPE) models that of
 the one piece whose neighbours are compatible (an encoding is the model's own exactly when every
 adjacent pair of pieces encodes to itself), so the ids are those of the model's merge order.  Only
-a window behind the current position can still change, bounded by the longest piece; whenever the
-paths of all its positions meet in one boundary, the ids before it are committed and forgotten.
+a window behind the current position can still change, bounded by the longest piece.  Whenever the
+surviving paths converge on one boundary, the ids before it are committed and forgotten: at once
+where no piece reaches beyond the current position, and by a walk back through the window where it
+has grown long.
 
-Boundaries that no piece can span (before a run of space marks, around characters that stand in no
-longer piece) are meeting points known in advance; the stretches between them are memorised, with a
-bounded memory, because words repeat.
+Every text goes through this one walk.  Boundaries that no piece can span (before a run of space
+marks, around characters that stand in no longer piece) are convergence points known in advance, so
+what the walk commits between two of them depends on that stretch alone; a bounded memory by stretch
+spares walking a word again.
 
 Normalisation: ``identity`` models with a dummy prefix (spaces become the mark U+2581).  Characters
 outside the vocabulary become their UTF-8 bytes' pieces where the model has them, else its unknown id.
@@ -30,6 +33,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidy, worker_state
+
 MARK = "▁"
 _MEMO = 350_000
 _PAIRS = 1_000_000
@@ -75,9 +80,9 @@ class PieceModel:
         self.byte_of = {k: b for b, k in self.bytes.items()}
         self.ids = {p: k for k, (p, t) in enumerate(zip(self.piece, kind)) if t in (1, 4)}
         self.score = {p: proto.pieces[k].score for p, k in self.ids.items()}
+        self.id_score = [p.score for p in proto.pieces]
         self.unknown_score = min(self.score.values(), default=0.0) - 10
         self.longest = max(map(len, self.ids), default=1)
-        self.starts = {p[:n] for p in self.ids for n in range(1, len(p) + 1)}
         #: pieces by characters: a node is (id or -1, its next characters)
         self.trie: dict = {}
         for p, k in self.ids.items():
@@ -106,10 +111,11 @@ class Encoder:
 
     def __init__(self, model: PieceModel, check_every: int = 64):
         self.m, self.check_every = model, check_every
-        self._memo = Generations(_MEMO, self.stretch_ids)
+        self._memo = Generations(_MEMO, lambda part: [k for ids in self.stream(part) for k in ids])
         self._pairs = Generations(_PAIRS, lambda pair: self.merge(pair[0] + pair[1]) == [*pair])
         self._joints = Generations(_PAIRS, lambda ids: self._pairs[model.piece[ids >> 20], model.piece[ids & 0xFFFFF]])
         self.widest = 0  # the largest window so far
+        self.walked = 0  # characters that the walk went over
 
     def merge(self, text: str) -> list[str]:
         """Pieces of a short text by the merge order itself: best score first, then leftmost."""
@@ -128,116 +134,93 @@ class Encoder:
     def compatible(self, left: str, right: str) -> bool:
         return self._pairs[left, right]
 
+    def _joins(self, before: int, begin: int, piece: int, text: str, j: int, k: int) -> bool:
+        """Whether a merge model puts the piece at [j, k) after the one at [begin, j)."""
+        if before >= 0 and piece >= 0:
+            return self._joints[before << 20 | piece]
+        return self._pairs[text[begin:j], text[j:k]]
+
     def stream(self, text: str):
-        """Yields lists of committed pieces; the window behind the last commit stays short."""
-        m, n = self.m, len(text)
-        back: dict[int, str] = {}  # piece that ends at a position, for the positions of the window
+        """Yields lists of committed ids; the window behind the last commit stays short.
+
+        back[p] = (where the surviving piece that ends at p begins, its id or -1 for a character
+        outside the vocabulary); far is the furthest end of any piece so far."""
+        m, n, trie = self.m, len(text), self.m.trie
+        merges, score, worst, joints = m.merges, m.id_score, m.unknown_score, self._joints
+        back: dict[int, tuple[int, int]] = {}
         value = {0: 0.0}
-        committed = 0
+        committed, far, due = 0, 0, self.check_every
+        self.walked += n
         for j in range(n):
-            if j and j not in back:
+            if j == far and j:  # no piece reaches further: all paths pass here
+                yield self._path(text, back, committed, j)
+                back, committed, due = {j: back[j]}, j, j + self.check_every
+                if not merges:
+                    value = {j: value[j]}
+            got = back.get(j)
+            if got is None and j:
                 continue
-            before = back.get(j)
-            k = j + 1
-            while k <= n:
-                part = text[j:k]
-                inside = part in m.starts
-                if not inside and k > j + 1:
-                    break
-                if part in m.ids or k == j + 1:
-                    if m.merges:
-                        if k not in back and (before is None or self.compatible(before, part)):
-                            back[k] = part
+            begin, before = got or (0, -1)
+            node, k = trie.get(text[j]), j + 1
+            t = node[0] if node is not None else -1
+            while True:
+                if t >= 0 or k == j + 1:
+                    if merges:
+                        if k not in back and (not j or (joints[before << 20 | t] if before >= 0 and t >= 0 else self._joins(before, begin, t, text, j, k))):
+                            back[k] = j, t
+                            far = k if k > far else far
                     else:
-                        v = value[j] + m.score.get(part, m.unknown_score)
+                        v = value[j] + (score[t] if t >= 0 else worst)
                         if k not in back or v > value[k]:
-                            back[k], value[k] = part, v
-                if not inside:
+                            back[k], value[k] = (j, t), v
+                            far = k if k > far else far
+                if node is None or k == n:
                     break
-                k += 1
-            if j - committed >= self.check_every and (j + 1) % 16 == 0:
+                node = node[1].get(text[k])
+                if node is None:
+                    break
+                t, k = node[0], k + 1
+            if j >= due:
                 self.widest = max(self.widest, len(back))
                 meet = self._meeting(back, committed, j + 1)
                 if meet > committed:
-                    yield self._path(back, committed, meet)
-                    for p in [p for p in back if p <= meet and p != meet]:
-                        del back[p]
+                    yield self._path(text, back, committed, meet)
+                    back = {p: x for p, x in back.items() if p >= meet}
                     value = {p: v for p, v in value.items() if p >= meet}
                     committed = meet
+                due = j + 16
         if n > committed:
-            yield self._path(back, committed, n)
+            yield self._path(text, back, committed, n)
 
-    def _meeting(self, back: dict[int, str], committed: int, now: int) -> int:
+    def _meeting(self, back: dict[int, tuple[int, int]], committed: int, now: int) -> int:
         """The boundary that every surviving path from positions at or after ``now`` passes."""
-        alive = {p for p in back if p >= now}
         # positions up to now may still start pieces: they are alive as well
-        alive |= {p for p in back if now - self.m.longest < p}
+        alive = {p for p in back if now - self.m.longest < p}
         while len(alive) > 1:
             p = max(alive)
             alive.discard(p)
-            alive.add(p - len(back[p]) if p > committed else committed)
+            alive.add(back[p][0] if p > committed else committed)
         return max(alive.pop() if alive else committed, committed)
 
-    @staticmethod
-    def _path(back: dict[int, str], start: int, end: int) -> list[str]:
-        out = []
+    def _path(self, text: str, back: dict[int, tuple[int, int]], start: int, end: int) -> list[int]:
+        out: list[int] = []
         while end > start:
-            out.append(back[end])
-            end -= len(out[-1])
-        return out[::-1]
-
-    def short(self, text: str) -> list[int] | None:
-        """Ids of a stretch no longer than the window of a merge model (nothing to commit before its
-        end); None where it holds a character outside the vocabulary."""
-        n, trie, joints, piece = len(text), self.m.trie, self._joints, self.m.piece
-        back = [-1] * (n + 1)
-        for j in range(n):
-            before = back[j]
-            if before < 0 and j:
-                continue
-            node = trie.get(text[j])
-            if node is None or node[0] < 0:
-                return None
-            before <<= 20
-            k = j + 1
-            while True:
-                t, after = node
-                if t >= 0 and back[k] < 0 and (not j or joints[before | t]):
-                    back[k] = t
-                if k == n:
-                    break
-                node = after.get(text[k])
-                if node is None:
-                    break
-                k += 1
-        out = []
-        while n:
-            k = back[n]
-            out.append(k)
-            n -= len(piece[k])
+            begin, t = back[end]
+            out += (t,) if t >= 0 else self.m.char_ids(text[begin:end])[::-1]
+            end = begin
         return out[::-1]
 
-    def stretch_ids(self, part: str) -> list[int]:
-        got = self.short(part) if self.m.merges and len(part) <= self.check_every else None
-        if got is None:
-            got, ids = [], self.m.ids
-            for pieces in self.stream(part):
-                for p in pieces:
-                    k = ids.get(p)
-                    if k is None:
-                        got += self.m.char_ids(p)
-                    else:
-                        got.append(k)
-        return got
+    def marked(self, text: str) -> str:
+        text = text.replace(" ", MARK)
+        return MARK + text if self.m.prefix else text
 
     def encode(self, text: str | None) -> list[int]:
         if not text:
             return []
-        text = text.replace(" ", MARK)
-        parts = self.m.stretch.findall(MARK + text if self.m.prefix else text)
+        parts = self.m.stretch.findall(self.marked(text))
         memo = self._memo.__getitem__
         if len(max(parts, key=len)) > 64:  # long stretches do not repeat: they are not memorised
-            return [k for p in parts for k in (self._memo[p] if len(p) <= 64 else self.stretch_ids(p))]
+            return [k for p in parts for k in (memo(p) if len(p) <= 64 else chain.from_iterable(self.stream(p)))]
         return list(chain.from_iterable(map(memo, parts)))
 
     def decode(self, ids) -> str:
@@ -264,13 +247,8 @@ class Encoder:
         return text[1:] if self.m.prefix and text.startswith(" ") else text
 
 
-_cache: dict[str, Encoder] = {}
-
-
 def encoder(path: str) -> Encoder:
-    if path not in _cache:
-        _cache[path] = Encoder(PieceModel(path))
-    return _cache[path]
+    return worker_state(__name__, path, lambda: Encoder(PieceModel(path)))
 
 
 def encode(docs: DataFrame, path: str, keep: list[str] | None = None) -> DataFrame:
@@ -286,7 +264,7 @@ def encode(docs: DataFrame, path: str, keep: list[str] | None = None) -> DataFra
                 c = b.slice(s, 256)
                 yield pa.RecordBatch.from_arrays([*(c.column(k) for k in range(1, c.num_columns)), pa.array([e.encode(t) for t in c.column(0).to_pylist()], pa.list_(pa.int32()))], names=[*keep, "ids"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(tidy(run), schema)
 
 
 def decode(encoded: DataFrame, path: str, keep: list[str] | None = None) -> DataFrame:
@@ -300,7 +278,7 @@ def decode(encoded: DataFrame, path: str, keep: list[str] | None = None) -> Data
         for b in batches:
             yield pa.RecordBatch.from_arrays([*(b.column(k) for k in range(1, b.num_columns)), pa.array([e.decode(x or []) for x in b.column(0).to_pylist()], pa.string())], names=[*keep, "text"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(tidy(run), schema)
 
 
 def codec_report(docs: DataFrame, path: str) -> DataFrame:
@@ -321,4 +299,4 @@ def codec_report(docs: DataFrame, path: str) -> DataFrame:
                 same.append(back == (t or ""))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(crc, pa.int64()), pa.array(sha, pa.string()), pa.array(same, pa.bool_())], names=["doc_id", "n_ids", "ids_crc32", "decoded_sha256", "round_trip"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_ids long, ids_crc32 long, decoded_sha256 string, round_trip boolean")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), "doc_id long, n_ids long, ids_crc32 long, decoded_sha256 string, round_trip boolean")

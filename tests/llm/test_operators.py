@@ -162,7 +162,18 @@ def test_piece_ids_equal_the_librarys(docs, nothing):
     long = pieces.Encoder(pieces.PieceModel(PIECES))
     mark = pieces.MARK + _text(r, 400).replace(" ", pieces.MARK)
     got = [p for part in long.stream(mark) for p in part]
-    assert [long.m.ids[p] for p in got] == lib.encode(mark[1:]) and long.widest < 200 < len(mark)
+    assert got == lib.encode(mark[1:]) and long.widest < 200 < len(mark)
+    # the walk over whole texts, without the memory by stretch, commits as it goes and gives the same ids
+    total = 0
+    for t in texts:
+        parts = list(own.stream(own.marked(t))) if t else []
+        total += len(t) + 1
+        assert [k for ids in parts for k in ids] == lib.encode(t)
+        assert len(parts) >= len(t) // 400
+    fresh = pieces.Encoder(pieces.PieceModel(PIECES))
+    assert all(fresh.encode(t) == lib.encode(t) for t in texts)
+    print(f"streaming walk: {fresh.walked} of {total} characters; the rest are stretches it had committed before")
+    assert fresh.walked > 0 and fresh.widest < 2 * fresh.check_every + fresh.m.longest
     encoded = pieces.encode(docs, PIECES, keep=["doc_id", "score"])
     back = pieces.decode(encoded, PIECES).collect()
     assert Counter((x.doc_id, x.text) for x in back) == Counter((i, t or "") for i, t, *_ in _rows())
