@@ -362,6 +362,77 @@ def test_network_distribution_sums_to_one_and_gradients_match():
     assert abs(got - want) < 1e-3
 
 
+def test_window_gradients_match_differences():
+    net = lm.GatedLm()
+    net.w = {k: v.astype(np.float64) * 3 for k, v in net.w.items()}
+    r = np.random.default_rng(6)
+    token, cls, word = r.integers(0, 60, (5, 3)), r.integers(0, lm.CLASSES, (5, 3)), r.integers(0, lm.PER_CLASS, (5, 3))
+    live, h0 = r.random((5, 3)) < 0.8, r.normal(size=(3, lm.HIDDEN)) * 0.1
+
+    def loss():
+        h, total = h0, 0.0
+        for t in range(5):
+            total -= (net.log_probabilities(h, cls[t], word[t]) * live[t]).sum()
+            h = net.step(h, token[t])
+        return total
+
+    g = net.gradients(h0, token, cls, word, live)
+    for k in g:
+        flat = net.w[k].reshape(-1)
+        for at in np.argsort(-np.abs(g[k].reshape(-1)))[:3]:
+            old = flat[at]
+            flat[at] = old + 1e-5
+            up = loss()
+            flat[at] = old - 1e-5
+            down = loss()
+            flat[at] = old
+            assert abs((up - down) / 2e-5 - g[k].reshape(-1)[at]) < 1e-5
+
+
+def test_windows_reach_every_document_and_every_place():
+    sizes = np.array([1, 10, 24, 25, 400, 5000])
+    first = np.concatenate([[0], np.cumsum(sizes)])
+    token = np.arange(first[-1])
+    reached = np.zeros(len(token), bool)
+    for phase in range(16):
+        rows = lm.window_rows(token, token, token, first, np.full(6, phase), np.full(6, 16))
+        own = rows[:, lm.WINDOW :, 0][rows[:, lm.WINDOW :, 3] > 0]
+        assert set(np.searchsorted(first, own, side="right")) == set(range(1, 7))
+        reached[own] = True
+        before = rows[:, : lm.WINDOW, 0][rows[:, : lm.WINDOW, 3] > 0]
+        assert set(before + lm.WINDOW) <= set(range(first[-1] + lm.WINDOW))
+    assert reached.all()
+
+
+def test_model_scores_equal_a_plain_loop_over_each_document(docs):
+    model = lm.fit(docs, epochs=1)
+    got = Counter((r.doc_id, round(r.score, 2)) for r in lm.score(docs, model).collect())
+    c, ends = Counter(), 0
+    for i, t, *_ in _rows():
+        if i is None or zlib.crc32(str(i).encode()) % 10:
+            c.update((t or "").encode().lower().split())
+    tails = Counter(), Counter()
+    often = {h: k for h, k in zip(model.head.tolist(), model.rank.tolist()) if k >= 0}
+    for w, n in c.items():
+        if lm.word_hash(w) not in often:
+            tails[0][lm.tail_class(w)] += n
+            tails[1][lm.tail_class(w)] += 1
+    want = Counter()
+    for i, t, *_ in _rows():
+        h, total = np.zeros((1, lm.HIDDEN), np.float32), 0.0
+        for w in [*(t or "").encode().lower().split(), None]:
+            k = 0 if w is None else often.get(lm.word_hash(w), -1)
+            cls = k // lm.PER_CLASS if k >= 0 else lm.CLASSES + lm.tail_class(w)
+            total += float(model.lm.log_probabilities(h, np.array([cls]), np.array([k % lm.PER_CLASS if k >= 0 else 0]))[0]) / math.log(10)
+            if k < 0:
+                x = lm.tail_class(w)
+                total += math.log10((c[w] + 0.1) / (tails[0][x] + 0.1 * (tails[1][x] + 1)))
+            h = model.lm.step(h, np.array([k if k >= 0 else lm.FREQUENT + lm.tail_class(w)]))
+        want[i, round(total, 2)] += 1
+    near = lambda x: sorted((-1 if i is None else i, s) for (i, s), n in x.items() for _ in range(n))
+    assert all(a[0] == b[0] and abs(a[1] - b[1]) <= 0.02 + 1e-5 * abs(a[1]) for a, b in zip(near(got), near(want), strict=True))
+
+
 # 7 rules
 def test_rule_statistics_equal_brute_force(docs, labels, nothing):
     forest, cut = rules.fit(docs, labels)
