@@ -9,17 +9,22 @@ Graph.  Random hyperplanes through pairs of sampled vectors give each node a cod
 code order are cut into blocks of equal size (balanced whatever the data) whose best pairs start the
 graph.  Then NN-descent: each node sends its vector to its neighbours and to those that list it, and
 everyone introduces its visitors to each other, which are the joins of neighbours of neighbours; a
-node keeps its ``degree`` best.  Rounds end after ``rounds`` or when few lists change.  Reverse lists
-keep their ``degree`` best (a graph parameter; hubs lose in-links only, never their row).
+node keeps its ``degree`` best.  Rounds end when few lists change, or
+when the lists of sampled nodes gain next to none of their true neighbours.  Reverse lists keep their
+``degree`` best (a graph parameter; hubs lose in-links only, never their row).
 
 Search.  A query starts from its own node's list and from the best of the ``ENTRIES`` longest vectors
-(large products are with long vectors, which a short vector's list need not lead to), and expands its ``width`` best unexpanded nodes a
-round for ``hops`` rounds through the joined adjacency lists; the ``pool`` best are scored exactly in
-double precision.
+(large products are with long vectors, which a short vector's list need not lead to), and expands its
+``width`` best unexpanded nodes a round through the joined adjacency lists; the ``pool`` best are scored
+exactly in double precision.  How many rounds there are is decided by measurement: a fixed number of
+sampled queries is answered by an exact scan of all rows as well, and the search goes on until it finds
+``recall`` of their true neighbours, or a round gains next to nothing, so the work follows what the table
+needs and not a constant.  ``exact_nearest`` is the exact way for all queries.
 
 Defined cases: vectors that are null, zero, of another dimension than most, or hold null or
 non-finite components take no part; of rows repeating a vec_id one counts; ties go to the smaller
-vec_id; an empty table gives an empty result.
+vec_id; an empty table gives an empty result; products beyond the range of doubles are infinite, and
+one that is no number ranks last.
 """
 
 from __future__ import annotations
@@ -30,12 +35,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import hashed_head, materialize
+from .common import drop, hashed_head, materialize, tidy
 
 TREES, BITS, BLOCK, STARTS = 12, 28, 256, 12
-DEGREE, ROUNDS, OFFERS = 28, 2, 8
-WIDTH, HOPS, POOL = 64, 5, 64
+DEGREE, ROUNDS, OFFERS = 28, 8, 8
+WIDTH, HOPS, POOL = 64, 40, 64
 ENTRIES = 512
+#: Sampled queries, and the share of their true neighbours at which the search ends.
+MEASURED, RECALL = 128, 0.985
 
 
 def usable(rows: DataFrame, vec_id: str = "vec_id", vector: str = "embedding") -> DataFrame:
@@ -128,14 +135,15 @@ def _lists(schema_ids, schema_sims):
     return pa.array([x.astype("<i8").tobytes() for x in schema_ids], pa.binary()), pa.array([x.astype("<f4").tobytes() for x in schema_sims], pa.binary())
 
 
-def nodes_of(distinct: DataFrame, d: int, longest: float) -> DataFrame:
-    """(id, q, s): vectors as bytes with their lift and their scale."""
+def nodes_of(distinct: DataFrame, d: int, peak: float, longest: float) -> DataFrame:
+    """(id, q, s): vectors as bytes with their lift and their scale.  ``peak`` is the largest component,
+    ``longest`` the largest length once all are divided by it (so that no square overflows)."""
 
     def run(batches):
         for b in batches:
             if not b.num_rows:
                 continue
-            q, s = _quantised(_matrix(b.column(1), d) / longest)
+            q, s = _quantised(_matrix(b.column(1), d) / peak / longest)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(q, pa.binary()), pa.array(s, pa.float32())], names=["id", "q", "s"])
 
     return distinct.select("id", "v").mapInArrow(run, "id long, q binary, s float")
@@ -281,14 +289,18 @@ def descend(graph: DataFrame, nodes: DataFrame, d: int, degree: int = DEGREE, of
     return visits.mapInArrow(run, "id long, ids binary, sims binary")
 
 
-def build_graph(nodes: DataFrame, d: int, degree: int = DEGREE, rounds: int = ROUNDS, settled: float = 0.002) -> DataFrame:
-    """The neighbour graph (id, ids, sims) of ``nodes`` (a table)."""
+def build_graph(nodes: DataFrame, d: int, degree: int = DEGREE, rounds: int = ROUNDS, settled: float = 0.1, watch=None) -> DataFrame:
+    """The neighbour graph (id, ids, sims) of ``nodes`` (a table).  ``watch`` is called with the graph of
+    the blocks alone and after each round, and may end the rounds."""
     graph = materialize(merge_lists(start_lists(nodes, d), degree), "graph")
+    if watch:
+        watch(graph)
     for _ in range(rounds):
         better = materialize(merge_lists(graph.unionByName(descend(graph, nodes, d, degree)), degree), "graph")
         changed = graph.join(better.select("id", F.col("ids").alias("now")), "id").agg(F.avg(F.when(F.col("ids") != F.col("now"), 1.0).otherwise(0.0))).first()[0]
+        drop(graph)
         graph = better
-        if changed is None or changed < settled:
+        if (watch and watch(graph)) or changed is None or changed < settled:
             break
     return graph
 
@@ -299,11 +311,11 @@ def adjacency(graph: DataFrame, nodes: DataFrame, degree: int = DEGREE) -> DataF
     return v.groupBy("u").agg(F.collect_list(F.struct("id", "q", "s")).alias("links"))  # 2 * degree a node
 
 
-def search(queries: DataFrame, graph: DataFrame, links: DataFrame, entries: list, d: int, width: int = WIDTH, hops: int = HOPS, pool: int = POOL) -> DataFrame:
+def search(queries: DataFrame, graph: DataFrame, links: DataFrame, entries: list, d: int, width: int = WIDTH, hops: int = HOPS, pool: int = POOL, enough=None) -> DataFrame:
     """Greedy search from each query's own node and from ``entries``, rows of nodes.  queries:
-    (id, q, s), nodes themselves.  Returns (id, ids, sims, seen): the ``pool`` best found, and all
-    that were expanded."""
-    beam = max(pool, width * hops)
+    (id, q, s), nodes themselves.  Returns (id, q, s, ids, sims, done): the best found, and all that were
+    expanded.  ``enough``, asked after each round with its table, ends the search."""
+    beam = 6 * width
     entry_ids = np.array([r["id"] for r in entries], np.int64)
     entry_x = _opened(np.stack([np.frombuffer(r["q"], np.int8) for r in entries]), np.array([r["s"] for r in entries]), d)[0]
 
@@ -321,8 +333,8 @@ def search(queries: DataFrame, graph: DataFrame, links: DataFrame, entries: list
             yield pa.RecordBatch.from_arrays([*(b.column(k) for k in range(3)), *_lists(ids, sims), pa.array([b""] * b.num_rows, pa.binary())], names=["id", "q", "s", "ids", "sims", "done"])
 
     state = queries.join(graph, "id").select("id", "q", "s", "ids").mapInArrow(begin, "id long, q binary, s float, ids binary, sims binary, done binary")
-    for hop in range(hops):
-        state = materialize(state, "search")
+    state = materialize(state, "search")
+    for _ in range(hops):
 
         def frontier(batches):
             for b in batches:
@@ -369,13 +381,78 @@ def search(queries: DataFrame, graph: DataFrame, links: DataFrame, entries: list
                 yield pa.RecordBatch.from_arrays([b.column(0), *_lists(ids, sims), pa.array(done, pa.binary())], names=["id", "ids", "sims", "done"])
 
         merged = gathered.mapInArrow(merge, "id long, ids binary, sims binary, done binary")
-        state = state.select("id", "q", "s").join(merged, "id").select("id", "q", "s", "ids", "sims", "done")
+        before, state = state, materialize(state.select("id", "q", "s").join(merged, "id").select("id", "q", "s", "ids", "sims", "done"), "search")
+        # a round that expanded nothing leaves its table as it was
+        idle = before.agg(F.sum(F.length("done"))).first()[0] == state.agg(F.sum(F.length("done"))).first()[0]
+        drop(before)
+        if idle or (enough is not None and enough(state)):
+            break
     return state
 
 
-def nearest(rows: DataFrame, queries, k: int = 20, vec_id: str = "vec_id", vector: str = "embedding", degree: int = DEGREE, rounds: int = ROUNDS, width: int = WIDTH, hops: int = HOPS, pool: int = POOL) -> DataFrame:
+def true_neighbours(members: DataFrame, queries: list, d: int, k: int) -> dict[int, set[int]]:
+    """The ``k`` nearest nodes of a few query rows (id, v), by one exact scan."""
+    ids, v = np.array([r["id"] for r in queries], np.int64), np.array([r["v"] for r in queries], np.float64)
+
+    def run(batches):
+        for b in _cut(batches, 4000):
+            own = b.column(0).to_numpy()
+            with np.errstate(all="ignore"):
+                sim = np.nan_to_num(v @ _matrix(b.column(1), d).T, nan=-np.inf, posinf=np.inf, neginf=-np.inf)
+            sim[ids[:, None] == own[None, :]] = -np.inf
+            top = np.argpartition(-sim, min(k, len(own)) - 1, axis=1)[:, :k]
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, top.shape[1])), pa.array(own[top].ravel()), pa.array(np.take_along_axis(sim, top, axis=1).ravel())], names=["id", "c", "sim"])
+
+    near = members.select("id", "v").mapInArrow(tidy(run), "id long, c long, sim double").where(F.col("sim") > float("-inf"))
+    best = near.withColumn("r", F.row_number().over(W.partitionBy("id").orderBy(F.desc("sim"), "c"))).where(F.col("r") <= k)
+    out: dict[int, set[int]] = {}
+    for r in best.select("id", "c").collect():  # k rows a query
+        out.setdefault(r["id"], set()).add(r["c"])
+    return out
+
+
+def measured_recall(lists: DataFrame, truth: dict[int, set[int]], pool: int) -> float:
+    """The share of the true neighbours among the first ``pool`` of the queries' lists (id, ids)."""
+    picked = lists.where(F.col("id").isin(list(truth))).select("id", "ids").collect()  # MEASURED rows
+    hit = sum(len(truth[r["id"]] & set(np.frombuffer(r["ids"], "<i8")[:pool].tolist())) for r in picked)
+    return hit / max(1, sum(map(len, truth.values())))
+
+
+def exact_nearest(rows: DataFrame, queries, k: int = 20, vec_id: str = "vec_id", vector: str = "embedding", block: int = 4096) -> DataFrame:
+    """The same columns as ``nearest`` by comparing every query with every row, ``block`` queries at a time:
+    exact, and as much work as that."""
+    spark, out_schema = rows.sparkSession, "query_id long, rank int, vec_id long, score double"
+    every = materialize(usable(rows, vec_id, vector), "vectors")
+    first = every.select(F.size("v").alias("d")).first()
+    out = spark.createDataFrame([], out_schema)
+    if first is None:
+        return out
+    d, asked, after = first["d"], every.where(queries(F.col("vec_id"))), None
+    while True:
+        part = (asked if after is None else asked.where(F.col("vec_id") > after)).orderBy("vec_id").limit(block).collect()
+        if not part:
+            return out
+        after, ids, v = part[-1]["vec_id"], np.array([r["vec_id"] for r in part], np.int64), np.array([r["v"] for r in part])
+
+        def run(batches, ids=ids, v=v):
+            for b in _cut(batches, 2000):
+                own, x = b.column(0).to_numpy(), _matrix(b.column(1), d)
+                with np.errstate(all="ignore"):
+                    sim = np.nan_to_num(np.stack([np.einsum("ij,j->i", x, q) for q in v]), nan=-np.inf, posinf=np.inf, neginf=-np.inf)
+                for q, row in zip(ids, sim):
+                    best = np.lexsort((own, -row))[: k + 1]
+                    best = best[own[best] != q][:k]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(best), q)), pa.array(own[best]), pa.array(row[best])], names=["query_id", "vec_id", "score"])
+
+        near = every.mapInArrow(tidy(run), "query_id long, vec_id long, score double")
+        ranked = near.withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")).cast("int")).where(F.col("rank") <= k)
+        out = out.unionByName(materialize(ranked.select("query_id", "rank", "vec_id", "score"), "exact"))
+
+
+def nearest(rows: DataFrame, queries, k: int = 20, vec_id: str = "vec_id", vector: str = "embedding", degree: int = DEGREE, rounds: int = ROUNDS, width: int = WIDTH, hops: int = HOPS, pool: int = POOL, recall: float = RECALL, report: dict | None = None) -> DataFrame:
     """query_id, rank, vec_id, score: the ``k`` nearest of every row that the column condition
-    ``queries`` on vec_id picks, among all other rows."""
+    ``queries`` on vec_id picks, among all other rows.  ``report`` receives the recall measured on the
+    sampled queries: of the graph's own lists by round, and of the search by round."""
     spark = rows.sparkSession
     out_schema = "query_id long, rank int, vec_id long, score double"
     all_rows = materialize(usable(rows, vec_id, vector), "vectors")
@@ -383,19 +460,36 @@ def nearest(rows: DataFrame, queries, k: int = 20, vec_id: str = "vec_id", vecto
     if first is None:
         return spark.createDataFrame([], out_schema)
     d = first["d"]
-    longest = float(all_rows.agg(F.max(F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x)))).first()[0])
-    keyed = all_rows.withColumn("h", F.xxhash64("v"))
+    peak = float(all_rows.agg(F.max(F.aggregate("v", F.lit(0.0), lambda a, x: F.greatest(a, F.abs(x))))).first()[0])
+    norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + (x / peak) * (x / peak)))
+    longest = float(all_rows.agg(F.max(norm)).first()[0])
+    keyed = all_rows.withColumn("h", F.struct(F.xxhash64("v").alias("a"), F.xxhash64(F.lit(11), "v").alias("b")))
     # the k + 1 smallest ids of each distinct vector; its node is named by the first
     members = keyed.withColumn("r", F.row_number().over(W.partitionBy("h").orderBy("vec_id"))).where(F.col("r") <= k + 1)
     members = materialize(members.groupBy("h").agg(F.min("vec_id").alias("id"), F.first("v").alias("v"), F.array_sort(F.collect_list("vec_id")).alias("members")), "members")
-    nodes = materialize(nodes_of(members, d, longest), "nodes")
-    graph = build_graph(nodes, d, degree, rounds)
-    links = materialize(adjacency(graph, nodes, degree), "links")
+    nodes = materialize(nodes_of(members, d, peak, longest), "nodes")
     asked = materialize(keyed.where(queries(F.col("vec_id"))).join(members.select("h", "id"), "h").select("vec_id", "id"), "asked")
     wanted = asked.groupBy("id").agg(F.count(F.lit(1)).alias("n"))
-    norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))
-    entries = nodes_of(members.orderBy(norm.desc(), "id").limit(ENTRIES), d, longest).collect()  # fixed size
-    found = search(nodes.join(wanted, "id").select("id", "q", "s"), graph, links, entries, d, width, hops, pool)
+    sampled = members.join(F.broadcast(hashed_head(wanted.select("id"), MEASURED, "id")), "id").select("id", "v").collect()  # fixed size
+    truth = true_neighbours(members, sampled, d, k)
+    report = {} if report is None else report
+    report.update(graph=[], search=[])
+
+    def seen(name: str, lists: DataFrame, first: int, least: float) -> float | None:
+        """Notes the recall, and returns it unless the round gained less than ``least``."""
+        report[name].append(measured_recall(lists, truth, first))
+        gained = len(report[name]) < 2 or report[name][-1] - report[name][-2] >= least
+        return report[name][-1] if gained else None
+
+    graph = build_graph(nodes, d, degree, rounds, watch=lambda g: seen("graph", g, degree, 0.015) is None)
+    links = materialize(adjacency(graph, nodes, degree), "links")
+    entries = nodes_of(members.orderBy(norm.desc(), "id").limit(ENTRIES), d, peak, longest).collect()  # fixed size
+
+    def enough(state: DataFrame) -> bool:
+        now = seen("search", state, pool, 0.002)
+        return now is None or now >= recall
+
+    found = search(nodes.join(wanted, "id").select("id", "q", "s"), graph, links, entries, d, width, hops, pool, enough)
 
     def pairs(batches):
         for b in batches:
@@ -406,7 +500,9 @@ def nearest(rows: DataFrame, queries, k: int = 20, vec_id: str = "vec_id", vecto
     def exact(batches):
         for b in _cut(batches, 2000):
             if b.num_rows:
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.einsum("ij,ij->i", _matrix(b.column(1), d), _matrix(b.column(2), d))), b.column(3)], names=["id", "score", "members"])
+                with np.errstate(all="ignore"):
+                    score = np.einsum("ij,ij->i", _matrix(b.column(1), d), _matrix(b.column(2), d))
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.where(np.isnan(score), -np.inf, score)), b.column(3)], names=["id", "score", "members"])
 
     lone = nodes.join(wanted, "id").join(graph.select("id"), "id", "left_anti").select("id", F.col("id").alias("c"))  # a single node has no list
     pair = found.select("id", "ids").mapInArrow(pairs, "id long, c long").unionByName(lone)

@@ -9,7 +9,8 @@ Items of one length are interchangeable, so the plan is made from the histogram
 at most ``capacity`` counts reach the driver whatever the corpus size, and the plan is a short list
 of *segments* (length, ranks, first sequence, items per sequence, first offset).  Each item finds
 its place from its rank among the items of its length; that rank is computed with a salted window,
-so one length holding a third of all items is still spread over many tasks.
+whose salts grow with the most frequent length, so one length holding most items is still spread
+over many tasks of a bounded size.
 
 Defined cases: null or empty text is a document of the end id alone; rows with the same doc_id are
 packed each on its own; an empty table gives an empty result; other columns are ignored.
@@ -27,10 +28,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import batch, materialize
+from .common import batch, materialize, slices, text_bytes, tidy, worker_state
 
 CAPACITY = 2048
-SALTS = 256
+#: Items that one window task ranks, about.
+RANKED = 500_000
 #: Token split pattern of the 50k byte-level vocabulary (fixed value).
 BYTE_BPE_PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 
@@ -66,22 +68,24 @@ def pieces(docs: DataFrame, json_path: str, ranks_path: str | None = None, capac
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + (", ids array<int>" if with_ids else "")
 
     def run(batches):
-        tok = ByteBpe(json_path, ranks_path)
+        tok = worker_state(__name__, (json_path, ranks_path), lambda: ByteBpe(json_path, ranks_path))
         for b in batches:
-            rows = ([], [], [], [], [], [])
-            for doc_id, text in zip(b.column(0).to_pylist(), b.column(1)):
-                ids = np.array([*tok.encode(text.as_py() or ""), end_id], "<u4")
-                cuts = [0, *range(len(ids) % capacity or capacity, len(ids) + 1, capacity)]
-                for k, (lo, hi) in enumerate(zip(cuts, cuts[1:])):
-                    part = ids[lo:hi]
-                    for out, v in zip(rows, (doc_id, k, lo, hi - lo, zlib.crc32(part.tobytes()), part.astype(np.int32) if with_ids else None)):
-                        out.append(v)
-            cols = {"doc_id": (rows[0], pa.int64()), "piece": (rows[1], pa.int32()), "start": (rows[2], pa.int64()), "length": (rows[3], pa.int64()), "ids_crc32": (rows[4], pa.int64())}
-            if with_ids:
-                cols["ids"] = (rows[5], pa.list_(pa.int32()))
-            yield batch(cols)
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, schema)
+            offsets, _ = text_bytes(b.column(1))
+            for i, j in slices(offsets, 1 << 20):
+                rows = ([], [], [], [], [], [])
+                for doc_id, text in zip(b.column(0).slice(i, j - i).to_pylist(), b.column(1).slice(i, j - i)):
+                    ids = np.array([*tok.encode(text.as_py() or ""), end_id], "<u4")
+                    cuts = [0, *range(len(ids) % capacity or capacity, len(ids) + 1, capacity)]
+                    for k, (lo, hi) in enumerate(zip(cuts, cuts[1:])):
+                        part = ids[lo:hi]
+                        for out, v in zip(rows, (doc_id, k, lo, hi - lo, zlib.crc32(part.tobytes()), part.astype(np.int32) if with_ids else None)):
+                            out.append(v)
+                cols = {"doc_id": (rows[0], pa.int64()), "piece": (rows[1], pa.int32()), "start": (rows[2], pa.int64()), "length": (rows[3], pa.int64()), "ids_crc32": (rows[4], pa.int64())}
+                if with_ids:
+                    cols["ids"] = (rows[5], pa.list_(pa.int32()))
+                yield batch(cols)
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), schema)
 
 
 @dataclass(frozen=True)
@@ -180,7 +184,8 @@ def pack(items: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     read several times: pass a materialised table."""
     counts = {r["length"]: r["n"] for r in items.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most capacity rows
     plan = plan_packing(counts, capacity)
-    salted = items.withColumn("_salt", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(SALTS)).cast("int"))
+    salts = max(256, -(-max(counts.values(), default=0) // RANKED))  # the most frequent length decides
+    salted = items.withColumn("_salt", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(salts)).cast("int"))
     before = salted.groupBy("length", "_salt").agg(F.count(F.lit(1)).alias("_n"))
     before = before.select("length", "_salt", (F.sum("_n").over(W.partitionBy("length").orderBy("_salt")) - F.col("_n")).alias("_before"))
     ranked = salted.withColumn("_in", F.row_number().over(W.partitionBy("length", "_salt").orderBy("doc_id", "piece", "ids_crc32")) - 1)

@@ -6,7 +6,9 @@ into ``HIDDEN`` units.  Gated attention (a tanh gate times a sigmoid gate) weigh
 a logistic unit scores the weighted mean.  Encoder, gates and output are learnt together from
 document labels with Adam.
 
-Training takes a bounded sample of labelled rows (``sample_rows``) outside the held-out part.  The
+Training takes a bounded sample of labelled rows outside the held-out part: those of least id hash, at
+most ``sample_rows`` of them and as many as hold ``sample_passages`` passages, each with its whole
+text.  The
 positive class is far the larger one, so the loss weighs both kinds alike and the output is
 shifted so that the share of positives is the sample's.
 
@@ -21,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, text_bytes
+from .common import slices, text_bytes, tidy
 from .rules import labelled_sample
 
 PASSAGE = 1024
@@ -124,23 +126,32 @@ class GatedAttention:
         return self
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample_rows: int = 5000, max_passages: int = 64) -> GatedAttention | None:
-    """Learn from a bounded sample; a sampled text longer than ``max_passages`` passages gives that
-    many, evenly spread over the whole of it (this bounds training only, never scoring)."""
+def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample_rows: int = 5000, sample_passages: int = 60_000) -> GatedAttention | None:
+    """Learn from a bounded sample of rows, each whole."""
     sample = labelled_sample(docs, labels, label, sample_rows).select("doc_id", "text", "_label")
+    order = F.shiftrightunsigned(F.xxhash64("doc_id"), 1)
+    size = F.greatest(F.ceil(F.octet_length(F.coalesce("text", F.lit(""))) / PASSAGE), F.lit(1))
+    last, have = None, 0
+    for h, n in sorted((r[0], r[1]) for r in sample.select(order, size).collect()):  # sample_rows rows
+        have += n
+        if have > sample_passages:
+            break
+        last = h
+    if last is None:
+        return None
+    sample = sample.where(order <= last)
 
     def run(batches):
         for b in batches:
             offsets, raw = text_bytes(b.column(1))
             rows = []
-            for i, j in slices(offsets, 2 << 20):
+            for i, j in slices(offsets, 1 << 19):
                 first, x = passages(offsets[i : j + 1] - offsets[i], raw[offsets[i] : offsets[j]])
                 for k in range(j - i):
-                    own = x[first[k] : first[k + 1]]
-                    rows.append(own[np.unique(np.linspace(0, len(own) - 1, min(len(own), max_passages)).astype(int))].astype(np.float16).tobytes())
+                    rows.append(x[first[k] : first[k + 1]].astype(np.float16).tobytes())
             yield pa.RecordBatch.from_arrays([b.column(0).cast(pa.int64()), b.column(2).cast(pa.int32()), pa.array(rows, pa.binary())], names=["doc_id", "y", "x"])
 
-    got = sorted(sample.mapInArrow(run, "doc_id long, y int, x binary").collect(), key=lambda r: (r["doc_id"], bytes(r["x"])))  # sample_rows rows at most
+    got = sorted(sample.mapInArrow(tidy(run), "doc_id long, y int, x binary").collect(), key=lambda r: (r["doc_id"], bytes(r["x"])))  # sample_rows rows, sample_passages passages
     y = np.array([1 if r["y"] == 1 else 0 for r in got])
     if len(got) == 0 or y.min() == y.max():
         return None
@@ -158,7 +169,7 @@ def score(docs: DataFrame, model: GatedAttention | None, keep: list[str] | None
             offsets, raw = text_bytes(b.column(0))
             n = len(offsets) - 1
             p, count, top = np.full(n, 0.5), np.ones(n, np.int32), np.zeros(n, np.int32)
-            for i, j in slices(offsets, 2 << 20):
+            for i, j in slices(offsets, 1 << 19):
                 first, x = passages(offsets[i : j + 1] - offsets[i], raw[offsets[i] : offsets[j]])
                 count[i:j] = np.diff(first)
                 if model is not None:
@@ -170,4 +181,4 @@ def score(docs: DataFrame, model: GatedAttention | None, keep: list[str] | None
             rest = [b.column(k) for k in range(1, b.num_columns)]
             yield pa.RecordBatch.from_arrays([*rest, pa.array(p, pa.float64()), pa.array(count, pa.int32()), pa.array(top, pa.int32())], names=[*keep, "score", "n_passages", "top_passage"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(tidy(run), schema)

@@ -617,8 +617,11 @@ def test_recall(spark):
     x = r.normal(size=(3000, 32)).astype(np.float32)
     df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<float>").repartition(4)
     got = defaultdict(set)
-    for row in ann.nearest(df, lambda i: i % 20 == 0).collect():
+    report: dict = {}
+    for row in ann.nearest(df, lambda i: i % 20 == 0, report=report).collect():
         got[row.query_id].add(row.vec_id)
+    print("recall by round", report)
+    assert report["search"][-1] >= 0.95
     hit = 0
     for q in range(0, 3000, 20):
         s = x.astype(float) @ x[q].astype(float)
@@ -627,6 +630,38 @@ def test_recall(spark):
     assert hit / (150 * 20) >= 0.9
 
 
+def test_few_candidates_in_separate_groups_are_all_found(spark):
+    r = np.random.default_rng(12)
+    rows = [(k, (np.array([1.0, 0, 0, 0] if k < 9 else [-1.0, 0, 0, 0]) + r.normal(size=4) * 0.01).tolist()) for k in range(18)]
+    got = ann.nearest(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), lambda i: i % 9 == 0).collect()
+    assert Counter(x.query_id for x in got) == {0: 17, 9: 17}
+
+
+def test_extreme_lengths_and_the_exact_way(spark):
+    r = np.random.default_rng(13)
+    x = r.normal(size=(300, 6)) * 10.0 ** r.uniform(-3, 3, size=(300, 1))
+    x[5], x[6], x[7] = 1e200, -1e200, 1e-200
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>")
+    one, two = (sorted(map(tuple, f(df, lambda i: i % 20 == 0).collect())) for f in (ann.nearest, ann.exact_nearest))
+    assert len(one) == len(two) == 15 * 20
+    assert all(a[3] <= b[3] for a, b in zip(one, two))
+    assert sum(a[2] == b[2] for a, b in zip(one, two)) >= 0.9 * len(two)
+
+
+def test_descent_improves_a_poor_start(spark, monkeypatch):
+    from functools import partial
+
+    monkeypatch.setattr(ann, "start_lists", partial(ann.start_lists, trees=2, block=64))
+    r = np.random.default_rng(21)
+    x = r.normal(size=(2000, 12))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(4)
+    report: dict = {}
+    ann.nearest(df, lambda i: i % 20 == 0, report=report).count()
+    print("recall of the graph's lists by round", report["graph"])
+    assert report["graph"][0] < 0.6 and report["graph"][-1] > 0.9
+
+
 @pytest.mark.parametrize("kind", ["one long vector", "two orders of magnitude"])
 def test_recall_with_unequal_norms(spark, kind):
     r = np.random.default_rng(3)
