@@ -19,7 +19,8 @@ Search.  A query starts from its own node's list and from the best of the ``ENTR
 exactly in double precision.  How many rounds there are is decided by measurement: a fixed number of
 sampled queries is answered by an exact scan of all rows as well, and the search goes on until it finds
 ``recall`` of their true neighbours, or a round gains next to nothing, so the work follows what the table
-needs and not a constant.  ``exact_nearest`` is the exact way for all queries.
+needs and not a constant.  ``exact_nearest`` is the exact way for all queries, and the one taken where
+the measured recall stays below ``LEAST``.
 
 Defined cases: vectors that are null, zero, of another dimension than most, or hold null or
 non-finite components take no part; of rows repeating a vec_id one counts; ties go to the smaller
@@ -43,6 +44,8 @@ WIDTH, HOPS, POOL = 64, 40, 64
 ENTRIES = 512
 #: Sampled queries, and the share of their true neighbours at which the search ends.
 MEASURED, RECALL = 128, 0.985
+#: Below this measured recall the answer comes from the exact way.
+LEAST = 0.9
 
 
 def usable(rows: DataFrame, vec_id: str = "vec_id", vector: str = "embedding") -> DataFrame:
@@ -490,6 +493,8 @@ def nearest(rows: DataFrame, queries, k: int = 20, vec_id: str = "vec_id", vecto
         return now is None or now >= recall
 
     found = search(nodes.join(wanted, "id").select("id", "q", "s"), graph, links, entries, d, width, hops, pool, enough)
+    if truth and report["search"][-1] < LEAST:  # lengths too far apart for one scale: the exact way
+        return exact_nearest(rows, queries, k, vec_id, vector)
 
     def pairs(batches):
         for b in batches:
