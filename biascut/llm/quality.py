@@ -50,11 +50,14 @@ def passages(offsets: np.ndarray, raw: np.ndarray) -> tuple[np.ndarray, np.ndarr
     tri = np.zeros(len(wide), np.int64)
     if len(wide) > 2:
         tri[:-2] = ((wide[:-2] * np.uint32(0x9E3779B1) + wide[1:-1] * np.uint32(0x85EBCA77) + wide[2:] * np.uint32(0xC2B2AE3D)) >> np.uint32(24)).astype(np.int64)
+    begins, ends = offsets[:-1][sizes > 0], offsets[1:][sizes > 0]
+    tri[ends - 1] = tri[np.maximum(ends - 2, begins)] = 0  # no trigram reaches into the next text
     n = np.maximum(span, 1)[:, None]
     share = np.bincount(of * BUCKETS + tri, minlength=len(owner) * BUCKETS).reshape(len(owner), BUCKETS) / n
     kinds = np.bincount(of * (len(_KINDS) + 1) + _KIND[raw], minlength=len(owner) * (len(_KINDS) + 1)).reshape(len(owner), -1)[:, : len(_KINDS)] / n
     same = np.zeros(len(raw), np.int64)
     same[1:] = raw[1:] == raw[:-1]
+    same[begins] = 0
     extra = np.stack([np.log1p(span) / 7, (share**2).sum(axis=1) * 10, np.bincount(of, same, len(owner)) / n[:, 0], (share > 0).sum(axis=1) / BUCKETS], axis=1)
     return first, np.concatenate([np.sqrt(share), kinds * 3, extra], axis=1).astype(np.float32)
 

@@ -44,7 +44,7 @@ _TILE = 64
 #: A search for shingle similarity 0.8: that angle flips 39 of 256 bits on average, give or take 6.
 WIDE_BITS, WIDE_RADIUS = 256, 46
 #: Share of pairs at the stated similarity that no table of a wide search brings together.
-MISS = 0.02
+MISS = 0.005
 
 
 def fingerprint_slice(offsets: np.ndarray, raw: np.ndarray, width: int = WIDTH, seed: int = SEED, bits: int = 64) -> np.ndarray:
