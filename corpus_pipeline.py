@@ -6,7 +6,8 @@ changed replace the originals and n_chars follows them.
 
 1. language id: documents without a recognisable language (null or letter-free text) go.
 2. line dedup: repeated lines stay only in the first document that holds them.
-3. SimHash near-dedup: of each group of near copies the smallest doc_id stays.
+3. SimHash near-dedup: of each group of near copies (five-word shingles, similarity of 0.8 or more, by
+   wide fingerprints) the smallest doc_id stays.
 4. suffix-array dedup: byte strings that occur elsewhere go.  Documents stay, emptied ones too.
 5. best-fit packing: the rest is packed into sequences; returns pieces and their places.
 """
@@ -20,7 +21,7 @@ from biascut.llm import langid, linededup, packing, simhash, suffixdedup
 from biascut.llm.common import scratch_path
 from biascut.llm.queries import vocabulary
 
-#: SQL cannot express the first, third and fourth stage; tests hold run() against brute force.
+#: SQL cannot express the first and third stage; a test holds run() against a brute force of all five.
 ORACLE_SQL = None
 
 
@@ -45,7 +46,7 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    groups = simhash.near_duplicates(docs.select("doc_id", "text"))
+    groups = simhash.near_duplicates(docs.select("doc_id", "text"), width=5, radius=simhash.WIDE_RADIUS, bits=simhash.WIDE_BITS, similarity=0.8)
     gone = groups.where(F.col("component_id") != F.col("doc_id")).select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
