@@ -26,6 +26,8 @@ go to the alphabetically first language.  Rows repeating a doc_id are judged eac
 
 from __future__ import annotations
 
+from array import array
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -75,41 +77,36 @@ class SuffixAutomaton:
     from ``base`` on, in steps of the alphabet's size."""
 
     def __init__(self, symbols: list[int], alphabet: int, base: int = 0):
-        edges, link, length = [{}], [-1], [0]
+        k = alphabet
+        # at most two states a symbol, as rows of one flat table; -1 is a missing edge
+        edges, link, length = array("i", [-1]) * (k * (2 * len(symbols) + 1)), [-1], [0]
         last = 0
         for c in symbols:
-            new = len(edges)
-            edges.append({})
+            new = len(link)
             length.append(length[last] + 1)
             link.append(0)
             p = last
-            while p >= 0 and c not in edges[p]:
-                edges[p][c] = new
+            while p >= 0 and edges[p * k + c] < 0:
+                edges[p * k + c] = new
                 p = link[p]
             if p >= 0:
-                q = edges[p][c]
+                q = edges[p * k + c]
                 if length[p] + 1 == length[q]:
                     link[new] = q
                 else:
-                    copy = len(edges)
-                    edges.append(dict(edges[q]))
+                    copy = len(link)
+                    edges[copy * k : (copy + 1) * k] = edges[q * k : (q + 1) * k]
                     length.append(length[p] + 1)
                     link.append(link[q])
-                    while p >= 0 and edges[p].get(c) == q:
-                        edges[p][c] = copy
+                    while p >= 0 and edges[p * k + c] == q:
+                        edges[p * k + c] = copy
                         p = link[p]
                     link[q] = link[new] = copy
             last = new
         # a missing edge restarts at the root with the same symbol and counts a phrase
-        place = lambda e: np.fromiter(e.values(), np.uint32, len(e)) * np.uint32(alphabet) + np.uint32(base)
-        restart = np.full(alphabet, base, np.uint32)
-        restart[list(edges[0])] = place(edges[0])
-        table = np.empty((len(edges), alphabet), np.uint32)
-        table[:] = restart | _MARK
-        for s, e in enumerate(edges):
-            if e:
-                table[s, list(e)] = place(e)
-        self.table, self.size = table.ravel(), len(symbols)
+        state = np.frombuffer(edges, np.int32)[: len(link) * k].reshape(-1, k)
+        place = np.where(state < 0, 0, state).astype(np.uint32) * np.uint32(k) + np.uint32(base)
+        self.table, self.size = np.where(state < 0, place[:1] | _MARK, place).ravel(), len(symbols)
 
 
 class CrossParser:
