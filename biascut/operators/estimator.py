@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from .classes import bias_class, class_index, degree_class, degree_class_general
 from .layered import Sketch, _ends
-from .oblivious import Selection, oblivious_value
+from .oblivious import Selection
 from .params import Params
 from .windows import _spread, nu, window_size
 
@@ -43,13 +43,16 @@ def layer_pairs(s: Sketch, usable: DataFrame | None = None, cross: str = "all")
     """(la, lb, a, b, i, j, n): stored edges of layer min(la, lb) whose ends are usable in layers la
     and lb, counted by the layers and classes.  ``cross='in_layer'`` keeps la = lb only."""
     usable = usable if usable is not None else usable_vertices(s)
-    tail = usable.select(F.col("vid").alias("u"), F.col("layer").alias("la"), "a", "i")
-    head = usable.select(F.col("vid").alias("v"), F.col("layer").alias("lb"), F.col("a").alias("b"), F.col("i").alias("j"))
+    # a vertex is usable in a few layers: its list meets each edge once, and layers are matched in the row
+    lists = usable.groupBy("vid").agg(F.collect_list(F.struct("layer", "a", "i")).alias("at"))
     # ends below the cap keep all their edges, so trimming removes none of these
     rows = s.sample if s.sample is not None else s.edges
-    x = rows.select("layer", "eid", "u", "v").join(tail, "u").where("la >= layer").join(head, "v").where("lb >= layer and least(la, lb) = layer")
+    x = rows.select("layer", "u", "v").join(lists.select(F.col("vid").alias("u"), F.col("at").alias("tail")), "u")
+    x = x.join(lists.select(F.col("vid").alias("v"), F.col("at").alias("head")), "v")
+    x = x.select("layer", F.explode("tail").alias("s"), "head").where("s.layer >= layer").select("layer", "s", F.explode("head").alias("t")).where("least(s.layer, t.layer) = layer")
     if cross == "in_layer":
-        x = x.where("la = lb")
+        x = x.where("s.layer = t.layer")
+    x = x.select(F.col("s.layer").alias("la"), F.col("t.layer").alias("lb"), "s.a", F.col("t.a").alias("b"), "s.i", F.col("t.i").alias("j"))
     return x.groupBy("la", "lb", "a", "b", "i", "j").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -88,8 +91,20 @@ def estimate_value(s: Sketch, sel: Selection, self_normalize: bool = False) -> D
     """One row: value (the rule's minus eps/4), clipped, mass of the matrix, m, overflow.  With any
     layer overflowed the value is null.  ``self_normalize`` divides by the mass (not the theorem's)."""
     p = s.one
-    m = estimate_matrix(s)
-    v = oblivious_value(m, sel).join(F.broadcast(m.agg(F.coalesce(F.sum("x"), F.lit(0.0)).alias("mass"))))
+    x = F.col("x")
+    sums = [F.coalesce(F.sum(x * sel.column(F.col("i")) * (1 - sel.column(F.col("j")))), F.lit(0.0)).alias("value"), F.coalesce(F.sum(x), F.lit(0.0)).alias("mass")]
+    v = estimate_matrix(s).agg(*sums)
     v = v.join(F.broadcast(s.meta)).join(F.broadcast(s.overflow.agg(F.coalesce(F.max("overflow"), F.lit(False)).alias("overflow"))))
     raw = F.when(~F.col("overflow"), (F.col("value") / F.col("mass") if self_normalize else F.col("value")) - p.eps / 4)
     return v.select(raw.alias("value"), F.least(F.greatest(raw, F.lit(0.0)), F.lit(1.0)).alias("clipped"), "mass", "m", "overflow")
+
+
+def estimate_of(edges: DataFrame, params: Params, sel: Selection, self_normalize: bool = False) -> DataFrame:
+    """The row of ``estimate_value`` for an edge stream, computed now; the sketch is freed again."""
+    from .layered import build_sketch
+
+    s = build_sketch(edges, params)
+    out = estimate_value(s, sel, self_normalize)
+    rows = out.collect()  # one row
+    s.close()
+    return edges.sparkSession.createDataFrame(rows, out.schema)

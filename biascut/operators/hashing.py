@@ -19,7 +19,7 @@ def coefficients(seed: int, layer: int, shared: bool = False) -> tuple[int, int,
 def poly4(vid: Column, c0: Column | int, c1: Column | int, c2: Column | int, c3: Column | int) -> Column:
     """A cubic over the field of 2^31 - 1 elements; every product stays below 2^62."""
     p = F.lit(PRIME).cast("long")
-    lit = lambda c: c if isinstance(c, Column) else F.lit(c).cast("long")
+    lit = lambda c: c.cast("long") if isinstance(c, Column) else F.lit(c).cast("long")
     x = vid.cast("long") % p
     h = (lit(c3) * x + lit(c2)) % p
     h = (h * x + lit(c1)) % p
@@ -38,6 +38,25 @@ def edge_word(eid: Column, tag: Column, kind: str = "md5") -> Column:
     return F.shiftrightunsigned(F.xxhash64(eid, tag), 32)
 
 
+#: Coins of 32 bits that one digest holds.
+DIGEST_WORDS = 4
+
+
+def digest(eid: Column, block: int, seed: int) -> Column:
+    """128 uniform bits of an edge as 32 hex digits: the coins of four layers at once."""
+    return F.md5(F.concat_ws(":", eid, F.lit(block), F.lit(seed)))
+
+
+def digest_word(digest: Column, slot: int) -> Column:
+    """One of the digest's words, as hex digits: comparing them compares the numbers."""
+    return F.substring(digest, 8 * slot + 1, 8)
+
+
+def hex_threshold(probability: float) -> str:
+    """What a word must stay below for a coin of that probability (below one)."""
+    return f"{int(probability * (1 << 32)):08x}"
+
+
 def below(word: Column, probability: Column) -> Column:
     """A coin of the given probability from 32 bits."""
     return word.cast("double") < probability * float(1 << 32)

@@ -1,8 +1,9 @@
 """The layered sketch as one distributed fold over the edges.
 
-A fixed parameter table (guess, layer, rates, hash coefficients) meets every edge in the scan stage;
-only edges whose coin falls and one of whose ends is tracked leave it.  Everything after works on
-those samples.  All choices are functions of edge and vertex ids, so partial sketches of any split
+Every edge makes one digest for the coins of four layers, and hashes its ends only for layers whose
+coin falls; only edges one of whose ends is tracked leave the scan stage.  Several guesses share the
+coins and hashes of a layer, and differ by thresholds from a table of guesses x layers rows.  Everything
+after works on those samples.  All choices are functions of edge and vertex ids, so partial sketches of any split
 of the stream merge to the same sketch.
 """
 
@@ -10,11 +11,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .hashing import PRIME, below, edge_word, poly4
+from .hashing import DIGEST_WORDS, PRIME, coefficients, digest, digest_word, edge_word, hex_threshold, poly4
 from .params import Params
 
 _TABLE = "guess int, layer int, q double, threshold long, c0 long, c1 long, c2 long, c3 long"
@@ -33,6 +34,13 @@ class Sketch:
     #: while the sample is at hand: its untrimmed edges, and its (guess, layer, vid, d_out, d_in, deg)
     sample: DataFrame | None = None
     stats: DataFrame | None = None
+    #: what the sketch keeps in Spark's storage
+    held: tuple[DataFrame, ...] = ()
+
+    def close(self) -> None:
+        """Frees what is kept; the sketch can still be read, at the price of making it again."""
+        for df in self.held:
+            df.unpersist()
 
     @property
     def one(self) -> Params:
@@ -43,17 +51,51 @@ def layer_table(spark: SparkSession, params: dict[int, Params]) -> DataFrame:
     return spark.createDataFrame([r for g, p in params.items() for r in p.rows(g)], _TABLE)
 
 
-def edge_layers(edges: DataFrame, params: dict[int, Params]) -> DataFrame:
-    """(guess, layer, eid, u, v, keep_u, keep_v): the sketch of each edge, in one narrow pass."""
+def sparse_word(eid, seed: int = 0):
+    """The coin by which a guess's sparsifier keeps an edge: the same word for all guesses."""
+    return digest_word(F.md5(F.concat_ws(":", eid, F.lit("s"), F.lit(seed))), 0)
+
+
+def edge_layers(edges: DataFrame, params: dict[int, Params], rates: dict[int, float] | None = None, head: int = 0) -> DataFrame:
+    """(guess, layer, eid, u, v, keep_u, keep_v): the sketch of each edge, in one narrow pass.  ``rates``
+    are the guesses' sparsifiers: the share of the stream that each guess's sketch sees.  With ``rates``,
+    the first ``head`` edges of every task come along whole, as guess -1 and layer 0."""
     p = next(iter(params.values()))
     if p.mode == "nested":
         return _nested_layers(edges, params)
-    table = F.broadcast(layer_table(edges.sparkSession, params))  # guesses x layers rows
-    c = [F.col(f"c{j}") for j in range(4)]
-    coin = (F.col("q") >= 1) | below(edge_word(F.col("eid"), F.concat_ws(":", F.col("layer"), F.lit(p.seed)), p.coin), F.col("q"))
-    x = edges.select("eid", "u", "v").join(table, coin)
-    keep = lambda end: poly4(F.col(end), *c) < F.col("threshold")
-    x = x.select("guess", "layer", "eid", "u", "v", keep("u").alias("keep_u"), keep("v").alias("keep_v"))
+    if len({(x.seed, x.coin, x.store) for x in params.values()}) > 1:
+        raise ValueError("guesses share their seed, coin and store")
+    layers = sorted({a for x in params.values() for a in x.layers})
+    most = [max(x.q(a) for x in params.values() if a in x.layers) for a in layers]
+    by_place = lambda values: F.element_at(F.array(*(F.lit(v) for v in values)), F.greatest("n", F.lit(1)))  # noqa: E731  (a constant array)
+    c = [coefficients(p.seed, a) for a in layers]
+    tossed = sum(q >= 1 for q in most)  # layers from this place on toss coins: rates fall with the layer
+    digits = F.lit(b"")
+    if p.coin == "md5" and tossed < len(layers):
+        blocks = sorted({(a - 1) // DIGEST_WORDS for a in layers[tossed:]})
+        digits = F.concat(*(digest(F.col("eid"), b, p.seed) for b in blocks)).cast("binary")  # cut by byte, not by character
+        places = [8 * DIGEST_WORDS * (blocks.index((a - 1) // DIGEST_WORDS)) + 8 * ((a - 1) % DIGEST_WORDS) + 1 if k >= tossed else 1 for k, a in enumerate(layers)]
+        word = F.substring(F.col("_d"), by_place(places), F.lit(8))
+    else:
+        word = F.lower(F.lpad(F.hex(F.shiftrightunsigned(F.xxhash64("eid", by_place(layers), F.lit(p.seed)), 32)), 8, "0")).cast("binary")
+    more = [] if rates is None else ["_s"]
+    x = edges.select("eid", "u", "v", digits.alias("_d"), *([] if rates is None else [sparse_word(F.col("eid"), p.seed).alias("_s")]))
+    begin = F.when(F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1) < head, 0).otherwise(1) if rates and head else F.lit(1)
+    x = x.select("*", begin.alias("_n")).select("*", F.explode(F.sequence(F.col("_n"), F.lit(len(layers)))).alias("n"))
+    low = by_place([(b"g" if q >= 1 else hex_threshold(q).encode()) for q in most])  # "g" follows all hex digits
+    x = x.select("eid", "u", "v", *more, "n", F.when(F.col("n") > tossed, word).otherwise(F.lit(b"")).alias("w")).where(F.col("w") < low)
+    h = lambda end: poly4(F.col(end), *(by_place([r[j] for r in c]) for j in range(4)))
+    layer = F.when(F.col("n") > 0, by_place(layers)).otherwise(0)
+    x = x.select(layer.alias("layer"), "eid", "u", "v", *more, "w", "n", h("u").alias("hu"), h("v").alias("hv"))
+    if len(params) == 1 and rates is None:
+        x = x.select(F.lit(next(iter(params))).alias("guess"), "layer", "eid", "u", "v", *((F.col(f"h{e}") < by_place([p.threshold(a) for a in layers])).alias(f"keep_{e}") for e in "uv"))
+    else:
+        rate = rates or {}
+        rows = [(g, a, "g" if q.q(a) >= 1 else hex_threshold(q.q(a)), q.threshold(a), "g" if rate.get(g, 1.0) >= 1 else hex_threshold(rate[g])) for g, q in params.items() for a in q.layers]
+        rows += [(-1, 0, "g", PRIME, "g")]
+        table = edges.sparkSession.createDataFrame(rows, "guess int, layer int, below string, threshold long, sparse string")
+        x = x.join(F.broadcast(table), "layer").where("w < cast(below as binary)" + (" and _s < sparse" if rates else ""))  # guesses x layers rows
+        x = x.select("guess", "layer", "eid", "u", "v", (F.col("hu") < F.col("threshold")).alias("keep_u"), (F.col("hv") < F.col("threshold")).alias("keep_v"))
     return x.where((F.col("keep_u") & F.col("keep_v")) if p.store == "induced" else (F.col("keep_u") | F.col("keep_v")))
 
 
@@ -135,22 +177,26 @@ def trim(rows: DataFrame, stats: DataFrame, params: dict[int, Params]) -> DataFr
 
 
 def build_sketch(edges: DataFrame, params: Params | dict[int, Params], m: DataFrame | None = None) -> Sketch:
-    """The sketch of all edges.  Layers over the vertex cap are emptied and flagged.
+    """The sketch of all edges, in one scan.  Layers over the vertex cap are emptied and flagged.
 
-    The sampled rows are kept (in memory or on disk, recomputed if lost), so that every later step
-    reads the sample and the stream is scanned once.
+    The sampled rows are made at once and kept (in memory or on disk, recomputed if lost) until
+    ``close``; the same scan counts the stream, unless ``m`` is given.
     """
     params = params if isinstance(params, dict) else {0: params}
-    rows = edge_layers(edges, params).persist()
-    return _finish(rows, m or edges.agg(F.count(F.lit(1)).alias("m")), params)
+    if m is not None:
+        return _finish(edge_layers(edges, params).persist(), m, params)
+    seen = Observation()
+    rows = edge_layers(edges.observe(seen, F.count(F.lit(1)).alias("m")), params).persist()
+    rows.count()
+    return _finish(rows, edges.sparkSession.createDataFrame([(seen.get["m"],)], "m long"), params)
 
 
 def _finish(rows: DataFrame, m: DataFrame, params: dict[int, Params]) -> Sketch:
-    stats = sampled_stats(rows).persist()
-    over = overflow_layers(stats, params)
+    held = (rows, sampled_stats(rows).persist())
+    over = overflow_layers(held[1], params)
     lost = F.broadcast(over.where("overflow").select("guess", "layer"))  # guesses x layers rows at most
-    rows, stats = rows.join(lost, ["guess", "layer"], "left_anti"), stats.join(lost, ["guess", "layer"], "left_anti")
-    return Sketch(m, stats.select("guess", "layer", "vid"), trim(rows, stats, params), over, params, rows, stats)
+    rows, stats = (x.join(lost, ["guess", "layer"], "left_anti") for x in held)
+    return Sketch(m, stats.select("guess", "layer", "vid"), trim(rows, stats, params), over, params, rows, stats, held)
 
 
 def combine(one: Sketch, two: Sketch) -> Sketch:

@@ -134,49 +134,65 @@ def certify_ratio(sel: Selection, iterations: int = 60) -> dict[str, float]:
     """
     ell, t, r = sel.ell, np.array(sel.t), np.array(sel.r)
     n = 2 * ell
-    cls = np.arange(n) % ell  # types: side 0 first, then side 1
-    side = np.arange(n) // ell
-    tail, head = (x.ravel() for x in np.meshgrid(np.arange(n), np.arange(n), indexing="ij"))
-    cost = r[cls[tail]] * (1 - r[cls[head]])
-    cut = ((side[tail] == 1) & (side[head] == 0)).astype(float)
+    cls, side = np.arange(n) % ell, np.arange(n) // ell  # types: side 0 first, then side 1
     lo, hi = t[cls], t[cls + 1]
-    e = len(cost)
-    # out - in - lo (out + in) >= 0 and hi (out + in) - out + in >= 0, with slacks; cut weight 1
-    A = np.zeros((2 * n + 1, e + 2 * n))
-    at = np.arange(e)
-    np.add.at(A, (tail, at), 1 - lo[tail])
-    np.add.at(A, (head, at), -1 - lo[head])
-    np.add.at(A, (n + tail, at), hi[tail] - 1)
-    np.add.at(A, (n + head, at), hi[head] + 1)
-    A[np.arange(2 * n), e + np.arange(2 * n)] = -1
-    A[2 * n, :e] = cut
+    cost = np.outer(r[cls], 1 - r[cls])  # by tail type and head type
+    cut = np.outer(side == 1, side == 0).astype(float)
+    # rows: out - in - lo (out + in) >= 0 and hi (out + in) - out + in >= 0 of each type, with slacks; cut weight 1.
+    # An edge meets the two rows of its tail (factors of ``tails``), the two of its head, and the cut's.
+    tails, heads = (1 - lo, hi - 1), (-1 - lo, hi + 1)
+
+    def times(x: np.ndarray, slack: np.ndarray) -> np.ndarray:
+        out, into = x.sum(axis=1), x.sum(axis=0)
+        return np.concatenate([f * out + g * into - s for f, g, s in zip(tails, heads, np.split(slack, 2))] + [[(x * cut).sum()]])
+
+    def back(y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        low, high = y[:n], y[n : 2 * n]
+        return (tails[0] * low + tails[1] * high)[:, None] + (heads[0] * low + heads[1] * high)[None, :] + cut * y[-1], -y[: 2 * n]
+
+    def normal(d: np.ndarray, slack: np.ndarray) -> np.ndarray:
+        """The constraint matrix times the weights times its transpose, from sums of ``d``."""
+        N = np.zeros((2 * n + 1, 2 * n + 1))
+        for i in range(2):
+            for j in range(2):
+                block = N[i * n : (i + 1) * n, j * n : (j + 1) * n]
+                block += np.diag(tails[i] * tails[j] * d.sum(axis=1) + heads[i] * heads[j] * d.sum(axis=0))
+                block += np.outer(tails[i], heads[j]) * d + np.outer(heads[i], tails[j]) * d.T
+            N[i * n : (i + 1) * n, -1] = N[-1, i * n : (i + 1) * n] = tails[i] * (d * cut).sum(axis=1) + heads[i] * (d * cut).sum(axis=0)
+        N[-1, -1] = (d * cut).sum()
+        N[np.arange(2 * n), np.arange(2 * n)] += slack
+        return N
+
+    size = n * n + 2 * n
+    pack = lambda x, slack: np.concatenate([x.ravel(), slack])
+    split = lambda v: (v[: n * n].reshape(n, n), v[n * n :])
     b = np.zeros(2 * n + 1)
     b[-1] = 1
-    c = np.concatenate([cost, np.zeros(2 * n)])
-    x, y, s = np.ones(e + 2 * n), np.zeros(2 * n + 1), np.ones(e + 2 * n)
+    c = pack(cost, np.zeros(2 * n))
+    x, y, s = np.ones(size), np.zeros(2 * n + 1), np.ones(size)
     for _ in range(iterations):
-        rp, rd, gap = b - A @ x, c - A.T @ y - s, x @ s / len(x)
+        rp, rd, gap = b - times(*split(x)), c - pack(*back(y)) - s, x @ s / size
         if max(np.abs(rp).max(), np.abs(rd).max(), gap) < 1e-10:
             break
         d = x / s
-        N = (A * d) @ A.T
+        N = normal(*split(d))
         N[np.diag_indices_from(N)] += 1e-13 * np.trace(N) / len(N)
         solve = np.linalg.inv(N)
 
         def direction(mu, extra):
             rc = mu - x * s - extra
-            dy = solve @ (rp + A @ (d * rd - rc / s))
-            ds = rd - A.T @ dy
+            dy = solve @ (rp + times(*split(d * rd - rc / s)))
+            ds = rd - pack(*back(dy))
             return (rc - x * ds) / s, dy, ds
 
         dx, dy, ds = direction(0.0, 0.0)
         step = lambda v, dv: min(1.0, float((-v[dv < 0] / dv[dv < 0]).min(initial=np.inf)))
-        aim = (x + step(x, dx) * dx) @ (s + step(s, ds) * ds) / len(x)
+        aim = (x + step(x, dx) * dx) @ (s + step(s, ds) * ds) / size
         dx, dy, ds = direction((aim / gap) ** 3 * gap, dx * ds)
         ap, ad = 0.995 * step(x, dx), 0.995 * step(s, ds)
         x, y, s = x + min(ap, 1) * dx, y + min(ad, 1) * dy, s + min(ad, 1) * ds
     mult = np.maximum(y[: 2 * n], 0)  # of the slack rows: non-negative
-    reduced = cost - A[: 2 * n, :e].T @ mult
+    reduced = cost - back(np.append(mult, 0.0))[0]
     off = float(min(0.0, reduced[cut == 0].min(initial=0.0)))
     # an uncut edge of negative reduced cost can weigh at most 3 times the cut: every value is >= cut/4
     lower = float(reduced[cut == 1].min()) + 3 * off

@@ -105,18 +105,29 @@ def poly(x: str) -> str:
     return f"((((c3 * {v} + c2) % 2147483647) * {v} + c1) % 2147483647 * {v} + c0) % 2147483647"
 
 
-def sketch(p: Params, name: str) -> str:
+def toss(p: Params) -> str:
+    """The condition that an edge's coin falls in a layer: a word of the digest that four layers share,
+    or of the one digest of all layers."""
+    if p.mode == "nested":
+        word_of = f"md5(concat_ws(':', e.eid, 'n', {p.seed}))"
+        return f"par.q >= 1 OR ('0x' || substr({word_of}, 1, 8))::BIGINT::DOUBLE < par.q * 4294967296"
+    return f"par.q >= 1 OR ('0x' || substr(md5(concat_ws(':', e.eid, (par.layer - 1) // 4, {p.seed})), 8 * ((par.layer - 1) % 4) + 1, 8))::BIGINT::DOUBLE < par.q * 4294967296"
+
+
+def sketch(p: Params, name: str, source: str | None = None, pairs: str = "") -> str:
     """CTEs params, rw (sampled rows), tv (tracked), tr (trimmed), ap (apparent), us (usable)."""
     rows = ", ".join(f"({r[1]}, {r[2]!r}::DOUBLE, {', '.join(map(str, r[3:]))})" for r in p.rows())
-    return f"""WITH {edges(name)}, par(layer, q, thr, c0, c1, c2, c3) AS (VALUES {rows}),
-coined AS (SELECT e.eid, e.u, e.v, par.* FROM e JOIN par ON par.q >= 1 OR {word(f"concat_ws(':', e.eid, par.layer || ':{p.seed}')")} < par.q * 4294967296),
-rw AS (SELECT * FROM (SELECT layer, eid, u, v, {poly('u')} < thr AS ku, {poly('v')} < thr AS kv FROM coined) WHERE ku OR kv),
+    shift = "0" if p.force_q1 else f"greatest(layer - {p.k_star}, 0)"
+    tracked = "ku AND kv" if p.store == "induced" else "ku OR kv"
+    return f"""WITH {source or edges(name)}, par(layer, q, thr, c0, c1, c2, c3) AS (VALUES {rows}),
+coined AS (SELECT e.eid, e.u, e.v, par.* FROM e JOIN par ON {toss(p)}),
+rw AS (SELECT * FROM (SELECT layer, eid, u, v, {poly('u')} < thr AS ku, {poly('v')} < thr AS kv FROM coined) WHERE {tracked}),
 ends AS (SELECT layer, u AS vid, 1 AS o, eid, u, v, ku, kv FROM rw WHERE ku UNION ALL SELECT layer, v, 0, eid, u, v, ku, kv FROM rw WHERE kv),
 tv AS (SELECT DISTINCT layer, vid FROM ends),
 tr AS (SELECT DISTINCT layer, eid, u, v, ku, kv FROM (SELECT *, row_number() OVER (PARTITION BY layer, vid ORDER BY {word(f"concat_ws(':', eid, 't:{p.seed}')")}, eid) AS rk FROM ends) WHERE rk <= {p.e_cap}),
 kept AS (SELECT layer, u AS vid, 1 AS o FROM tr WHERE ku UNION ALL SELECT layer, v, 0 FROM tr WHERE kv),
-ap AS (SELECT layer, vid, d_out, deg - d_out AS d_in, deg, least(length(bin(least(deg * (1::BIGINT << greatest(layer - {p.k_star}, 0)), {1 << p.k}))), {p.k})::INT AS a, {bias_class(p.ell)} AS i FROM (SELECT layer, vid, sum(o)::BIGINT AS d_out, count(*)::BIGINT AS deg FROM kept GROUP BY 1, 2)),
+ap AS (SELECT layer, vid, d_out, deg - d_out AS d_in, deg, least(length(bin(least(deg * (1::BIGINT << {shift}), {1 << p.k}))), {p.k})::INT AS a, {bias_class(p.ell)} AS i FROM (SELECT layer, vid, sum(o)::BIGINT AS d_out, count(*)::BIGINT AS deg FROM kept GROUP BY 1, 2)),
 us AS (SELECT layer, vid, a, i FROM ap WHERE deg < {p.e_cap} AND abs(a - layer) <= {p.w}),
 mm AS (SELECT count(*)::BIGINT AS m FROM e),
-lp AS (SELECT s.layer AS la, t.layer AS lb, s.a AS a, t.a AS b, s.i AS i, t.i AS j, count(*)::BIGINT AS n FROM tr JOIN us s ON tr.u = s.vid AND s.layer >= tr.layer JOIN us t ON tr.v = t.vid AND t.layer >= tr.layer WHERE least(s.layer, t.layer) = tr.layer GROUP BY 1, 2, 3, 4, 5, 6),
+lp AS (SELECT s.layer AS la, t.layer AS lb, s.a AS a, t.a AS b, s.i AS i, t.i AS j, count(*)::BIGINT AS n FROM tr JOIN us s ON tr.u = s.vid AND s.layer >= tr.layer JOIN us t ON tr.v = t.vid AND t.layer >= tr.layer WHERE least(s.layer, t.layer) = tr.layer {pairs} GROUP BY 1, 2, 3, 4, 5, 6),
 wt AS (SELECT la, lb, i, j, sum(n / ({size('a', p.w, p.k)} * {size('b', p.w, p.k)})::DOUBLE / (greatest(x.q, y.q) * x.pp * y.pp)) AS x0 FROM lp JOIN (SELECT layer, q, thr / 2147483647::DOUBLE AS pp FROM par) x ON la = x.layer JOIN (SELECT layer, q, thr / 2147483647::DOUBLE AS pp FROM par) y ON lb = y.layer GROUP BY 1, 2, 3, 4)"""

@@ -1,5 +1,6 @@
 """The layered sketch: invariants, merging, theory mode, unbiased counts, streams, SQL surface."""
 
+import itertools
 import random
 
 import numpy as np
@@ -214,3 +215,54 @@ def test_entry_point_imports_and_names_match(spark):
     q, s = entry.queries(), entry.oracle_sql()
     assert set(s) <= set(q) and len(q) > 200
     assert exact.random_cut_expectation() == 0.25
+
+
+def test_one_pass_serves_every_guess_and_short_streams_exactly(spark, tmp_path):
+    from biascut.operators.diagnostics import plan_report
+
+    r = random.Random(5)
+    rows = [(str(k), r.randrange(30), 30 + r.randrange(30)) for k in range(3000)]
+    spark.createDataFrame(rows, "eid string, u long, v long").repartition(3).write.parquet(str(tmp_path / "e"))
+    e = spark.read.parquet(str(tmp_path / "e"))
+    p = guess.one_pass(e, 60, 0.2, lambda m: SMALL, power=2.0)
+    assert p.m == 3000 and p.buffer is None and p.guess == 12
+    rates = {t: guess.sparsify_rate(60, g, 0.2) for t, g in p.grid}
+    assert rates[p.grid[-1][0]] < 1 and all(abs(p.kept[t] - 3000 * rates[t]) <= 5 * (3000 * rates[t]) ** 0.5 for t in rates)
+    kept = {x.eid for x in guess.sparsify(e, rates[p.guess]).collect()}
+    own = {x.eid for x in p.rows.where(f"guess = {p.guess}").collect()}
+    assert own <= kept and len(kept) == p.kept[p.guess]
+    alone = {(x.layer, x.eid) for x in layered.edge_layers(e.where(e.eid.isin(list(kept))), {0: SMALL}).collect()}
+    assert alone == {(x.layer, x.eid) for x in p.rows.where(f"guess = {p.guess}").collect()}
+    p.rows.unpersist()
+    assert plan_report(layered.edge_layers(e, {t: SMALL for t in rates}, rates, head=7))["scans"] == 1
+    short = spark.createDataFrame([("a", 1, 2), ("b", 2, 3), ("c", 3, 1)], "eid string, u long, v long")
+    got = guess.estimate_unknown(short, 100, 0.2).first()
+    assert got.exact and got.m == 3 and abs(got.value - 1 / 3) < 1e-12
+    assert guess.estimate_unknown(short.where("false"), 100, 0.2).first().value == 0.0
+
+
+def test_the_best_rule_is_certified(spark):
+    for sel, least in ((oblivious.clamped_linear(), 0.483), (oblivious.uniform_clamped(9), 0.444), (oblivious.coin_selection(), 0.25)):
+        got = oblivious.certify_ratio(sel)
+        assert least <= got["lower"] <= got["dual"] + 1e-6
+    # no small graph is worse than the certificate: all digraphs on three vertices with up to two parallel edges
+    sel = oblivious.clamped_linear()
+    pairs = [(a, b) for a in range(3) for b in range(3) if a != b]
+    worst = 1.0
+    for weights in itertools.product(range(3), repeat=6):
+        m = sum(weights)
+        if not m:
+            continue
+        deg, out = [0] * 3, [0] * 3
+        for (a, b), w in zip(pairs, weights):
+            deg[a] += w
+            deg[b] += w
+            out[a] += w
+        side = []
+        for v in range(3):
+            bias = (2 * out[v] - deg[v]) / deg[v] if deg[v] else 0.0
+            side.append(sel.r[next(i for i in range(sel.ell - 1, -1, -1) if bias >= sel.t[i])])
+        value = sum(w * side[a] * (1 - side[b]) for (a, b), w in zip(pairs, weights))
+        best = max(sum(w for (a, b), w in zip(pairs, weights) if x >> a & 1 and not x >> b & 1) for x in range(8))
+        worst = min(worst, value / best)
+    assert worst >= 0.483
