@@ -80,6 +80,36 @@ FROM keyed d LEFT JOIN firsts f ON d.k = f.k AND length(d.k) >= 10
 GROUP BY d.doc_id
 """
 
+# a text's bytes as hex digits, cut into blocks of 200 bytes: a 200-byte string lies in a block and the next
+OP9_SQL = """
+WITH docs AS (
+  SELECT row_number() OVER () AS r, doc_id, hex(encode(coalesce(text, ''))) AS x FROM documents
+), blocks AS (
+  SELECT r, b, blocks[b] || coalesce(blocks[b + 1], '') AS pair, length(blocks[b]) // 2 AS n
+  FROM (SELECT r, regexp_extract_all(x, '.{1,400}') AS blocks FROM docs), LATERAL (SELECT unnest(range(1, len(blocks) + 1)) AS b)
+), strings AS (
+  SELECT r, 200 * (b - 1) + o AS p, md5_number(substr(pair, 2 * o + 1, 400)) AS k
+  FROM blocks, LATERAL (SELECT unnest(range(0, n)) AS o) WHERE length(pair) >= 2 * o + 400
+), twice AS (SELECT k FROM strings GROUP BY k HAVING count(*) > 1),
+starts AS (
+  SELECT r, p, lag(p) OVER (PARTITION BY r ORDER BY p) AS before, lead(p) OVER (PARTITION BY r ORDER BY p) AS after
+  FROM strings JOIN twice USING (k)
+), spans AS (
+  SELECT r, min(p) AS a, max(p) + 200 AS z
+  FROM (SELECT r, p, sum(CASE WHEN before IS NULL OR p > before + 200 THEN 1 ELSE 0 END) OVER (PARTITION BY r ORDER BY p) AS s FROM starts)
+  GROUP BY r, s
+), kept AS (
+  SELECT d.r, string_agg(substr(d.x, 2 * e.a + 1, 2 * (coalesce(e.z, length(d.x) // 2) - e.a)), '' ORDER BY e.a) AS x
+  FROM docs d JOIN (
+    SELECT r, z AS a, lead(a) OVER (PARTITION BY r ORDER BY a) AS z FROM spans
+    UNION ALL SELECT r, 0, min(a) FROM spans GROUP BY r
+  ) e ON d.r = e.r GROUP BY d.r
+)
+SELECT d.doc_id, (length(d.x) // 2)::BIGINT AS n_bytes, coalesce(s.n, 0)::BIGINT AS n_removed, coalesce(s.c, 0)::BIGINT AS n_spans,
+  sha256(unhex(coalesce(k.x, d.x))) AS kept_sha256
+FROM docs d LEFT JOIN (SELECT r, sum(z - a) AS n, count(*) AS c FROM spans GROUP BY r) s ON d.r = s.r LEFT JOIN kept k ON d.r = k.r
+"""
+
 QUERIES = {
     "op1_best_fit_packing": op1_best_fit_packing,
     "op2_quality_classifier": op2_quality_classifier,
@@ -92,4 +122,4 @@ QUERIES = {
     "op9_suffix_dedup": op9_suffix_dedup,
     "op10_nearest_neighbours": op10_nearest_neighbours,
 }
-SQL = {"op5_line_dedup": OP5_SQL}
+SQL = {"op5_line_dedup": OP5_SQL, "op9_suffix_dedup": OP9_SQL}

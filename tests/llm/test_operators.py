@@ -647,6 +647,20 @@ def test_long_text_in_parts_has_the_same_anchors(monkeypatch):
     assert all((a == b).all() for a, b in zip(whole[1:], parts[1:]))
 
 
+def test_suffix_sql_agrees(spark, tmp_path):
+    import duckdb
+
+    passage = "one long passage, été included, " * 8
+    rows = [(1, passage + "x"), (2, "a" + passage), (3, None), (4, ""), (5, "b" * 450), (6, passage + "x"), (7, "short")]
+    spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.parquet(str(tmp_path / "documents.parquet"))
+    got = queries.op9_suffix_dedup(spark, str(tmp_path))
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    want = con.execute(queries.OP9_SQL).fetchall()
+    assert sorted(tuple(r) for r in got.collect()) == sorted(want)
+    assert sum(r[2] > 0 for r in want) == 4
+
+
 # 10 neighbours
 def _brute(rows, k=20):
     good = {i: np.array(v, float) for i, v in rows if i is not None and v and len(v) == 8 and all(x is not None and np.isfinite(x) for x in v) and any(v)}
