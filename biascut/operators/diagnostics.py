@@ -11,7 +11,7 @@ from .classes import bias_class, degree_class
 from .hashing import poly4
 from .edges import as_weighted
 from .layered import Sketch, build_sketch, edge_layers, layer_table
-from .params import Params
+from .params import Params, practical_params
 from .snapshot import vertex_classes
 from .vertex_stats import degrees
 
@@ -74,6 +74,32 @@ def good_events(edges: DataFrame, p: Params) -> DataFrame:
     return edge_event.unionByName(vertex_event).unionByName(degree_event).unionByName(bias_event)
 
 
+def event_frequencies(edges: DataFrame, p: Params, seeds: range, target: float = 0.999) -> DataFrame:
+    """(event, runs, held, frequency, margin, ok): how often each good event holds in all layers at
+    once, over sketches with different seeds, against the share that the analysis asks for."""
+    out = None
+    for s in seeds:
+        row = good_events(edges, p.replace(seed=s)).groupBy("event").agg(F.sum("bad").alias("bad"), F.max("margin").alias("margin"))
+        out = row if out is None else out.unionByName(row)
+    x = out.groupBy("event").agg(F.count(F.lit(1)).alias("runs"), F.sum((F.col("bad") == 0).cast("long")).alias("held"), F.max("margin").alias("margin"))
+    share = F.col("held") / F.col("runs")
+    return x.select("event", "runs", "held", share.alias("frequency"), "margin", (share >= target).alias("ok"))
+
+
+def scale_report(edges: DataFrame, k_star: int, rho: float, shares: tuple[float, ...], seed: int = 0) -> DataFrame:
+    """(share, m, n, exact_rows, sketch_rows): rows that meet a shuffle on growing parts of the stream.
+    The exact snapshot sends each vertex once at least and each edge to the classes of both its ends; the
+    sketch, with p0 = rho / sqrt(m), sends what it samples."""
+    rows = []
+    for share in shares:
+        part = edges.where(F.pmod(F.xxhash64("eid", F.lit(seed)), F.lit(1 << 20)) < int(share * (1 << 20)))
+        size = degrees(part).agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("d_out"), F.lit(0)).alias("m")).first()
+        m, n = int(size["m"]), int(size["n"])
+        p = practical_params(max(m, 1), k_star=k_star, p0=min(1.0, rho / math.sqrt(max(m, 1))), seed=seed)
+        rows.append((share, m, n, n + 2 * m, edge_layers(part, {0: p}).count()))
+    return edges.sparkSession.createDataFrame(rows, "share double, m long, n long, exact_rows long, sketch_rows long")
+
+
 def vertex_sandwich(edges: DataFrame, p: Params) -> DataFrame:
     """One row: vertices missing from, or too many in, the apparent classes' windows, summed over
     layers: of degree alone, and of degree and bias (0 and 0 in all where the good events hold)."""

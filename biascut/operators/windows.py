@@ -118,10 +118,12 @@ def array_to_matrix_bound(delta: float, k: int, ell: int, w: int) -> float:
     return delta * (k * ell) ** 2 + C_WIN / w
 
 
-def classify_against_window(cell: list[Column], centre: list[Column], w: int) -> Column:
-    """inner, borderline or outer: whether an off-by-one of the cell can cross the window's border."""
+def classify_against_window(cell: list[Column], centre: list[Column], w: int, reach: int = 0) -> Column:
+    """inner (must count), borderline (may count) or outer (must not) for the window around a centre.
+    With ``reach`` 0 only distance w is borderline; with 1 also w+1, as in the upper envelope, since a
+    label that is off by one can move such a cell into the window."""
     far = F.greatest(*(F.abs(c - z) for c, z in zip(cell, centre)))
-    return F.when(far <= w - 1, "inner").when(far <= w + 1, "borderline").otherwise("outer")
+    return F.when(far <= w - 1, "inner").when(far <= w + reach, "borderline").otherwise("outer")
 
 
 def border_fraction(w: int, k: int, ell: int) -> float:

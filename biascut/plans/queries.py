@@ -199,6 +199,18 @@ def theory_band(e: DataFrame) -> DataFrame:
 add("theory_pointwise_violation", over("user_item", theory_band), "SELECT 0.0::DOUBLE AS worst")
 add("smoothed_error_practical", over("goods_flow", lambda e: r9(wi.smoothed_error(est.estimate_matrix(sketch_of(e)), sn.snapshot(e, ELL), 2, ELL), "l1")),
     _EM + f", {o.stats()}, {o.classes()}, {o.cells()}, {_X}, sm AS ({o.spread('sx', _IJ, 2, 2)}) SELECT round(sum(abs(coalesce(p.x, 0) - coalesce(q.x, 0))), 9) AS l1 FROM em p FULL JOIN sm q ON p.i = q.i AND p.j = q.j")
+
+
+def window_edge_classes(e: DataFrame) -> DataFrame:
+    """Edges by their place against the window around the cell of degree class 4 and the middle bias class."""
+    c = sn.vertex_classes(e, ELL, K)
+    x = e.join(c.select(F.col("vid").alias("u"), F.col("a").alias("ua"), F.col("i").alias("ui")), "u").join(c.select(F.col("vid").alias("v"), F.col("a").alias("va"), F.col("i").alias("vi")), "v")
+    kind = wi.classify_against_window([F.col(n) for n in ("ua", "va", "ui", "vi")], [F.lit(z) for z in (4, 4, 11, 11)], 4)
+    return x.groupBy(kind.alias("kind")).agg(F.count(F.lit(1)).alias("n"))
+
+
+add("window_edge_classes", over("user_item", window_edge_classes),
+    f"{o.graph('user_item')} SELECT CASE WHEN far <= 3 THEN 'inner' WHEN far = 4 THEN 'borderline' ELSE 'outer' END AS kind, count(*)::BIGINT AS n FROM (SELECT greatest(abs(s.a - 4), abs(t.a - 4), abs(s.i - 11), abs(t.i - 11)) AS far FROM e JOIN cl s ON u = s.vid JOIN cl t ON v = t.vid) GROUP BY 1")
 NESTED = SKETCH.replace(mode="nested")
 
 
@@ -366,7 +378,31 @@ def experiment_unknown_length(spark, d):
     return r9(unknown.unionByName(known).unionByName(exact_rule), "value", "mass")
 
 
-for name, q in (("ratio", experiment_ratio), ("window", experiment_window), ("rates", experiment_rates), ("star", experiment_star), ("orders", experiment_orders), ("seeds", experiment_seeds), ("unknown_length", experiment_unknown_length)):
+def experiment_theory(spark, d):
+    """Theory mode on every workload: the estimate stays inside the envelopes and equals exact smoothing."""
+    out = []
+    for name in wl.WORKLOADS:
+        e = wl.workload(spark, d, name)
+        s, p, t = theory(e)
+        worst = wi.pointwise_violation(est.estimate_array(s), sn.refined_snapshot(e, p.ell, p.k), p.w, p.k, p.ell).first()["worst"]
+        error = wi.smoothed_error(est.estimate_matrix(s), sn.snapshot(e, p.ell), p.w, p.ell).first()["l1"]
+        out.append((name, s.meta.first()["m"], p.k, p.ell, p.w, round(worst, 9), round(error or 0.0, 9)))
+        s.close()
+    return spark.createDataFrame(out, "workload string, m long, k int, ell int, w int, worst double, l1 double")
+
+
+def experiment_events(spark, d):
+    """How often the good events hold over seeds, for two sets of constants."""
+    e = wl.user_item(spark, d)
+    return _rows([r9(diagnostics.event_frequencies(e, practical_params(e.count(), k_star=k, p0=p0), range(5)), "frequency", "margin").select(F.lit(k).alias("k_star"), F.lit(p0).alias("p0"), "*") for k, p0 in ((3, 0.1), (13, 0.5))])
+
+
+def experiment_scale(spark, d):
+    """Shuffled rows of the sketch and of the exact snapshot as the stream grows fourfold a step."""
+    return diagnostics.scale_report(wl.goods_flow(spark, d), 3, 4.0, (1 / 64, 1 / 16, 1 / 4, 1.0))
+
+
+for name, q in (("ratio", experiment_ratio), ("window", experiment_window), ("rates", experiment_rates), ("star", experiment_star), ("orders", experiment_orders), ("seeds", experiment_seeds), ("unknown_length", experiment_unknown_length), ("theory", experiment_theory), ("events", experiment_events), ("scale", experiment_scale)):
     add(f"experiment_{name}", q)
 
 
