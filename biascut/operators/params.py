@@ -74,7 +74,8 @@ def degree_layers(m: float) -> int:
 
 def theory_params(n: int, m_hat: int, eps: float, base: tuple[float, ...] = (-1.0, 1.0), seed: int = 0) -> tuple[Params, tuple[float, ...]]:
     """The theorem's parameters and its refined partition.  k_star is rounded up, so that sampling
-    rates are powers of two; at any size that can be run they are all one."""
+    rates are powers of two.  They are all one where k_star, of the order of log log n, reaches k: at any
+    size that can be run, but for graphs with few vertices for their edges."""
     w = math.ceil(1 / eps)
     lam = eps / w
     t, _ = refine_partition(base, lam)

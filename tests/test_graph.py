@@ -205,3 +205,24 @@ def test_workload_orders_chain_without_gaps(spark):
     got = wl.next_in_order(df, [F.col("t")], F.expr("t div 5"), ["id"])
     want = df.withColumn("n", F.lead("id").over(Window.orderBy("t"))).where("n is not null")
     assert {(r.id, r.next_id) for r in got.collect()} == {(r.id, r.n) for r in want.collect()}
+
+
+def test_edges_by_their_place_against_a_window(spark):
+    x = spark.createDataFrame([(a,) for a in range(8)], "a int")
+    kinds = lambda reach: [r[0] for r in x.orderBy("a").select(windows.classify_against_window([F.col("a"), F.lit(1)], [F.lit(0), F.lit(0)], 3, reach)).collect()]
+    assert kinds(0) == ["inner"] * 3 + ["borderline"] + ["outer"] * 4
+    assert kinds(1) == ["inner"] * 3 + ["borderline"] * 2 + ["outer"] * 3
+
+
+def test_scale_report_counts_the_stream(spark):
+    e = graph(spark, n=40, m=400)
+    r = diagnostics.scale_report(e, 2, 1.0, (0.25, 1.0)).orderBy("share").collect()
+    n = len({x for row in e.collect() for x in (row["u"], row["v"])})
+    assert (r[1]["m"], r[1]["n"], r[1]["exact_rows"]) == (e.count(), n, n + 2 * e.count())
+    assert 0 < r[0]["m"] < r[1]["m"] and r[1]["sketch_rows"] > 0
+
+
+def test_good_events_hold_without_sampling(spark):
+    p = params.practical_params(400, k_star=20, p0=1.0)
+    got = {r["event"]: r for r in diagnostics.event_frequencies(graph(spark, n=40, m=400), p, range(2)).collect()}
+    assert got["edge_count"]["frequency"] == got["vertex_count"]["frequency"] == 1.0 and got["edge_count"]["runs"] == 2
