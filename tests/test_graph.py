@@ -226,3 +226,15 @@ def test_good_events_hold_without_sampling(spark):
     p = params.practical_params(400, k_star=20, p0=1.0)
     got = {r["event"]: r for r in diagnostics.event_frequencies(graph(spark, n=40, m=400), p, range(2)).collect()}
     assert got["edge_count"]["frequency"] == got["vertex_count"]["frequency"] == 1.0 and got["edge_count"]["runs"] == 2
+
+
+def test_a_bias_on_a_threshold_is_in_the_class_it_opens(spark):
+    """Each vertex with d_out of deg edges out: the rule's probability is that of the class told in integers."""
+    sel, pairs, want = oblivious.uniform_clamped(21), [], {}
+    for hub, (d_out, deg) in enumerate((o, d) for d in (3, 6, 7, 12, 14, 21, 42) for o in range(d + 1)):
+        want[hub] = sel.r[min(21, d_out * 21 // deg + 1) - 1]
+        pairs += [(hub, 1000 + k) for k in range(d_out)] + [(1000 + k, hub) for k in range(deg - d_out)]
+    got = {r["vid"]: r["p"] for r in oblivious.vertex_chances(wl.from_pairs(spark, pairs), sel).where("vid < 1000").collect()}
+    assert got == want
+    floats = {r["vid"]: sel.r[r["i"] - 1] for r in vertex_stats.biases(wl.from_pairs(spark, pairs)).where("vid < 1000").select("vid", classes.class_index(F.col("bias"), sel.t).alias("i")).collect()}
+    assert floats != want  # what the cut went by before
