@@ -238,3 +238,23 @@ def test_a_bias_on_a_threshold_is_in_the_class_it_opens(spark):
     assert got == want
     floats = {r["vid"]: sel.r[r["i"] - 1] for r in vertex_stats.biases(wl.from_pairs(spark, pairs)).where("vid < 1000").select("vid", classes.class_index(F.col("bias"), sel.t).alias("i")).collect()}
     assert floats != want  # what the cut went by before
+
+
+def test_overlap_with_a_benchmark_is_exact_and_linear_in_a_text(spark, tmp_path):
+    """Pairs as by brute force, null and short texts and empty words included; a text of 200,000 words takes seconds."""
+    import time
+
+    r = random.Random(3)
+    words = lambda n: " ".join(r.choice(["a", ""]) for _ in range(n))
+    long = " ".join(str(k) for k in range(200_000))
+    docs = [(k, words(r.randrange(40))) for k in range(60)] + [(60, None), (61, long)]
+    items = [(k, words(r.randrange(30))) for k in range(20)] + [(20, None), (21, " ".join(str(k) for k in range(150_000, 150_008))), (22, "1 2 3 4 5 6 7 9")]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(items, "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    grams = lambda t: {" ".join(w[i : i + 8]) for w in [(t or "").split(" ")] for i in range(len(w) - 7)} if t is not None else set()
+    g = {k: grams(t) for k, t in docs}
+    want = {(2 * d, 2 * i + 1) for i, t in items for d in g if g[d] & grams(t) and 2 * d != 2 * i + 1}
+    begin = time.time()
+    got = [(x["u"], x["v"]) for x in wl.bench_overlap(spark, str(tmp_path)).collect()]
+    assert time.time() - begin < 60
+    assert len(got) == len(set(got)) and set(got) == want and (122, 43) in want and len(want) > 20
