@@ -258,3 +258,26 @@ def test_overlap_with_a_benchmark_is_exact_and_linear_in_a_text(spark, tmp_path)
     got = [(x["u"], x["v"]) for x in wl.bench_overlap(spark, str(tmp_path)).collect()]
     assert time.time() - begin < 60
     assert len(got) == len(set(got)) and set(got) == want and (122, 43) in want and len(want) > 20
+
+
+def test_certificates_of_the_classes_a_graph_has():
+    """Fewer classes, no smaller ratio; all classes, the same; two outer classes, a cut that the rule finds."""
+    sel = oblivious.uniform_clamped(9)
+    every = oblivious.certify_ratio(sel)
+    assert oblivious.certify_ratio(sel, present=list(range(1, 10))) == every
+    some = oblivious.certify_ratio(sel, present=[2, 5, 8])
+    assert every["lower"] - 1e-6 <= some["lower"] <= some["primal"] + 1e-6
+    assert oblivious.certify_ratio(sel, present=[1, 9])["lower"] > 0.9
+
+
+def test_moved_queries_read_the_events(spark, tmp_path):
+    """Window sizes, component optima and certificates follow the given events: a chain of types for each user."""
+    from biascut.plans import queries as plans
+
+    rows = [(k, f"2024-01-01 00:00:{k:02d}", k % 2, "abcab"[k // 2], 0.0, '{"k": %d}' % (k % 3)) for k in range(10)]
+    spark.createDataFrame(rows, "event_id long, ts string, user_id long, event_type string, value double, props string").selectExpr("event_id", "cast(ts as timestamp) ts", "user_id", "event_type", "value", "props").write.parquet(f"{tmp_path}/events.parquet")
+    got = plans.QUERIES["exact_val_components"](spark, str(tmp_path)).first()
+    assert (got["cut"], got["m"]) == (4.0, 8.0)  # two users, each a>b b>c c>a a>b: a alone gives 2
+    n = wl.user_item(spark, str(tmp_path)).selectExpr("explode(array(u, v)) as x").distinct().count()
+    assert sum(r["n"] for r in plans.QUERIES["window_sizes"](spark, str(tmp_path)).collect()) == n
+    assert all(r["classes"] >= 1 and r["lower"] <= r["lower_here"] + 1e-4 for r in plans.QUERIES["ratio_certificates"](spark, str(tmp_path)).collect())
