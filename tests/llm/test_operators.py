@@ -867,3 +867,21 @@ def test_pipeline_stages_keep_columns_and_take_empty_tables(spark, docs, tmp_pat
 def test_queries_are_registered():
     assert [q.split("_")[0] for q in queries.QUERIES] == [f"op{n}" for n in range(1, 11)]
     assert F is not None
+
+
+def test_rules_take_scales_and_cutoff_from_every_labelled_row(spark):
+    """Order statistics equal numpy's on skewed data; the fitted scales and cut-off are those of all rows by brute force."""
+    r = np.random.default_rng(5)
+    x = np.concatenate([r.exponential(size=(3000, rules.FEATURES)), np.zeros((200, rules.FEATURES)), np.full((100, rules.FEATURES), 1e-310)])
+    df = spark.createDataFrame([(row,) for row in x.tolist()], "x array<double>").repartition(5)
+    assert np.allclose(rules.quantiles_of(df, "x", len(x)), np.quantile(x, rules.QUANTILES, axis=0), rtol=1e-14, atol=0)
+    word = lambda k: "abcdefghij"[k % 10] * (1 + k % 7)
+    texts = [(k, " ".join(word(int(v)) for v in r.integers(0, 70, 30 + k % 40)) + (" #*" * 30 if k % 9 == 0 else "")) for k in range(7000)]
+    docs, labels = spark.createDataFrame(texts, "doc_id long, text string").repartition(6), spark.createDataFrame([(k, int(k % 9 > 0)) for k in range(7000)], "doc_id long, quality int")
+    forest, cut = rules.fit(docs, labels, trees=20)
+    rows = rules.labelled_statistics(docs, labels, "quality").collect()
+    assert len(rows) == sum(zlib.crc32(str(k).encode()) % 5 > 0 for k in range(7000))
+    grown = np.array([v["x"] for v in rows if v["grow"]])
+    assert np.allclose(forest.mid, np.median(grown, axis=0), rtol=1e-14)
+    rest = [v for v in rows if not v["grow"]]
+    assert cut == rules.calibrate(forest.score(np.array([v["x"] for v in rest])), np.array([v["y"] for v in rest]), 0.998)
