@@ -14,10 +14,9 @@ bytes), the class's smoothed corpus shares.  The output biases start from the co
 Training is truncated backpropagation in numpy over windows of ``WINDOW`` steps, with the state
 carried in from the window before.  A first network is fitted on the driver from the windows of a
 bounded sample (``sample_docs`` documents, ``sample_windows`` windows each, spread over the whole
-text).  Then every task goes on from it over all of its training documents, with one window in
-``EVERY`` of each document and one at least, and the tasks' weights are averaged by their tokens, in
-``GROUPS`` sums of which the driver gets the results.  So what the network learns from grows with the corpus, and no part of a text is left
-out by its place.
+text).  Then every task goes on from it over every window of all of its training documents (``EVERY``
+is 1), and the tasks' weights are averaged by their tokens, in ``GROUPS`` sums of which the driver gets
+the results.  So every position of every training text gives a gradient.
 
 Scoring runs documents in step, longest first, and carries each state from its first token to its
 end, windows only bounding memory.
@@ -44,7 +43,7 @@ FREQUENT = CLASSES * PER_CLASS  # the end token is the first of them
 HIDDEN = 24
 WINDOW = 24
 HEAD = 60_000
-EVERY = 16
+EVERY = 1
 GROUPS = 16  # of tasks whose weights are added up together
 ALPHA = 0.1
 _INPUTS = FREQUENT + TAILS

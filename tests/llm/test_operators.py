@@ -885,3 +885,16 @@ def test_rules_take_scales_and_cutoff_from_every_labelled_row(spark):
     assert np.allclose(forest.mid, np.median(grown, axis=0), rtol=1e-14)
     rest = [v for v in rows if not v["grow"]]
     assert cut == rules.calibrate(forest.score(np.array([v["x"] for v in rest])), np.array([v["y"] for v in rest]), 0.998)
+
+
+def test_training_windows_cover_every_position_once():
+    """With the fit's own step, each token of each document is predicted in exactly one window."""
+    import inspect
+
+    every = inspect.signature(lm.fit).parameters["every"].default
+    sizes = np.array([1, 23, 24, 25, 700])
+    first = np.concatenate([[0], np.cumsum(sizes)])
+    token = np.arange(first[-1])
+    rows = lm.window_rows(token, token, token, first, np.array([0, 5, 9, 3, 77]), np.full(5, every))
+    later = rows[:, lm.WINDOW :]
+    assert sorted(later[later[:, :, 3] > 0][:, 0].tolist()) == token.tolist()
