@@ -281,3 +281,12 @@ def test_moved_queries_read_the_events(spark, tmp_path):
     n = wl.user_item(spark, str(tmp_path)).selectExpr("explode(array(u, v)) as x").distinct().count()
     assert sum(r["n"] for r in plans.QUERIES["window_sizes"](spark, str(tmp_path)).collect()) == n
     assert all(r["classes"] >= 1 and r["lower"] <= r["lower_here"] + 1e-4 for r in plans.QUERIES["ratio_certificates"](spark, str(tmp_path)).collect())
+
+
+def test_rates_keep_no_sketch(spark):
+    from biascut.plans import queries as plans
+
+    kept = lambda: spark.sparkContext._jsc.getPersistentRDDs().size()
+    before = kept()
+    assert plans.QUERIES["experiment_rates"](spark, "/root/testdata/sf0.001").count() == 4
+    assert kept() == before
