@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from biascut.functions import register as reg
-from biascut.operators import estimator, exact, guess, hashing, layered, oblivious, snapshot, temporal, windows
+from biascut.operators import baselines, estimator, exact, guess, hashing, layered, marked, oblivious, snapshot, temporal, windows
 from biascut.operators.params import Params, practical_params, theory_params
 from biascut.sources import io
 from biascut.sources import workloads as wl
@@ -266,3 +266,32 @@ def test_the_best_rule_is_certified(spark):
         best = max(sum(w for (a, b), w in zip(pairs, weights) if x >> a & 1 and not x >> b & 1) for x in range(8))
         worst = min(worst, value / best)
     assert worst >= 0.483
+
+
+@pytest.mark.parametrize("p", [SMALL, SMALL.replace(p0=0.2, e_cap=12 + 2**6), SMALL.replace(coin="xxhash64"), SMALL.replace(mode="nested"), SMALL.replace(v_cap=60)])
+def test_marked_edges_give_the_sketch_matrix(spark, e, p):
+    m = spark.createDataFrame([(e.count(),)], "m long")
+    one = marked.with_coins(e, p).withColumn("n", F.lit(1).cast("long"))
+    merged = one.groupBy("u", "v", "coins").agg(F.count("*").alias("n"))
+    s = layered.build_sketch(e, p)
+    near = lambda df: {(r["i"], r["j"]): pytest.approx(r["x"], rel=1e-9) for r in df.collect()}
+    want = near(estimator.estimate_matrix(s))
+    flags = rows(s.overflow.select("layer", "n", "overflow"))
+    s.close()
+    for x in (one, merged):
+        k = marked.marked_sketch(x, p, m)
+        assert near(estimator.estimate_matrix(k)) == want and rows(k.overflow.select("layer", "n", "overflow")) == flags
+        k.close()
+
+
+def test_compared_methods_keep_no_sketch(spark, e):
+    kept = lambda: spark.sparkContext._jsc.getPersistentRDDs().size()
+    e.count()
+    before = kept()
+    got = {r["method"]: r for r in baselines.compare_methods(e, "x", ["layered", "layered_nested", "layered_normalised", "best_of"]).collect()}
+    assert kept() == before  # three sketches stayed in storage
+    p, sel = practical_params(e.count(), ell=21), oblivious.uniform_clamped(21)
+    for name, mode, norm in (("layered", "independent", False), ("layered_nested", "nested", False), ("layered_normalised", "independent", True)):
+        want = estimator.estimate_of(e, p.replace(mode=mode), sel, norm).first()
+        assert got[name]["value"] == pytest.approx(want["value"]) and got[name]["mass"] == pytest.approx(want["mass"])
+    assert got["best_of"]["value"] == pytest.approx(baselines.best_lower_bound(e).first()["value"])
