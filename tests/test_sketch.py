@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from biascut.functions import register as reg
 from biascut.operators import baselines, estimator, exact, guess, hashing, layered, marked, oblivious, snapshot, temporal, windows
 from biascut.operators.params import Params, practical_params, theory_params
+from biascut.plans import queries
 from biascut.sources import io
 from biascut.sources import workloads as wl
 from biascut.streaming import sketches as st
@@ -295,3 +296,10 @@ def test_compared_methods_keep_no_sketch(spark, e):
         want = estimator.estimate_of(e, p.replace(mode=mode), sel, norm).first()
         assert got[name]["value"] == pytest.approx(want["value"]) and got[name]["mass"] == pytest.approx(want["mass"])
     assert got["best_of"]["value"] == pytest.approx(baselines.best_lower_bound(e).first()["value"])
+
+
+def test_theory_error_keeps_an_edge_once(spark, monkeypatch):
+    e = wl.complete(spark, 6).unionByName(wl.star(spark, 40).select(F.concat(F.lit("s"), "eid").alias("eid"), (F.col("u") + 10).alias("u"), (F.col("v") + 10).alias("v")))
+    monkeypatch.setattr(layered, "edge_layers", lambda *a, **k: pytest.fail("an edge is stored for every layer"))
+    m, p, error = queries.theory_error(e)
+    assert m == 70 and p.k_star >= p.k and error < 1e-9
