@@ -111,25 +111,39 @@ class Encoder:
 
     def __init__(self, model: PieceModel, check_every: int = 64):
         self.m, self.check_every = model, check_every
-        self._memo = Generations(_MEMO, lambda part: [k for ids in self.stream(part) for k in ids])
-        self._pairs = Generations(_PAIRS, lambda pair: self.merge(pair[0] + pair[1]) == [*pair])
-        self._joints = Generations(_PAIRS, lambda ids: self._pairs[model.piece[ids >> 20], model.piece[ids & 0xFFFFF]])
+        self._memo = Generations(_MEMO, lambda part: self.short(part) if model.merges and len(part) <= check_every else [k for ids in self.stream(part) for k in ids])
+        self._pairs = Generations(_PAIRS, lambda pair: self.keeps(*pair))
+        self._joints = Generations(_PAIRS, lambda ids: self.keeps(model.piece[ids >> 20], model.piece[ids & 0xFFFFF]))
         self.widest = 0  # the largest window so far
         self.walked = 0  # characters that the walk went over
 
     def merge(self, text: str) -> list[str]:
         """Pieces of a short text by the merge order itself: best score first, then leftmost."""
-        parts, score = list(text), self.m.score
-        while len(parts) > 1:
-            best, at = None, -1
-            for k in range(len(parts) - 1):
-                s = score.get(parts[k] + parts[k + 1])
-                if s is not None and (best is None or s > best):
-                    best, at = s, k
-            if at < 0:
-                break
-            parts[at : at + 2] = [parts[at] + parts[at + 1]]
-        return parts
+        parts = list(text)
+        return parts if self._merged(parts, 0) else []
+
+    def keeps(self, left: str, right: str) -> bool:
+        """Whether the merge order leaves two pieces side by side as they are."""
+        parts = list(left + right)
+        return self._merged(parts, len(left)) and len(parts) == 2
+
+    def _merged(self, parts: list[str], border: int) -> bool:
+        """Merges ``parts`` in place; false as soon as a merge crosses the border before part ``border`` (0: none)."""
+        get, none = self.m.score.get, float("-inf")
+        scores = [get(a + b, none) for a, b in zip(parts, parts[1:])]
+        while scores and (best := max(scores)) > none:
+            at = scores.index(best)  # the leftmost
+            if at < border:
+                border -= 1
+                if at == border:
+                    return False
+            parts[at] += parts.pop(at + 1)
+            del scores[at]
+            if at:
+                scores[at - 1] = get(parts[at - 1] + parts[at], none)
+            if at < len(scores):
+                scores[at] = get(parts[at] + parts[at + 1], none)
+        return True
 
     def compatible(self, left: str, right: str) -> bool:
         return self._pairs[left, right]
@@ -192,6 +206,52 @@ class Encoder:
         if n > committed:
             yield self._path(text, back, committed, n)
 
+    def short(self, text: str) -> list[int]:
+        """``stream`` of a merge model over a stretch that its window holds whole: nothing is committed before
+        the end, so backpointers stand in two lists."""
+        n, trie, joints = len(text), self.m.trie, self._joints
+        start, piece = [-1] * (n + 1), [-1] * (n + 1)
+        start[0] = 0
+        self.walked += n
+        for j in range(n):
+            begin = start[j]
+            if begin < 0:
+                continue
+            before, k, node = piece[j], j + 1, trie.get(text[j])
+            t = node[0] if node is not None else -1
+            # one character alone always counts, in the vocabulary or not
+            if start[k] < 0 and (not j or (joints[before << 20 | t] if before >= 0 and t >= 0 else self._joins(before, begin, t, text, j, k))):
+                start[k], piece[k] = j, t
+            if node is None:
+                continue
+            if j and before >= 0:
+                high = before << 20
+                while k < n:
+                    node = node[1].get(text[k])
+                    if node is None:
+                        break
+                    t, k = node[0], k + 1
+                    if t >= 0 and start[k] < 0 and joints[high | t]:
+                        start[k], piece[k] = j, t
+            else:
+                while k < n:
+                    node = node[1].get(text[k])
+                    if node is None:
+                        break
+                    t, k = node[0], k + 1
+                    if t >= 0 and start[k] < 0 and (not j or self._joins(before, begin, t, text, j, k)):
+                        start[k], piece[k] = j, t
+        out, end = [], n
+        while end > 0:
+            begin, t = start[end], piece[end]
+            if t >= 0:
+                out.append(t)
+            else:
+                out += self.m.char_ids(text[begin:end])[::-1]
+            end = begin
+        out.reverse()
+        return out
+
     def _meeting(self, back: dict[int, tuple[int, int]], committed: int, now: int) -> int:
         """The boundary that every surviving path from positions at or after ``now`` passes."""
         # positions up to now may still start pieces: they are alive as well

@@ -898,3 +898,15 @@ def test_training_windows_cover_every_position_once():
     rows = lm.window_rows(token, token, token, first, np.array([0, 5, 9, 3, 77]), np.full(5, every))
     later = rows[:, lm.WINDOW :]
     assert sorted(later[later[:, :, 3] > 0][:, 0].tolist()) == token.tolist()
+
+
+def test_short_stretches_and_joints_equal_the_walk():
+    m = pieces.PieceModel(PIECES)
+    own, r = pieces.Encoder(m), random.Random(5)
+    words = [pieces.MARK + "".join(r.choice("etaoinshrdlu-'9\u00e9\u4e2d") for _ in range(r.randint(0, 24))) for _ in range(300)]
+    for w in words:
+        assert own.short(w) == [k for ids in own.stream(w) for k in ids]
+    some = [p for p in m.ids if len(p) < 8]
+    for _ in range(2000):
+        a, b = r.choice(some), r.choice(some)
+        assert own.keeps(a, b) == (own.merge(a + b) == [a, b])
