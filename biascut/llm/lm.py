@@ -11,15 +11,17 @@ Model.  A GRU reads the tokens.  The next token's probability is class-factored:
 then either a softmax within the class or, in a tail class (words by a hash of their last two
 bytes), the class's smoothed corpus shares.  The output biases start from the corpus counts.
 
-Training is truncated backpropagation in numpy over windows of ``WINDOW`` steps, with the state
-carried in from the window before.  A first network is fitted on the driver from the windows of a
-bounded sample (``sample_docs`` documents, ``sample_windows`` windows each, spread over the whole
-text).  Then every task goes on from it over every window of all of its training documents (``EVERY``
+Training is truncated backpropagation in numpy over windows of ``WINDOW`` steps.  A first network is
+fitted on the driver from the windows of a bounded sample (``sample_docs`` documents,
+``sample_windows`` windows each, spread over the whole text), whose states enter from the window
+before.  Then every task goes on from it over every window of all of its training documents (``EVERY``
 is 1), and the tasks' weights are averaged by their tokens, in ``GROUPS`` sums of which the driver gets
-the results.  So every position of every training text gives a gradient.
+the results.  So every position of every training text gives a gradient.  Tasks read documents side by
+side and carry each state from its document's first token on (``Lanes``), so no window is run twice;
+only what is left when a task's documents run out takes its states from the window before.
 
 Scoring runs documents in step, longest first, and carries each state from its first token to its
-end, windows only bounding memory.
+end, windows and groups of ``ABREAST`` documents only bounding memory.
 
 Defined cases: null text is empty (one end); without training documents the base score is that of
 the formula with zero counts and the model scores by its initial weights; rows repeating a doc_id
@@ -33,8 +35,10 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from xxhash import xxh64_intdigest
 
 from .common import drop, hashed_head, held_out, materialize, row_id, slices, text_bytes, tidy
 
@@ -44,14 +48,16 @@ HIDDEN = 24
 WINDOW = 24
 HEAD = 60_000
 EVERY = 1
+ABREAST = 512  # documents scored in step
 GROUPS = 16  # of tasks whose weights are added up together
 ALPHA = 0.1
 _INPUTS = FREQUENT + TAILS
+# by input token
+CLASS_OF = np.concatenate([np.arange(FREQUENT) // PER_CLASS, CLASSES + np.arange(TAILS)]).astype(np.int16)
+WORD_OF = np.concatenate([np.arange(FREQUENT) % PER_CLASS, np.zeros(TAILS)]).astype(np.int16)
 
 
 def word_hash(word: bytes) -> int:
-    from xxhash import xxh64_intdigest
-
     h = xxh64_intdigest(word)
     return h - (1 << 64) if h >= 1 << 63 else h
 
@@ -64,23 +70,35 @@ def second_hash(word: bytes) -> int:
     return zlib.crc32(word) - (1 << 31)
 
 
-class _Words(dict):
-    """Numbers words in order of appearance."""
+def word_hashes(words: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(xxh64_intdigest, words), np.uint64, len(words)).view(np.int64)
+
+
+def tail_classes(words: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(zlib.crc32, [w[-2:] for w in words]), np.int64, len(words)) % TAILS
+
 
-    def __missing__(self, word):
-        self[word] = n = len(self)
-        return n
+def second_hashes(words: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(zlib.crc32, words), np.int64, len(words)) - (1 << 31)
 
 
 def slice_words(offsets: np.ndarray, raw: np.ndarray) -> tuple[list[bytes], np.ndarray, np.ndarray]:
     """(distinct words, code of every token, first token of each text); A-Z lower-cased."""
-    blob, number = raw.tobytes().lower(), _Words()
-    codes, sizes = [], []
-    for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist()):
-        words = blob[a:b].split()
-        codes += [number[w] for w in words]
-        sizes.append(len(words))
-    return list(number), np.array(codes, np.int64), np.concatenate([[0], np.cumsum(sizes)]).astype(np.int64)
+    texts = pa.LargeStringArray.from_buffers(len(offsets) - 1, pa.py_buffer(np.ascontiguousarray(offsets, np.int64)), pa.py_buffer(np.ascontiguousarray(raw)))
+    split = pc.ascii_split_whitespace(pc.ascii_lower(texts))  # at bytes 9 to 13 and 32, with empty strings at the ends
+    coded = split.flatten().dictionary_encode()
+    edges, data = text_bytes(coded.dictionary)
+    blob, edges = data.tobytes(), edges.tolist()
+    words = [blob[a:b] for a, b in zip(edges, edges[1:])]
+    codes, first = coded.indices.to_numpy().astype(np.int64), split.offsets.to_numpy().astype(np.int64)
+    if b"" in words:
+        empty = words.index(b"")
+        kept = codes != empty
+        first = np.concatenate([[0], np.cumsum(kept)])[first - first[0]]
+        codes = codes[kept]
+        codes -= codes > empty
+        del words[empty]
+    return words, codes, first - first[0]
 
 
 def count_words(docs: DataFrame) -> DataFrame:
@@ -91,59 +109,86 @@ def count_words(docs: DataFrame) -> DataFrame:
             offsets, raw = text_bytes(b.column(0))
             for i, j in slices(offsets, 8 << 20):
                 words, codes, _ = slice_words(offsets[i : j + 1] - offsets[i], raw[offsets[i] : offsets[j]])
-                yield pa.RecordBatch.from_arrays([pa.array([word_hash(w) for w in words], pa.int64()), pa.array([second_hash(w) for w in words], pa.int32()), pa.array([tail_class(w) for w in words], pa.int32()), pa.array(np.bincount(codes, minlength=len(words)), pa.int64())], names=["h", "h2", "tail", "c"])
+                yield pa.RecordBatch.from_arrays([pa.array(word_hashes(words)), pa.array(second_hashes(words), pa.int32()), pa.array(tail_classes(words), pa.int32()), pa.array(np.bincount(codes, minlength=len(words)), pa.int64())], names=["h", "h2", "tail", "c"])
 
     counted = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), "h long, h2 int, tail int, c long")
     return counted.groupBy("h", "h2").agg(F.first("tail").alias("tail"), F.sum("c").alias("c"))
 
 
-def _sigmoid(x):
-    return 1 / (1 + np.exp(-x))
-
-
 class GatedLm:
-    """GRU weights: input gates by token, state gates, class output, word output."""
+    """GRU weights by gate (reset, update, candidate): of the input token, of the state; class output, word output."""
 
     def __init__(self, seed: int = 17):
         r = np.random.default_rng(seed)
         draw = lambda *shape: (r.normal(size=shape) * 0.1).astype(np.float32)
-        self.w = {"X": draw(_INPUTS, 3 * HIDDEN), "U": draw(HIDDEN, 3 * HIDDEN), "C": draw(HIDDEN, CLASSES + TAILS), "c": np.zeros(CLASSES + TAILS, np.float32), "W": draw(CLASSES, HIDDEN, PER_CLASS), "w": np.zeros((CLASSES, PER_CLASS), np.float32)}
+        by_gate = lambda x: np.ascontiguousarray(x.reshape(len(x), 3, HIDDEN).transpose(1, 0, 2))
+        self.w = {"X": by_gate(draw(_INPUTS, 3 * HIDDEN)), "U": by_gate(draw(HIDDEN, 3 * HIDDEN)), "C": draw(HIDDEN, CLASSES + TAILS), "c": np.zeros(CLASSES + TAILS, np.float32), "W": draw(CLASSES, HIDDEN, PER_CLASS), "w": np.zeros((CLASSES, PER_CLASS), np.float32)}
 
-    def step(self, h: np.ndarray, token: np.ndarray, keep: dict | None = None) -> np.ndarray:
+    def step(self, h: np.ndarray, token: np.ndarray) -> np.ndarray:
         """Consume one token a row."""
-        x, s = self.w["X"][token], h @ self.w["U"]
-        gates = _sigmoid(x[:, : 2 * HIDDEN] + s[:, : 2 * HIDDEN])
-        r, z, sn = gates[:, :HIDDEN], gates[:, HIDDEN:], s[:, 2 * HIDDEN :]
-        n = np.tanh(x[:, 2 * HIDDEN :] + r * sn)
-        if keep is not None:
-            keep.update(h=h, r=r, z=z, n=n, sn=sn, token=token)
-        return n + z * (h - n)
+        return self.turn(h, np.take(self.w["X"], token, axis=1))[0]
+
+    def turn(self, h: np.ndarray, gates: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(next states, the candidate's share of h).  ``gates``, by gate and row, come as the tokens' shares
+        and are left as the gates' values."""
+        s = np.matmul(h, self.w["U"])
+        rz, n = gates[:2], gates[2]
+        rz += s[:2]
+        np.negative(rz, out=rz)
+        np.exp(rz, out=rz)
+        rz += 1
+        np.reciprocal(rz, out=rz)
+        n += rz[0] * s[2]
+        np.tanh(n, out=n)
+        out = h - n
+        out *= rz[1]
+        out += n
+        return out, s[2]
+
+    def outputs(self, h: np.ndarray, cls: np.ndarray, word: np.ndarray):
+        """Rows in order of class: (order, borders of the classes, states, classes, words, class logits, word
+        logits of the rows in a class of words)."""
+        order = np.argsort(cls.astype(np.int16), kind="stable")
+        h, cls, word = np.take(h, order, axis=0), cls[order], word[order]
+        edges = np.searchsorted(cls, np.arange(CLASSES + 1)).tolist()
+        p = h @ self.w["C"]
+        p += self.w["c"]
+        q = np.empty((edges[-1], PER_CLASS), p.dtype)
+        for k, (a, b) in enumerate(zip(edges, edges[1:])):
+            if a < b:
+                np.matmul(h[a:b], self.w["W"][k], out=q[a:b])
+                q[a:b] += self.w["w"][k]
+        return order, edges, h, cls, word[: edges[-1]], _in_range(p), _in_range(q)
 
     def log_probabilities(self, h: np.ndarray, cls: np.ndarray, word: np.ndarray) -> np.ndarray:
         """Natural log of each row's class probability times its word's share of the class."""
-        logit = h @ self.w["C"] + self.w["c"]
-        out = logit[np.arange(len(h)), cls] - _log_sum(logit)
-        for k, rows in _by_class(cls):
-            inner = h[rows] @ self.w["W"][k] + self.w["w"][k]
-            out[rows] += inner[np.arange(len(rows)), word[rows]] - _log_sum(inner)
+        order, _, h, cls, word, p, q = self.outputs(h, cls, word)
+        logs = p[np.arange(len(p)), cls]
+        logs[: len(q)] += q[np.arange(len(q)), word]
+        logs -= np.log(_row_sums(np.exp(p, out=p)))
+        logs[: len(q)] -= np.log(_row_sums(np.exp(q, out=q)))
+        out = np.empty_like(logs)
+        out[order] = logs
         return out
 
     def output_gradients(self, h, cls, word, grads) -> np.ndarray:
         """Adds the output layers' gradients of the summed loss; returns that of the states."""
-        p = h @ self.w["C"] + self.w["c"]
-        p = np.exp(p - _log_sum(p)[:, None])
-        p[np.arange(len(h)), cls] -= 1
+        order, edges, h, cls, word, p, q = self.outputs(h, cls, word)
+        for x, own in ((p, cls), (q, word)):
+            np.exp(x, out=x)
+            x *= (1 / _row_sums(x))[:, None]
+            x[np.arange(len(x)), own] -= 1
         grads["C"] += h.T @ p
-        grads["c"] += p.sum(axis=0)
+        grads["c"] += np.ones(len(p), p.dtype) @ p
         d = p @ self.w["C"].T
-        for k, rows in _by_class(cls):
-            q = h[rows] @ self.w["W"][k] + self.w["w"][k]
-            q = np.exp(q - _log_sum(q)[:, None])
-            q[np.arange(len(rows)), word[rows]] -= 1
-            grads["W"][k] += h[rows].T @ q
-            grads["w"][k] += q.sum(axis=0)
-            d[rows] += q @ self.w["W"][k].T
-        return d
+        for k, (a, b) in enumerate(zip(edges, edges[1:])):
+            if a < b:
+                grads["W"][k] += h[a:b].T @ q[a:b]
+                grads["w"][k] += q[a:b].sum(axis=0)
+                d[a:b] += q[a:b] @ self.w["W"][k].T
+        out = np.empty_like(d)
+        out[order] = d
+        return out
 
     def start_from(self, class_counts: np.ndarray, word_counts: np.ndarray) -> GatedLm:
         """Output biases that give the corpus shares of classes and of words within a class."""
@@ -155,29 +200,43 @@ class GatedLm:
 
     def gradients(self, h: np.ndarray, token: np.ndarray, cls: np.ndarray, word: np.ndarray, live: np.ndarray) -> dict:
         """Of the summed loss of the ``live`` places, truncated to these steps (rows) from states h."""
-        tape, before = [], []
+        return self.unrolled(h, token, cls, word, live)[0]
+
+    def unrolled(self, h, token, cls, word, live) -> tuple[dict, np.ndarray]:
+        """(``gradients``, the states after the last step)."""
+        gates = np.take(self.w["X"], token, axis=1)
+        states, share = (np.empty((*token.shape, HIDDEN), h.dtype) for _ in range(2))
         for t in range(len(token)):
-            before.append(h)
-            tape.append({})
-            h = self.step(h, token[t], tape[-1])
+            states[t] = h
+            h, share[t] = self.turn(h, gates[:, t])
         grads = {k: np.zeros_like(v) for k, v in self.w.items()}
-        states = np.stack(before)
+        flat, at = states.reshape(-1, HIDDEN), np.flatnonzero(live)
         d_out = np.zeros_like(states)
-        d_out[live] = self.output_gradients(states[live], cls[live], word[live], grads)
-        d, gates = np.zeros_like(h), []
+        d_out.reshape(-1, HIDDEN)[at] = self.output_gradients(np.take(flat, at, axis=0), cls.ravel()[at], word.ravel()[at], grads)
+        # what a state's gradient is times to be that of the step's sums: reset, update, candidate, share of h
+        r, z, n = gates
+        back = np.empty_like(gates)
+        of_n = (1 - n * n) * (1 - z)
+        np.multiply(of_n, r, out=back[2])
+        np.multiply(back[2], share * (1 - r), out=back[0])
+        np.multiply((states - n) * z, 1 - z, out=back[1])
+        d, turned = np.zeros_like(h), self.w["U"].transpose(0, 2, 1).copy()
         for t in range(len(token) - 1, -1, -1):
-            s = tape[t]
-            dn, dz = d * (1 - s["z"]) * (1 - s["n"] ** 2), d * (s["h"] - s["n"]) * s["z"] * (1 - s["z"])
-            dr = dn * s["sn"] * s["r"] * (1 - s["r"])
-            gates.append(np.concatenate([dr, dz, dn], axis=1))
-            ds = np.concatenate([dr, dz, dn * s["r"]], axis=1)
-            grads["U"] += s["h"].T @ ds
-            d = d * s["z"] + ds @ self.w["U"].T + d_out[t]
-        tokens = token[::-1].ravel()
+            of_n[t] *= d
+            back[:, t] *= d
+            d = d * z[t]
+            d += d_out[t]
+            for x in np.matmul(back[:, t], turned):
+                d += x
+        for k in range(3):
+            grads["U"][k] = flat.T @ back[k].reshape(-1, HIDDEN)
+        tokens = token.ravel().astype(np.int16)
         order = np.argsort(tokens, kind="stable")
-        first = np.flatnonzero(np.concatenate([[True], np.diff(tokens[order]) != 0]))
-        grads["X"][tokens[order[first]]] += np.add.reduceat(np.concatenate(gates)[order], first, axis=0)
-        return grads
+        tokens = tokens[order]
+        first = np.flatnonzero(np.concatenate([[True], np.diff(tokens) != 0]))
+        for k, x in enumerate((back[0], back[1], of_n)):
+            grads["X"][k][tokens[first]] = np.add.reduceat(np.take(x.reshape(-1, HIDDEN), order, axis=0), first, axis=0)
+        return grads, h
 
     def train(self, windows: np.ndarray, epochs: int = 1, rate: float = 0.01, size: int = 64, decay: float = 0.9) -> GatedLm:
         """Adam over ``windows`` (as by ``window_rows``: windows x places x fields)."""
@@ -191,22 +250,89 @@ class GatedLm:
 class Adam:
     def __init__(self, lm: GatedLm):
         self.lm, self.turn = lm, 0
-        self.first, self.second = ({k: np.zeros_like(v) for k, v in lm.w.items()} for _ in range(2))
+        self.all, views = np.concatenate([v.ravel() for v in lm.w.values()]), {}
+        for k, v in lm.w.items():
+            n = sum(x.size for x in views.values())
+            views[k] = self.all[n : n + v.size].reshape(v.shape)
+        lm.w = views  # one vector holds the weights
+        self.first, self.second = (np.zeros_like(self.all) for _ in range(2))
 
     def learn(self, windows: np.ndarray, rate: float) -> None:
         token, cls, word, kind = (windows[:, :, k].T.astype(np.int64) for k in range(4))
         h = np.zeros((len(windows), HIDDEN), np.float32)
         for t in range(WINDOW):  # the state enters from the window before
             h = self.lm.step(h, token[t]) * (kind[t] > 0)[:, None]
-        grads = self.lm.gradients(h, token[WINDOW:], cls[WINDOW:], word[WINDOW:], kind[WINDOW:] > 0)
-        n = max(int((kind[WINDOW:] > 0).sum()), 1)
-        norm = np.sqrt(sum(float((g / n * (g / n)).sum()) for g in grads.values()))
+        self.follow(h, token[WINDOW:], cls[WINDOW:], word[WINDOW:], kind[WINDOW:] > 0, rate)
+
+    def follow(self, h, token, cls, word, live, rate: float) -> np.ndarray:
+        """One step from states ``h``; returns the states after the last token."""
+        grads, h = self.lm.unrolled(h, token, cls, word, live)
+        g = np.concatenate([x.ravel() for x in grads.values()])
+        g *= 1 / max(int(live.sum()), 1)
+        g *= min(1.0, 1.0 / max(float(np.sqrt(g @ g)), 1e-9))
         self.turn += 1
-        for k, g in grads.items():
-            g = g / n * min(1.0, 1.0 / max(norm, 1e-9))
-            self.first[k] = 0.9 * self.first[k] + 0.1 * g
-            self.second[k] = 0.99 * self.second[k] + 0.01 * g * g
-            self.lm.w[k] = self.lm.w[k] - (rate * (self.first[k] / (1 - 0.9**self.turn)) / (np.sqrt(self.second[k] / (1 - 0.99**self.turn)) + 1e-6)).astype(np.float32)
+        self.first *= 0.9
+        self.first += 0.1 * g
+        self.second *= 0.99
+        g *= g
+        self.second += 0.01 * g
+        np.multiply(self.second, 1 / (1 - 0.99**self.turn), out=g)
+        np.sqrt(g, out=g)
+        g += 1e-6
+        np.divide(self.first, g, out=g)
+        g *= rate / (1 - 0.9**self.turn)
+        self.all -= g
+        return h
+
+
+class Lanes:
+    """Documents side by side, a window of each lane a turn.  A lane's state passes from a window to the next,
+    from the first token of a document to its end, and a new document starts anew."""
+
+    def __init__(self, size: int):
+        self.token = np.zeros(0, np.int16)
+        self.begin, self.at, self.stop = (np.zeros(size, np.int64) for _ in range(3))
+        self.h = np.zeros((size, HIDDEN), np.float32)
+
+    def turns(self, token: np.ndarray, first: np.ndarray):
+        """Takes in documents token[first[k]:first[k+1]] and yields (tokens, live) by place and lane, as long as
+        every lane has a document; whoever reads them puts the states after the window into ``h``."""
+        kept, _ = self._cut()
+        self.token = np.concatenate([kept, token])
+        starts, stops, k = first[:-1] + len(kept), first[1:] + len(kept), 0
+        while True:
+            idle = np.flatnonzero(self.at >= self.stop)
+            new = idle[: len(starts) - k]
+            self.begin[new] = self.at[new] = starts[k : k + len(new)]
+            self.stop[new] = stops[k : k + len(new)]
+            self.h[new] = 0
+            k += len(new)
+            if len(new) < len(idle):
+                break
+            at = self.at[None, :] + np.arange(WINDOW)[:, None]
+            live = at < self.stop[None, :]
+            yield np.where(live, self.token[np.minimum(at, len(self.token) - 1)], 0), live
+            self.at += WINDOW
+
+    def _cut(self) -> tuple[np.ndarray, np.ndarray]:
+        """Leaves of each document the part not passed yet and the window before it; (tokens, borders)."""
+        busy = np.flatnonzero(self.at < self.stop)
+        low = np.maximum(self.begin[busy], self.at[busy] - WINDOW)
+        parts = [self.token[a:b] for a, b in zip(low.tolist(), self.stop[busy].tolist())]
+        edges = np.concatenate([[0], np.cumsum([len(x) for x in parts])]).astype(np.int64)
+        self.token = np.concatenate([np.zeros(0, np.int16), *parts])
+        past = self.at[busy] - low
+        self.begin[:] = self.at[:] = self.stop[:] = 0
+        self.begin[busy], self.at[busy], self.stop[busy] = edges[:-1], edges[:-1] + past, edges[1:]
+        return self.token, edges
+
+    def rest(self) -> np.ndarray:
+        """The windows not passed, as by ``window_rows``."""
+        token, first = self._cut()
+        past = (self.at > self.begin)[self.at < self.stop]
+        rows = window_rows(token, CLASS_OF[token], WORD_OF[token], first, np.zeros(len(past), np.int64), np.ones(len(past), np.int64))
+        count = -(-np.diff(first) // WINDOW)
+        return np.delete(rows, (np.cumsum(count) - count)[past], axis=0)
 
 
 def window_rows(token: np.ndarray, cls: np.ndarray, word: np.ndarray, first: np.ndarray, phase: np.ndarray, every: np.ndarray) -> np.ndarray:
@@ -224,21 +350,15 @@ def window_rows(token: np.ndarray, cls: np.ndarray, word: np.ndarray, first: np.
     return np.stack([np.where(inside, x[at], 0) for x in (token, cls, word)] + [inside], axis=2).astype(np.int16)
 
 
-def _log_sum(x: np.ndarray) -> np.ndarray:
-    """log of the rows' summed exponentials; one shift serves all rows unless they lie far apart."""
-    top = x.max()
-    if top - x.min() < 60:
-        return top + np.log(np.exp(x - top).sum(axis=1))
-    top = x.max(axis=1)
-    return top + np.log(np.exp(x - top[:, None]).sum(axis=1))
+def _in_range(x: np.ndarray) -> np.ndarray:
+    """Logits, shifted by their row's greatest where exponentials might leave the numbers' range."""
+    if x.size and not (x.min() > -40 and x.max() < 40):
+        x -= x.max(axis=1, keepdims=True)
+    return x
 
 
-def _by_class(cls: np.ndarray):
-    order = np.argsort(cls, kind="stable")
-    edges = np.searchsorted(cls[order], np.arange(CLASSES + 1))
-    for k in range(CLASSES):
-        if edges[k] < edges[k + 1]:
-            yield k, order[edges[k] : edges[k + 1]]
+def _row_sums(x: np.ndarray) -> np.ndarray:
+    return x @ np.ones(x.shape[1], x.dtype)
 
 
 @dataclass
@@ -257,16 +377,15 @@ class Model:
     lm: GatedLm = field(default_factory=GatedLm)
 
     def words(self, words: list[bytes]) -> dict[str, np.ndarray]:
-        """By distinct word: input token, class, place in the class, log10 of the smoothed count
-        (0 for words outside the head), whether it is in the head."""
-        h = np.array([word_hash(w) for w in words], np.int64)
-        tail = np.array([tail_class(w) for w in words], np.int64)
+        """By distinct word: its hash, input token, log10 of the smoothed count (0 for words outside the
+        head), whether it is in the head."""
+        h, tail = word_hashes(words), tail_classes(words)
         at = np.minimum(np.searchsorted(self.head, h), max(len(self.head) - 1, 0))
         inside = self.head[at] == h if len(self.head) else np.zeros(len(h), bool)
         count = np.where(inside, self.head_count[at], 0) if len(self.head) else np.zeros(len(h))
         rank = np.where(inside, self.rank[at], -1) if len(self.head) else np.full(len(h), -1)
         often = rank >= 0
-        return {"h": h, "token": np.where(often, rank, FREQUENT + tail), "cls": np.where(often, rank // PER_CLASS, CLASSES + tail), "word": np.where(often, rank % PER_CLASS, 0), "log": np.where(inside, np.log10(count + ALPHA), 0.0), "head": inside}
+        return {"h": h, "token": np.where(often, rank, FREQUENT + tail).astype(np.int16), "log": np.where(inside, np.log10(count + ALPHA), 0.0), "head": inside}
 
     @property
     def base_log(self) -> float:
@@ -282,10 +401,9 @@ def coded(model: Model, offsets: np.ndarray, raw: np.ndarray):
     words, codes, first = slice_words(offsets, raw)
     w, n = model.words(words), len(offsets) - 1
     owner = np.repeat(np.arange(n), np.diff(first))
-    out = [np.zeros(len(codes) + n, np.int64) for _ in range(3)]
-    for x, name in zip(out, ("token", "cls", "word")):
-        x[np.arange(len(codes)) + owner] = w[name][codes]
-    return words, w, codes, owner, first, out, first + np.arange(n + 1)
+    token = np.zeros(len(codes) + n, np.int16)
+    token[np.arange(len(codes)) + owner] = w["token"][codes]
+    return words, w, codes, owner, first, [token, CLASS_OF[token], WORD_OF[token]], first + np.arange(n + 1)
 
 
 def _phases(ids: pa.Array) -> np.ndarray:
@@ -326,21 +444,28 @@ def trained_everywhere(train: DataFrame, model: Model, every: int = EVERY, rate:
 
         lm = GatedLm()
         lm.w = {k: v.copy() for k, v in start.items()}
-        adam, tokens = Adam(lm), 0
+        adam, lanes, tokens = Adam(lm), Lanes(size), 0
         held = np.zeros((0, 2 * WINDOW, 4), np.int16)
         for b in batches:
             offsets, raw = text_bytes(b.column(1))
             phase = _phases(b.column(0))
-            for i, j in slices(offsets, 1 << 20):
+            for i, j in slices(offsets, 8 << 20):
                 *_, seq, first = coded(model, offsets[i : j + 1] - offsets[i], raw[offsets[i] : offsets[j]])
+                if every == 1:
+                    for token, live in lanes.turns(seq[0], first):
+                        lanes.h = adam.follow(lanes.h, token, CLASS_OF[token], WORD_OF[token], live, rate)
+                        tokens += int(live.sum())
+                    continue
                 held = np.concatenate([held, window_rows(*seq, first, phase[i:j], np.full(j - i, every))])
                 while len(held) >= size:
                     adam.learn(held[:size], rate)
                     tokens += int((held[:size, WINDOW:, 3] > 0).sum())
                     held = held[size:]
-        if len(held):
-            adam.learn(held, rate * len(held) / size)
-            tokens += int((held[:, WINDOW:, 3] > 0).sum())
+        held = np.concatenate([held, lanes.rest()])
+        for k in range(0, len(held), size):
+            some = held[k : k + size]
+            adam.learn(some, rate * len(some) / size)
+            tokens += int((some[:, WINDOW:, 3] > 0).sum())
         if tokens:
             move = np.concatenate([(lm.w[k] - start[k]).ravel() for k in names]) * tokens
             yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId() % GROUPS], pa.int32()), pa.array([float(tokens)]), pa.array([move.astype("<f4").tobytes()], pa.binary())], names=["g", "n", "move"])
@@ -407,31 +532,31 @@ def fit(docs: DataFrame, modulus: int = 10, sample_docs: int = 1000, sample_wind
 
 def sequence_scores(lm: GatedLm, token: np.ndarray, cls: np.ndarray, word: np.ndarray, first: np.ndarray) -> np.ndarray:
     """Summed natural logs by document; documents are token[first[k]:first[k+1]], ends included."""
-    sizes = np.diff(first)
-    order = np.argsort(-sizes, kind="stable")
-    start, size = first[:-1][order], sizes[order]
-    total = np.zeros(len(order))
-    h = np.zeros((len(order), HIDDEN), np.float32)
-    t, longest = 0, int(size[0]) if len(size) else 0
+    order, out = np.argsort(-np.diff(first), kind="stable"), np.zeros(len(first) - 1)
+    for k in range(0, len(order), ABREAST):  # so many that a step's numbers stay near the processor
+        some = order[k : k + ABREAST]
+        out[some] = _abreast(lm, token, cls, word, first[some], first[some + 1] - first[some])
+    return out
+
+
+def _abreast(lm, token, cls, word, start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """``sequence_scores`` of the documents at ``start``, longest first."""
+    total = np.zeros(len(size))
+    h = np.zeros((len(size), HIDDEN), np.float32)
+    t, longest = 0, int(size[0])
     while t < longest:
-        states, rows, places = [], [], []
         stop = min(t + WINDOW, longest)
-        while t < stop:
-            live = int(np.searchsorted(-size, -t, side="left"))  # documents with more than t tokens
-            states.append(h[:live].copy())
-            rows.append(live)
-            places.append(start[:live] + t)
-            h[:live] = lm.step(h[:live], token[places[-1]])
-            t += 1
-        at = np.concatenate(places)
-        logs = lm.log_probabilities(np.concatenate(states), cls[at], word[at]).astype(np.float64)
-        a = 0
-        for n in rows:
-            total[:n] += logs[a : a + n]
-            a += n
-    out = np.zeros(len(order))
-    out[order] = total
-    return out
+        rows = np.searchsorted(-size, -np.arange(t, stop), side="left")  # documents with more than t tokens
+        edges = np.concatenate([[0], np.cumsum(rows)])
+        doc = np.arange(edges[-1]) - np.repeat(edges[:-1], rows)
+        at = start[doc] + np.repeat(np.arange(t, stop), rows)
+        gates, states = np.take(lm.w["X"], token[at], axis=1), np.empty((len(at), HIDDEN), np.float32)
+        for a, b in zip(edges.tolist(), edges[1:].tolist()):
+            states[a:b] = h = h[: b - a]
+            h = lm.turn(h, gates[:, a:b])[0]
+        total += np.bincount(doc, lm.log_probabilities(states, cls[at], word[at]), len(total))
+        t = stop
+    return total
 
 
 def score(docs: DataFrame, model: Model, modulus: int = 10, keep: list[str] | None = None) -> DataFrame:
@@ -456,7 +581,7 @@ def score(docs: DataFrame, model: Model, modulus: int = 10, keep: list[str] | No
                 words, w, codes, owner, first, seq, ends = coded(model, offsets[i : j + 1] - offsets[i], raw[offsets[i] : offsets[j]])
                 sizes, any_word = np.diff(first), len(codes) > 0
                 logs = sequence_scores(model.lm, *seq, ends)
-                in_tail = w["cls"][codes] - CLASSES if any_word else codes
+                in_tail = w["token"][codes].astype(np.int64) - FREQUENT if any_word else codes
                 spread = np.where(in_tail >= 0, (w["log"][codes] if any_word else 0) - tail_log[np.maximum(in_tail, 0)], 0.0)
                 n_tokens[i:j] = sizes + 1
                 known[i:j] = np.bincount(owner, w["head"][codes] if any_word else None, j - i) + (model.ends > 0)
@@ -466,7 +591,8 @@ def score(docs: DataFrame, model: Model, modulus: int = 10, keep: list[str] | No
                 out = ~w["head"][codes] if any_word else np.zeros(0, bool)
                 pair, tf = np.unique(owner[out] * max(len(words), 1) + codes[out], return_counts=True)
                 which = pair % max(len(words), 1)
-                second = np.array([second_hash(x) for x in words], np.int64)[which] if any_word else which
+                there, nth = np.unique(which, return_inverse=True)
+                second = second_hashes([words[x] for x in there.tolist()])[nth]
                 for held, x in ((rare_h, w["h"][which] if any_word else which), (rare_h2, second), (rare_tf, tf), (rare_n, np.bincount(pair // max(len(words), 1), minlength=j - i))):
                     held.append(x)
             edges = np.concatenate([[0], np.cumsum(np.concatenate(rare_n))]).astype(np.int32)

@@ -8,10 +8,12 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from biascut.llm import ann, components, langid, linededup, lm, packing, pieces, quality, queries, rules, simhash, suffixdedup
+from biascut.llm.common import text_bytes
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, score double, row string"
 WORDS = "the of and to in river stone light under cloud winter morning paper letter garden window silver copper".split()
@@ -900,6 +902,48 @@ def test_training_windows_cover_every_position_once():
     assert sorted(later[later[:, :, 3] > 0][:, 0].tolist()) == token.tolist()
 
 
+def test_lanes_pass_every_place_once_and_carry_states_from_the_first_token():
+    r = np.random.default_rng(4)
+    docs = [np.concatenate([r.integers(1, lm.FREQUENT + lm.TAILS, n), [0]]).astype(np.int16) for n in [0, 1, 22, 23, 24, 700, 5, 47, 48, 300, 90, 0, 1500, 3]]
+    net, lanes, got = lm.GatedLm(), lm.Lanes(3), []
+    states = {}
+    for part in (docs[:5], docs[5:6], [], docs[6:]):
+        for token, live in lanes.turns(np.concatenate([np.zeros(0, np.int16), *part]), np.concatenate([[0], np.cumsum([len(d) for d in part])]).astype(np.int64)):
+            got += token[live].tolist()
+            _, h = net.unrolled(lanes.h, token, lm.CLASS_OF[token], lm.WORD_OF[token], live)
+            for k in np.flatnonzero(live[-1]):
+                states[tuple(token[-3:, k].tolist())] = h[k].copy()
+            lanes.h = h
+    rest = lanes.rest()
+    own = rest[:, lm.WINDOW :]
+    assert len(got) and len(rest)
+    assert sorted(got + own[own[:, :, 3] > 0][:, 0].tolist()) == sorted(np.concatenate(docs).tolist())
+    seen = {tuple(d[t : t + 3].tolist()): (d, t + 3) for d in docs for t in range(len(d) - 2)}
+    assert len(states) > 20
+    for at, h in states.items():
+        d, stop = seen[at]
+        want = np.zeros((1, lm.HIDDEN), np.float32)
+        for t in d[:stop]:
+            want = net.step(want, np.array([t]))
+        assert np.allclose(h, want[0], atol=1e-5)
+    # a window left over has the one before it in its document
+    for row in rest:
+        before, now = (row[x][row[x][:, 3] > 0][:, 0].tolist() for x in (slice(lm.WINDOW), slice(lm.WINDOW, None)))
+        assert any(before + now == d[t : t + len(before + now)].tolist() for d in docs for t in (range(len(d)) if before else [0]))
+
+
+def test_slices_split_words_as_bytes_do():
+    texts = ["", " ", "  A\x0bb \x0cC\r\n", "one", "\tONE two  one", "x\u00a0Y\x1cz \u0130\x85 \u00c9", "\n\n", "e"]
+    offsets, raw = text_bytes(pa.array(texts))
+    for i, j in ((0, 8), (3, 5), (0, 2), (2, 2)):
+        words, codes, first = lm.slice_words(offsets[i : j + 1] - offsets[i], raw[offsets[i] : offsets[j]])
+        got = [[words[c] for c in codes[a:b]] for a, b in zip(first, first[1:])]
+        assert got == [t.encode().lower().split() for t in texts[i:j]] and len(set(words)) == len(words)
+        assert lm.word_hashes(words).tolist() == [lm.word_hash(w) for w in words]
+        assert lm.tail_classes(words).tolist() == [lm.tail_class(w) for w in words]
+        assert lm.second_hashes(words).tolist() == [lm.second_hash(w) for w in words]
+
+
 def test_short_stretches_and_joints_equal_the_walk():
     m = pieces.PieceModel(PIECES)
     own, r = pieces.Encoder(m), random.Random(5)
