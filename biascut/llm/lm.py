@@ -146,19 +146,23 @@ class GatedLm:
         return out, s[2]
 
     def outputs(self, h: np.ndarray, cls: np.ndarray, word: np.ndarray):
-        """Rows in order of class: (order, borders of the classes, states, classes, words, class logits, word
-        logits of the rows in a class of words)."""
+        """Rows in order of class: (order, borders of the classes, states and a column of ones for the biases,
+        classes, words, class logits, word logits of the rows in a class of words)."""
         order = np.argsort(cls.astype(np.int16), kind="stable")
-        h, cls, word = np.take(h, order, axis=0), cls[order], word[order]
+        of_class, of_word = np.vstack([self.w["C"], self.w["c"]]), np.concatenate([self.w["W"], self.w["w"][:, None]], axis=1)
+        ones, cls, word = np.ones((len(h), HIDDEN + 1), np.result_type(h, of_class)), cls[order], word[order]
+        ones[:, :HIDDEN] = np.take(h, order, axis=0)
         edges = np.searchsorted(cls, np.arange(CLASSES + 1)).tolist()
-        p = h @ self.w["C"]
-        p += self.w["c"]
+        p = ones @ of_class
         q = np.empty((edges[-1], PER_CLASS), p.dtype)
         for k, (a, b) in enumerate(zip(edges, edges[1:])):
             if a < b:
-                np.matmul(h[a:b], self.w["W"][k], out=q[a:b])
-                q[a:b] += self.w["w"][k]
-        return order, edges, h, cls, word[: edges[-1]], _in_range(p), _in_range(q)
+                np.matmul(ones[a:b], of_word[k], out=q[a:b])
+        most = max(1.0, np.abs(h).max(initial=0.0)) * max(np.abs(of_class).sum(axis=0).max(), np.abs(of_word).sum(axis=1).max())
+        if not most < 40:  # exponentials might leave the numbers' range
+            p -= p.max(axis=1, keepdims=True)
+            q -= q.max(axis=1, keepdims=True)
+        return order, edges, ones, cls, word[: edges[-1]], p, q
 
     def log_probabilities(self, h: np.ndarray, cls: np.ndarray, word: np.ndarray) -> np.ndarray:
         """Natural log of each row's class probability times its word's share of the class."""
@@ -178,13 +182,15 @@ class GatedLm:
             np.exp(x, out=x)
             x *= (1 / _row_sums(x))[:, None]
             x[np.arange(len(x)), own] -= 1
-        grads["C"] += h.T @ p
-        grads["c"] += np.ones(len(p), p.dtype) @ p
+        g = h.T @ p
+        grads["C"] += g[:HIDDEN]
+        grads["c"] += g[HIDDEN]
         d = p @ self.w["C"].T
         for k, (a, b) in enumerate(zip(edges, edges[1:])):
             if a < b:
-                grads["W"][k] += h[a:b].T @ q[a:b]
-                grads["w"][k] += q[a:b].sum(axis=0)
+                g = h[a:b].T @ q[a:b]
+                grads["W"][k] += g[:HIDDEN]
+                grads["w"][k] += g[HIDDEN]
                 d[a:b] += q[a:b] @ self.w["W"][k].T
         out = np.empty_like(d)
         out[order] = d
@@ -350,13 +356,6 @@ def window_rows(token: np.ndarray, cls: np.ndarray, word: np.ndarray, first: np.
     return np.stack([np.where(inside, x[at], 0) for x in (token, cls, word)] + [inside], axis=2).astype(np.int16)
 
 
-def _in_range(x: np.ndarray) -> np.ndarray:
-    """Logits, shifted by their row's greatest where exponentials might leave the numbers' range."""
-    if x.size and not (x.min() > -40 and x.max() < 40):
-        x -= x.max(axis=1, keepdims=True)
-    return x
-
-
 def _row_sums(x: np.ndarray) -> np.ndarray:
     return x @ np.ones(x.shape[1], x.dtype)
 
