@@ -7,6 +7,8 @@ costs a re-read, never a recomputation of an earlier stage.
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 
@@ -123,25 +125,37 @@ def slices(offsets: np.ndarray, most: int):
 _worker: dict = {}
 
 
+def give_back() -> None:
+    """Return freed memory to the system: Arrow's, and what the C library keeps between live blocks, which
+    would stay in a reused worker beside the next stage's tables."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # other C libraries lack the call
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def worker_state(module: str, key, make):
     """What an operator (a module) keeps in a Python worker between tasks.  There is one place for it: whoever
     asks for another state drops this one, so a reused worker holds nothing of an earlier stage."""
     if _worker.get("of") != (module, key):
-        _worker.clear()
+        if _worker:
+            _worker.clear()
+            give_back()
         _worker.update(state=make(), of=(module, key))
+        give_back()
     return _worker["state"]
 
 
 def tidy(run):
     """Wraps a function over Arrow batches: drops what other operators left in the worker, and gives
-    freed Arrow memory back when the task's rows end."""
+    freed memory back when the task's rows end."""
     module = run.__module__
 
     def wrapped(batches):
         if _worker and _worker["of"][0] != module:
             _worker.clear()
+            give_back()
         yield from run(batches)
-        pa.default_memory_pool().release_unused()
+        give_back()
 
     return wrapped
 

@@ -55,17 +55,26 @@ def letter_tables() -> tuple[np.ndarray, np.ndarray]:
     return is_letter, lower
 
 
+def _heads(amounts: np.ndarray, kind) -> np.ndarray:
+    """0 and the running sums of ``amounts``, in one array."""
+    out = np.zeros(len(amounts) + 1, kind)
+    np.cumsum(amounts, dtype=kind, out=out[1:])
+    return out
+
+
 def letter_bytes(points: np.ndarray, starts: np.ndarray, tables: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(symbols, where each text starts among them, letters of each text) for texts as code points."""
+    kind = np.int32 if 4 * len(points) < 1 << 31 else np.int64  # an array a code point weighs in a worker's memory
     letter = tables[0][points]
-    n_letters = np.diff(np.concatenate([[0], np.cumsum(letter)])[starts])
+    n_letters = np.diff(_heads(letter, kind)[starts].astype(np.int64))
     keep = letter.copy()
     keep[1:] |= letter[:-1]  # the first of a run of others stays, as its blank
     keep[starts[:-1][starts[:-1] < starts[1:]]] = True
-    p = np.where(letter, tables[1][points], np.uint32(32))[keep]
-    width = 1 + (p >= 0x80).astype(np.int64) + (p >= 0x800) + (p >= 0x10000)
-    at = np.concatenate([[0], np.cumsum(width)])[np.concatenate([[0], np.cumsum(keep)])[starts]]
-    return np.frombuffer(p.astype("<u4").tobytes().decode("utf-32-le").encode(), np.uint8), at, n_letters
+    p = np.where(letter[keep], tables[1][points[keep]], np.uint32(32))
+    kept = _heads(keep, kind)[starts]
+    width = 1 + (p >= 0x80).astype(np.uint8) + (p >= 0x800) + (p >= 0x10000)
+    at = _heads(width, kind)[kept].astype(np.int64)
+    return np.frombuffer(str(p.astype("<u4", copy=False), "utf-32-le").encode(), np.uint8), at, n_letters
 
 
 def _points(text: str) -> np.ndarray:
@@ -105,8 +114,12 @@ class SuffixAutomaton:
             last = new
         # a missing edge restarts at the root with the same symbol and counts a phrase
         state = np.frombuffer(edges, np.int32)[: len(link) * k].reshape(-1, k)
-        place = np.where(state < 0, 0, state).astype(np.uint32) * np.uint32(k) + np.uint32(base)
-        self.table, self.size = np.where(state < 0, place[:1] | _MARK, place).ravel(), len(symbols)
+        root = (np.maximum(state[0], 0).astype(np.uint32) * np.uint32(k) + np.uint32(base)) | _MARK
+        table = np.empty(state.shape, np.uint32)
+        for i in range(0, len(state), 4096):  # some rows at a time, so that temporaries stay small
+            some = state[i : i + 4096]
+            table[i : i + 4096] = np.where(some < 0, root, some.astype(np.uint32) * np.uint32(k) + np.uint32(base))
+        self.table, self.size = table.ravel(), len(symbols)
 
 
 class CrossParser:
@@ -118,15 +131,19 @@ class CrossParser:
         used = np.unique(np.concatenate(raw))
         self.code = np.full(256, len(used), np.uint8)  # the last symbol stands for bytes that no sample holds
         self.code[used] = np.arange(len(used))
-        bases, tables, sizes = [], [], []
+        # each automaton goes to its place at once, so no second copy of all is held; pages beyond the last stay unused
+        room = (len(used) + 1) * sum(2 * len(r) + 1 for r in raw)
+        self.table, end, bases, sizes = np.empty(room, np.uint32), 0, [], []
         for r in raw:
-            bases.append(sum(map(len, tables)))
-            one = SuffixAutomaton(self.code[r].tolist(), len(used) + 1, bases[-1])
-            tables.append(one.table)
+            bases.append(end)
+            one = SuffixAutomaton(self.code[r].tolist(), len(used) + 1, end)
+            end += len(one.table)
+            if end >= 1 << 31:
+                raise ValueError("the samples are too large for one table: lower chars_in_all")
+            self.table[bases[-1] : end] = one.table
             sizes.append(one.size)
-        if sum(map(len, tables)) >= 1 << 31:
-            raise ValueError("the samples are too large for one table: lower chars_in_all")
-        self.bases, self.table, self.log_size = np.array(bases, np.uint32), np.concatenate(tables), np.log2(np.array(sizes) + 2.0)
+            del one
+        self.bases, self.table, self.log_size = np.array(bases, np.uint32), self.table[:end], np.log2(np.array(sizes) + 2.0)
 
     def phrases(self, raw: np.ndarray, starts: np.ndarray) -> np.ndarray:
         """Phrases of the greedy parse, by text and language."""
@@ -240,7 +257,7 @@ def identify(docs: DataFrame, samples: dict[str, str], keep: list[str] | None =
                     names += [UNKNOWN] * (j - i)
                     continue
                 part = raw[offsets[i] : offsets[j]]
-                heads = np.concatenate([[0], np.cumsum((part & 0xC0) != 0x80)])
+                heads = _heads((part & 0xC0) != 0x80, np.int64)
                 symbols, at, n_letters = letter_bytes(_points(part.tobytes().decode()), heads[offsets[i : j + 1] - offsets[i]], parser.tables)
                 bits = parser.bits(symbols, at)
                 best = bits.argmin(axis=1)

@@ -2,8 +2,10 @@
 
 import hashlib
 import math
+import os
 import random
 import re
+import tracemalloc
 import zlib
 from collections import Counter, defaultdict
 
@@ -12,7 +14,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from biascut.llm import ann, components, langid, linededup, lm, packing, pieces, quality, queries, rules, simhash, suffixdedup
+from biascut.llm import ann, common, components, langid, linededup, lm, packing, pieces, quality, queries, rules, simhash, suffixdedup
 from biascut.llm.common import text_bytes
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, score double, row string"
@@ -564,6 +566,33 @@ def test_parse_equals_a_plain_greedy_walk(monkeypatch, lane):
     assert parser.phrases(raw, at).tolist() == want.tolist()
 
 
+def test_parser_holds_no_second_copy_of_its_tables():
+    r = random.Random(4)
+    samples = {x: "".join(r.choices("abcdefghijklmnopqrstuvwxyz ", k=4000)) for x in ("de", "en", "es", "fr", "it", "pt")}
+    tracemalloc.start()
+    parser = langid.CrossParser(samples)
+    built = tracemalloc.get_traced_memory()[1]
+    table = parser.table.base.nbytes if parser.table.base is not None else parser.table.nbytes
+    points = langid._points("".join(samples.values()) * 10)
+    tracemalloc.reset_peak()
+    before = tracemalloc.get_traced_memory()[0]
+    langid.letter_bytes(points, np.array([0, len(points)]), parser.tables)
+    read = tracemalloc.get_traced_memory()[1] - before
+    tracemalloc.stop()
+    assert built - sum(t.nbytes for t in parser.tables) < 1.9 * table
+    assert read < 24 * len(points)
+
+
+def test_a_task_gives_freed_memory_back():
+    held = lambda: int(open("/proc/self/statm").read().split()[1]) * os.sysconf("SC_PAGESIZE")
+    blocks = [np.ones(8_000) for _ in range(2_000)]
+    kept = blocks[::100]  # live blocks keep the rest within the heap
+    del blocks
+    before = held()
+    list(common.tidy(iter)([]))
+    assert len(kept) == 20 and before - held() > 64e6
+
+
 # 9 suffixes
 @pytest.mark.parametrize("length,gram", [(200, 64), (50, 16)])
 def test_repeats_equal_brute_force(docs, nothing, length, gram):
