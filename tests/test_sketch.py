@@ -303,3 +303,37 @@ def test_theory_error_keeps_an_edge_once(spark, monkeypatch):
     monkeypatch.setattr(layered, "edge_layers", lambda *a, **k: pytest.fail("an edge is stored for every layer"))
     m, p, error = queries.theory_error(e)
     assert m == 70 and p.k_star >= p.k and error < 1e-9
+
+
+@pytest.mark.parametrize("p, few", [(SMALL, 0), (SMALL.replace(e_cap=5), 0), (SMALL.replace(e_cap=5), marked.FEW), (SMALL.replace(e_cap=5, v_cap=100), 0), (SMALL.replace(e_cap=5, coin="xxhash64"), 0), (SMALL.replace(mode="nested", e_cap=5), 0)])
+def test_kept_edges_store_what_trimming_leaves(spark, e, p, few, monkeypatch):
+    monkeypatch.setattr(marked, "FEW", few)
+    s = layered.build_sketch(e, p)
+    want = s.stored()
+    assert want == s.edges.count()
+    kept, m = marked.keep(e, {"one": p, "two": p.replace(k_star=p.k_star + 1)})
+    k = layered.build_sketch(kept.select("u", "v", "word", "n", F.col("one").alias("coins")), p, m)
+    near = lambda df: {(r["i"], r["j"]): pytest.approx(r["x"], rel=1e-9) for r in df.collect()}
+    assert k.stored() == want and near(estimator.estimate_matrix(k)) == near(estimator.estimate_matrix(s))
+    for x in (s, k):
+        x.close()
+    kept.unpersist()
+
+
+def test_last_words_do_without_their_bound(spark, e, monkeypatch):
+    p = SMALL.replace(e_cap=5)
+    s = layered.build_sketch(e, p)
+    kept, m = marked.keep(e, {"coins": p})
+    k = layered.build_sketch(kept, p, m)
+    heavy = k.stats.where("deg > 5").select("layer", "vid", "deg")
+    both = [rows(marked._last_words(k, heavy, heavy.count(), spread)) for spread in (-2.0, 8.0)]  # nothing lies below the first bound
+    assert both[0] == both[1] and k.stored() == s.edges.count()
+    for x in (s, k):
+        x.close()
+    kept.unpersist()
+
+
+def test_rates_keep_an_edge_once(spark, monkeypatch):
+    monkeypatch.setattr(layered, "edge_layers", lambda *a, **k: pytest.fail("an edge is stored for every layer"))
+    got = queries.QUERIES["experiment_rates"](spark, "/root/testdata/sf0.001").collect()
+    assert [(r["k_star"], r["p0"]) for r in got] == [(3, 0.05), (6, 0.1), (6, 0.25), (8, 0.25)] and all(r["stored"] > 0 for r in got)
